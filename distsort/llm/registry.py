@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import mixing, sharding, url_filter
+from . import mixing, near_dup, sharding, url_filter
 from .common import load
 
 
@@ -19,13 +19,17 @@ def op8_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_filter.judge(pages, url_filter.standing_list(pages))
 
 
+def op9_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_dup.near_duplicates(load(spark, sf_dir, "documents", "doc_id", "text"), size=2)
+
+
 def op10_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mixed(load(spark, sf_dir, "documents", "doc_id", "text", "source"))
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_shard_best_fit, op8_url_filter, op10_mix_sources)}
+    return {f.__name__: f for f in (op1_shard_best_fit, op8_url_filter, op9_near_duplicates, op10_mix_sources)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op8_url_filter": url_filter.ORACLE, "op10_mix_sources": mixing.ORACLE}
+    return {"op8_url_filter": url_filter.ORACLE, "op9_near_duplicates": near_dup.ORACLE, "op10_mix_sources": mixing.ORACLE}
