@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import mixing, near_dup, sharding, url_filter
+from . import decontamination, mixing, near_dup, quality_rules, sharding, url_filter
 from .common import load
 
 
@@ -14,6 +14,14 @@ def op1_shard_best_fit(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.shard_by_bytes(load(spark, sf_dir, "documents", "doc_id", "text"))
 
 
+def op2_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality_rules.judge(load(spark, sf_dir, "documents", "doc_id", "text", "lang", "source"))
+
+
+def op3_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontamination.contained_items(load(spark, sf_dir, "documents", "doc_id", "text"), load(spark, sf_dir, "benchmark", "item_id", "text"))
+
+
 def op8_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     pages = load(spark, sf_dir, "pages", "page_id", "url")
     return url_filter.judge(pages, url_filter.standing_list(pages))
@@ -28,8 +36,8 @@ def op10_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_shard_best_fit, op8_url_filter, op9_near_duplicates, op10_mix_sources)}
+    return {f.__name__: f for f in (op1_shard_best_fit, op2_quality_rules, op3_decontaminate, op8_url_filter, op9_near_duplicates, op10_mix_sources)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op8_url_filter": url_filter.ORACLE, "op9_near_duplicates": near_dup.ORACLE, "op10_mix_sources": mixing.ORACLE}
+    return {"op3_decontaminate": decontamination.ORACLE, "op8_url_filter": url_filter.ORACLE, "op9_near_duplicates": near_dup.ORACLE, "op10_mix_sources": mixing.ORACLE}
