@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import decontamination, mixing, near_dup, quality_rules, sharding, url_filter
+from . import decontamination, mixing, near_dup, quality_rules, sharding, suffix_dedup, url_filter
 from .common import load
 
 
@@ -22,6 +22,10 @@ def op3_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontamination.contained_items(load(spark, sf_dir, "documents", "doc_id", "text"), load(spark, sf_dir, "benchmark", "item_id", "text"))
 
 
+def op4_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffix_dedup.removal_digests(load(spark, sf_dir, "documents", "doc_id", "text"))
+
+
 def op8_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     pages = load(spark, sf_dir, "pages", "page_id", "url")
     return url_filter.judge(pages, url_filter.standing_list(pages))
@@ -36,7 +40,7 @@ def op10_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_shard_best_fit, op2_quality_rules, op3_decontaminate, op8_url_filter, op9_near_duplicates, op10_mix_sources)}
+    return {f.__name__: f for f in (op1_shard_best_fit, op2_quality_rules, op3_decontaminate, op4_suffix_dedup, op8_url_filter, op9_near_duplicates, op10_mix_sources)}
 
 
 def oracle_sql() -> dict[str, str]:
