@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import decontamination, mixing, near_dup, paragraph_dedup, quality_rules, secret_scan, sharding, suffix_dedup, url_filter
+from . import decontamination, mixing, near_dup, paragraph_dedup, quality_rules, rule_classifier, secret_scan, sharding, suffix_dedup, url_filter
 from .common import load
 
 
@@ -26,6 +26,10 @@ def op4_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return suffix_dedup.removal_digests(load(spark, sf_dir, "documents", "doc_id", "text"))
 
 
+def op5_rule_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return rule_classifier.classify(load(spark, sf_dir, "documents", "doc_id", "text"), load(spark, sf_dir, "labels", "doc_id", "quality"))
+
+
 def op6_paragraph_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return paragraph_dedup.repeated_passages(load(spark, sf_dir, "documents", "doc_id", "text"))
 
@@ -48,7 +52,7 @@ def op10_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_shard_best_fit, op2_quality_rules, op3_decontaminate, op4_suffix_dedup, op6_paragraph_dedup, op7_secret_scan, op8_url_filter, op9_near_duplicates, op10_mix_sources)}
+    return {f.__name__: f for f in (op1_shard_best_fit, op2_quality_rules, op3_decontaminate, op4_suffix_dedup, op5_rule_classifier, op6_paragraph_dedup, op7_secret_scan, op8_url_filter, op9_near_duplicates, op10_mix_sources)}
 
 
 def oracle_sql() -> dict[str, str]:
