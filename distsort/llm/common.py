@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 BLANKS = "[\\x20\\x09-\\x0D]+"
 
 #: Rows that a side may have to be broadcast with a hint; beyond it Spark deals both sides out.
-BROADCAST_ROWS = 1_000_000
+BROADCAST_ROWS = 200_000
 
 
 def ready(spark: SparkSession) -> SparkSession:
@@ -41,7 +41,7 @@ def scratch(spark: SparkSession) -> str:
 
 def written(df: DataFrame, label: str) -> DataFrame:
     """Write df once to the shared folder and read it back: its lineage is cut, and no lost executor costs it."""
-    spark = df.sparkSession
+    spark = ready(df.sparkSession)
     path = f"{scratch(spark)}/{label}-{uuid.uuid4().hex}"
     df.write.option("compression", "zstd").parquet(path)
     return spark.read.schema(df.schema).parquet(path)

@@ -1,10 +1,12 @@
 """Near duplicates by fast similarity sketching, banding and exact verification.
 
 Every text's shingle set gets a sketch of WIDTH coordinates; a band is the hash of ROWS of them.  Texts of equal sets are one
-class and stand for each other from here on.  Classes that share a band meet in a bucket; in rounds, the members
-of a bucket are held against a few pivots of it, on their full sets, and linked ones become one component.  Only buckets whose
-members are not yet in one component go on, without the pivots they have exhausted, and with four times as many
-pivots: no bucket is expanded into all its pairs unless all of them must be known to be unlinked, and none is dropped.
+class and stand for each other from here on.  Classes that share a band meet in a bucket.  First, each bucket's members are held
+against its smallest one, on their full sets, and linked ones become one component: in buckets of 8 bands at once, then of 2, leaving out
+pairs that are in one component by then.  Documents in buckets of one band that are of several components after that
+are settled by their rarest shingles (linked ones share one of as many as a link may lack and one more), in rounds: a few members of
+a shingle's bucket, from its small components, are held against the rest and leave, with each round eight times as many.  No bucket is
+expanded into all its pairs unless all of them must be known to be unlinked, and none is dropped.
 
 A pair at the threshold of 0.8 misses all 32 bands of 4 with a probability of 5e-8.
 
@@ -23,10 +25,14 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import textkernel as tk
-from .common import BROADCAST_ROWS, small, written
+from .common import small, written
 from .components import components
 
 BANDS, ROWS = 32, 4
+#: Bands that a bucket of the first rounds stands for.
+LEVELS = (8, 2)
+#: Cells of shingle counts by which shingles are ordered; 8 bytes each.
+CELLS = 1 << 18
 #: A class of over 1/HEAVY of all rows is looked up by broadcast; there are fewer than HEAVY of them.
 HEAVY = 4096
 
@@ -73,6 +79,32 @@ def _overlap(size: int, lower: bool):
     return run
 
 
+def _cells(size: int, lower: bool):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for i in range(0, batch.num_rows, 256):
+                sets = tk.text_sets(batch.column("text").slice(i, 256), size, lower)
+                yield pa.RecordBatch.from_arrays([pa.array((np.concatenate(sets) & tk.U(CELLS - 1)).astype(np.int32))], ["cell"])
+
+    return run
+
+
+def _rarest(counts: np.ndarray, size: int, lower: bool, top: int, bottom: int):
+    """Each text's rarest shingles, one more than a linked text may lack; counts by cell order all shingles alike everywhere."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for i in range(0, batch.num_rows, 256):
+                ids = batch.column("doc_id").slice(i, 256)
+                sets = tk.text_sets(batch.column("text").slice(i, 256), size, lower)
+                n = np.array([len(x) for x in sets])
+                first = [x[np.lexsort((x, counts[x & tk.U(CELLS - 1)]))[: len(x) + -(-len(x) * top // -bottom) + 1]] for x in sets]
+                each = np.array([len(x) for x in first])
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(first).view(np.int64)), ids.take(pa.array(np.repeat(np.arange(len(n)), each))), pa.array(np.repeat(n, each)), pa.array(np.concatenate([np.arange(k) for k in each]))], ["key", "doc_id", "n", "i"])
+
+    return run
+
+
 def with_class(rows: DataFrame, classes: DataFrame, total: int) -> DataFrame:
     """rows joined to classes by (f1, f2); classes has n_rows.  Very large classes are looked up by broadcast."""
     heavy = F.col("n_rows") * HEAVY > total
@@ -95,12 +127,12 @@ def near_duplicates(docs: DataFrame, threshold: tuple[int, int] = (80, 100), siz
     # a class's representative carries its bands; buckets of one class are done
     reps = named.join(classes.select("f1", "f2", F.col("rep").alias("doc_id")), ["f1", "f2", "doc_id"], "left_semi").dropDuplicates(["doc_id"])
     rows_ = reps.select("doc_id", "n", F.explode("bands").alias("key"))
-    shared = written(rows_.groupBy("key").agg(F.min("doc_id").alias("pivot"), F.count(F.lit(1)).alias("m")).where("m > 1"), "near-buckets")
-    members = written(rows_.join(small(shared), "key").select("key", "doc_id", "n", "pivot"), "near-members")
-    ids = members.select(F.col("doc_id").alias("id")).distinct()
-    ids = written(ids, "near-ids")
-    wanted = texts.join(small(ids), F.col("doc_id") == F.col("id"), "left_semi").dropDuplicates(["doc_id"])
-    cand = written(wanted, "near-texts")
+    shared = written(rows_.groupBy("key").agg(F.count(F.lit(1)).alias("m")).where("m > 1"), "near-buckets")
+    members = written(rows_.join(small(shared.select("key")), "key").select("key", "doc_id", "n"), "near-members")
+    ids = written(members.select(F.col("doc_id").alias("id")).distinct(), "near-ids")
+    here = F.col("doc_id") == F.col("id")
+    banded = written(reps.join(small(ids), here, "left_semi").select("doc_id", "n", "bands"), "near-bands")
+    cand = written(texts.join(small(ids), here, "left_semi").dropDuplicates(["doc_id"]), "near-texts")
 
     def verified(pairs: DataFrame) -> DataFrame:
         """The linked ones of pairs (a, b)."""
@@ -114,37 +146,65 @@ def near_duplicates(docs: DataFrame, threshold: tuple[int, int] = (80, 100), siz
         """Sizes that leave a link possible."""
         return F.least(x, y) * bottom >= F.greatest(x, y) * top
 
-    sizes = members.select("doc_id", "n").distinct()
-    first = members.where("doc_id <> pivot").groupBy("doc_id", "n", "pivot").agg(F.count(F.lit(1)).alias("m"))
-    first = first.join(sizes.select(F.col("doc_id").alias("pivot"), F.col("n").alias("pn")), "pivot").where(alike("n", "pn"))
-    first = first.groupBy("doc_id").agg(F.min_by("pivot", F.struct(-F.col("m"), F.col("pivot"))).alias("b"))
-    tested = written(first.select(F.col("doc_id").alias("a"), "b"), "near-pairs")
-    links = verified(tested)
-    found = written(components(links), "near-components")
-    members = members.select("key", "doc_id", "n")
-    pivots = 4
+    links = tested = found = None
+
+    def tell(pairs: DataFrame) -> None:
+        """Verify pairs (a, b), a > b, that aren't tested or in one component yet, and bring the components up to date."""
+        nonlocal links, tested, found
+        if tested is not None:
+            label = small(found)
+            ca, cb = (label.select(F.col("node").alias(x), F.col("component").alias(f"c{x}")) for x in "ab")
+            apart = F.coalesce("ca", "a") != F.coalesce("cb", "b")
+            pairs = pairs.join(ca, "a", "left").join(cb, "b", "left").where(apart).select("a", "b").join(tested, ["a", "b"], "left_anti")
+        pairs = written(pairs, "near-pairs")
+        new = verified(pairs)
+        links = new if links is None else links.unionByName(new)
+        tested = pairs if tested is None else tested.unionByName(pairs)
+        if found is None or not new.isEmpty():
+            found = written(components(links), "near-components")
+
+    # stars in buckets of several bands at once, then of fewer: what is most alike is linked first, and what is one component is not compared again
+    for level in LEVELS:
+        if bands % level:
+            continue
+        keys = banded.select("doc_id", "n", F.explode(F.transform(F.sequence(F.lit(0), F.lit(bands // level - 1)), lambda i: F.xxhash64(i, F.slice("bands", i * level + 1, level)))).alias("key"))  # noqa: B023
+        pivot = keys.groupBy("key").agg(F.min(F.struct("doc_id", "n")).alias("p"), F.count(F.lit(1)).alias("m")).where("m > 1").select("key", F.col("p.doc_id").alias("b"), F.col("p.n").alias("bn"))
+        star = keys.join(small(written(pivot, "near-pivots")), "key").where((F.col("doc_id") > F.col("b")) & alike("n", "bn"))
+        tell(star.select(F.col("doc_id").alias("a"), "b").distinct())
+
+    def mixed(members: DataFrame) -> DataFrame:
+        """The members (key, doc_id, n, .., c) of buckets that are of several components."""
+        labelled = members.join(small(found), F.col("doc_id") == F.col("node"), "left").select(*members.columns, F.coalesce("component", "doc_id").alias("c"))
+        several = labelled.groupBy("key").agg(F.min("c").alias("c0"), F.max("c").alias("c1")).where("c0 <> c1").select("key")
+        return written(labelled.join(small(written(several, "near-mixed")), "key"), "near-open")
+
+    # documents in buckets of several components meet again, by the rarest shingles of each: linked ones share one of these
+    left = written(mixed(members).select(F.col("doc_id").alias("id")).distinct(), "near-left")
+    texts_left = cand.join(small(left), F.col("doc_id") == F.col("id"), "left_semi").select("doc_id", "text")
+    counts = np.zeros(CELLS, dtype=np.int64)
+    counted = texts_left.mapInArrow(_cells(size, lower), "cell int").groupBy("cell").agg(F.count(F.lit(1)).alias("m")).toArrow()  # CELLS rows at most
+    counts[counted.column("cell").to_numpy()] = counted.column("m").to_numpy()
+    rare = written(texts_left.mapInArrow(_rarest(counts, size, lower, top, bottom), f"key long, doc_id {kind}, n long, i long"), "near-rarest")
+    met = rare.groupBy("key").agg(F.count(F.lit(1)).alias("m")).where("m > 1").select("key")
+    members = written(rare.join(small(written(met, "near-buckets")), "key").select("key", "doc_id", "n", "i"), "near-members")
+
+    # pivots come from a bucket's small components; they are held against the rest and leave
+    pivots = 512
     while True:
-        labelled = members.join(small(found), F.col("doc_id") == F.col("node"), "left").select("key", "doc_id", "n", F.coalesce("component", "doc_id").alias("c"))
-        mixed = labelled.groupBy("key").agg(F.min("c").alias("c0"), F.max("c").alias("c1")).where("c0 <> c1").select("key")
-        # within a bucket: the members of each component, largest last; pivots come from the small ones
-        open_ = written(labelled.join(small(written(mixed, "near-mixed")), "key"), "near-open")
+        open_ = mixed(members)
         if open_.isEmpty():
             break
         part = open_.groupBy("key", "c").agg(F.count(F.lit(1)).alias("m"))
         order = Window.partitionBy("key").orderBy("m", "c")
         upto = part.withColumn("before", F.sum("m").over(order) - F.col("m")).where(F.col("before") < pivots).select("key", "c")
         chosen = open_.join(upto, ["key", "c"]).withColumn("k", F.row_number().over(Window.partitionBy("key").orderBy("doc_id"))).where(F.col("k") <= pivots)
-        chosen = written(chosen.select("key", F.col("doc_id").alias("b"), F.col("n").alias("bn"), F.col("c").alias("bc")), "near-pivots")
-        pairs = open_.join(small(chosen), "key").where((F.col("c") != F.col("bc")) & alike("n", "bn"))
-        pairs = pairs.select(F.greatest("doc_id", "b").alias("a"), F.least("doc_id", "b").alias("b")).distinct().join(tested.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")), ["a", "b"], "left_anti")
-        pairs = written(pairs, "near-pairs")
-        new = verified(pairs)
-        if not new.isEmpty():
-            links = links.unionByName(new)
-            found = written(components(links), "near-components")
-        tested = tested.unionByName(pairs)
-        members = written(open_.join(small(chosen.select("key", F.col("b").alias("doc_id"))), ["key", "doc_id"], "left_anti").select("key", "doc_id", "n"), "near-members")
-        pivots *= 4
+        chosen = written(chosen.select("key", F.col("doc_id").alias("b"), F.col("n").alias("bn"), F.col("i").alias("bi"), F.col("c").alias("bc")), "near-pivots")
+        # a linked pair's first common shingle leaves enough behind it in both
+        enough = F.least(F.col("n") - F.col("i"), F.col("bn") - F.col("bi")) * (top + bottom) >= (F.col("n") + F.col("bn")) * top
+        pairs = open_.join(small(chosen), "key").where((F.col("c") != F.col("bc")) & alike("n", "bn") & enough)
+        tell(pairs.select(F.greatest("doc_id", "b").alias("a"), F.least("doc_id", "b").alias("b")).distinct())
+        members = written(open_.join(small(chosen.select("key", F.col("b").alias("doc_id"))), ["key", "doc_id"], "left_anti").select("key", "doc_id", "n", "i"), "near-members")
+        pivots *= 8
 
     answer = with_class(sketched.select("doc_id", "n", "f1", "f2"), classes, total)
     answer = answer.join(small(found), F.col("rep") == F.col("node"), "left")
