@@ -108,6 +108,14 @@ class SplitterTree:
         inside = (F.col("_lo").isNull() | (c >= F.col("_lo"))) & (F.col("_hi").isNull() | (c < F.col("_hi")))
         return df.join(F.broadcast(t), inside | (c.isNull() & F.col("_lo").isNull())).drop("_lo", "_hi")
 
+    def inside(self, bucket: int, open_: bool = False) -> Column:
+        """Whether a row is in one bucket (open_: and no equal of its lower splitter), by two comparisons that filters push down."""
+        values, out = self.splitters.values, F.lit(True)
+        if bucket > 0:
+            out = ~self.keys.before(self._values(values[bucket - 1]))
+            out = out & ~self.keys.same(self._values(values[bucket - 1])) if open_ else out
+        return out & self.keys.before(self._values(values[bucket])) if bucket < len(values) else out
+
     def with_class(self, df: DataFrame, out: str = "cls", bucket: str = "bucket") -> DataFrame:
         """Even classes are open intervals, odd ones hold the rows that equal a splitter; one comparison more."""
         b = F.col(bucket)

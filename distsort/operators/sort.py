@@ -53,9 +53,9 @@ def plan_sort(df: DataFrame, keys, p: SortParams = SortParams(), rows: int | Non
         if not large or len(tree.splitters) > 1 << 14:
             break
         more: list[tuple] = []
-        inside = _classed(df.select(*dict.fromkeys(spec.names)), tree, p, equality)
+        thin = df.select(*dict.fromkeys(spec.names))
         for c in large:
-            own = inside.where(F.col("_cls") == c)
+            own = thin.where(tree.inside(c // 2, equality))
             more += [v for v in splitters_of(own, spec, max(2, min(p.k, int(2 * sizes[c] / limit))), sizes[c], p).values]
         merged = _merge(df, spec, [*tree.splitters.values, *more])
         if len(merged) == len(tree.splitters):

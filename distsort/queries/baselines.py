@@ -1 +1,92 @@
-"""The algorithms compared with, as queries that return the same positions as the distribution sort."""
+"""The algorithms compared with; all return the positions of the distribution sort and share its SQL."""
+
+from __future__ import annotations
+
+from pyspark.sql import functions as F
+
+from ..catalog import query
+from ..operators import baselines as Z
+from ..operators.presorted import probe_order
+from ..operators.sort import sort_global
+from ..operators.stackless import stackless_sort
+from ..plans.params import SortParams
+from ..sources.io import LINE_ID, load
+from .methods import ID, line_keys, sorted_sql
+
+KEYS = ["l_extendedprice", *LINE_ID]
+SQL = sorted_sql("lineitem", "l_extendedprice", "l_extendedprice", ID)
+
+FORMS = {
+    "oracle_samplesort": lambda df: Z.oracle_samplesort(df, KEYS),
+    "buffered_quicksort": lambda df: Z.kernel_sort(df, KEYS, "buffered"),
+    "dual_pivot": lambda df: Z.kernel_sort(df, KEYS, "dual_pivot"),
+    "introsort": lambda df: Z.kernel_sort(df, KEYS, "introsort"),
+    "task_quicksort": lambda df: Z.task_quicksort(df, KEYS),
+    "quicksort_unbalanced": lambda df: Z.quicksort_unbalanced(df, KEYS),
+    "quicksort_balanced": lambda df: Z.quicksort_balanced(df, KEYS),
+    "copy_samplesort": lambda df: Z.copy_samplesort(df, KEYS),
+    "multiway_merge": lambda df: Z.multiway_merge(df, KEYS),
+    "quicksort": lambda df: Z.kernel_sort(df, KEYS, "quicksort"),
+    "radix": lambda df: Z.radix(df, KEYS[0], KEYS[1:]),
+    "spark_order_by": lambda df: Z.spark_order_by(df, KEYS),
+    "window_sort": lambda df: Z.window_sort(df, KEYS),
+}
+
+
+def _form(name):
+    return lambda spark, d: FORMS[name](line_keys(spark, d)).select("pos", *KEYS)
+
+
+for _n in FORMS:
+    query(SQL, f"q_base_{_n}")(_form(_n))
+
+
+@query(f"select * from (values {', '.join(f'({chr(39)}{n}{chr(39)}, 0::bigint)' for n in FORMS)}) as x(baseline, mismatches)")
+def q_base_agree(spark, d):
+    """For each baseline, positions whose row differs from the distribution sort's."""
+    df = line_keys(spark, d)
+    own = sort_global(df, KEYS).select(*LINE_ID, F.col("pos").alias("own"))
+    out = None
+    for name, f in FORMS.items():
+        other = f(df).select(*LINE_ID, "pos").join(own, LINE_ID, "full")
+        one = other.agg(F.coalesce(F.sum((~F.col("pos").eqNullSafe(F.col("own"))).cast("long")), F.lit(0)).alias("mismatches")).select(F.lit(name).alias("baseline"), "mismatches")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+@query(SQL)
+def q_sort_sequential(spark, d):
+    return Z.sort_sequential(line_keys(spark, d), KEYS).select("pos", *KEYS)
+
+
+@query(SQL)
+def q_kernel_block_sort(spark, d):
+    return Z.kernel_sort(line_keys(spark, d), KEYS, "distribution", SortParams(partitions=8)).select("pos", *KEYS)
+
+
+@query(SQL)
+def q_stackless_sort(spark, d):
+    return stackless_sort(line_keys(spark, d), KEYS, SortParams(partitions=4)).select("pos", *KEYS)
+
+
+@query(SQL)
+def q_stackless_kernel(spark, d):
+    return Z.kernel_sort(line_keys(spark, d), KEYS, "stackless", SortParams(partitions=8)).select("pos", *KEYS)
+
+
+@query(f"select row_number() over (order by l_extendedprice, {ID}) - 1 as pos, {ID}, l_extendedprice, l_quantity, l_returnflag from lineitem")
+def q_thin_sort(spark, d):
+    df = load(spark, d, "lineitem", *LINE_ID, "l_extendedprice", "l_quantity", "l_returnflag")
+    return Z.thin_sort(df, ["l_extendedprice", *LINE_ID], LINE_ID)
+
+
+_PROBE = [("orders", "o_orderkey", "o_orderkey"), ("orders", "o_totalprice", "o_orderkey"), ("part", "p_retailprice", "p_partkey"), ("events", "value", "event_id")]
+
+
+@query(" union all ".join(f"select '{t}' as tbl, '{k}' as key, case when d = 0 and u = 0 then 'constant' when d = 0 then 'sorted' when u = 0 then 'reversed' else 'unsorted' end as state, d as descents from (select coalesce(sum((k < p)::int), 0)::bigint as d, coalesce(sum((k > p)::int), 0)::bigint as u from (select {k} as k, lag({k}) over (order by {i}) as p from {t}))" for t, k, i in _PROBE))
+def q_probe_order(spark, d):
+    out = None
+    for t, k, i in _PROBE:
+        one = probe_order(load(spark, d, t, *dict.fromkeys([k, i])), [k], i).select(F.lit(t).alias("tbl"), F.lit(k).alias("key"), "state", "descents")
+        out = one if out is None else out.unionByName(one)
+    return out
