@@ -1 +1,88 @@
-""""""
+"""Cost and balance measures, checks of results."""
+
+from __future__ import annotations
+
+from pyspark.sql import functions as F
+
+from ..catalog import query
+from ..functions import metrics as M
+from ..operators import blocks as B
+from ..operators.sort import class_counts, plan_sort, sort_global
+from ..operators.verify import descents, same_multiset
+from ..plans.params import SortParams
+from ..sources.io import LINE_ID, load
+from .methods import cte, line_blocks, line_keys, line_tree
+
+_N = (1 << 10, 1 << 20, 1 << 30)
+_NV = ", ".join(f"({n}::bigint)" for n in _N)
+
+
+@query(f"select n, round(n * 2 * (log2(256) + 1) + n * 16 / 4.0, 3)::double as comparisons from (values {_NV}) as x(n)")
+def q_cost_comparisons(spark, d):
+    return spark.createDataFrame([(n, round(M.comparisons(n, 256, 2, 16, True), 3)) for n in _N], "n long, comparisons double")
+
+
+@query(f"select n, (n * 8 * 6)::double as distribution, (n * 8 * 10.75)::double as copying from (values {_NV}) as x(n)")
+def q_cost_io_volume(spark, d):
+    return spark.createDataFrame([(n, M.io_volume(n, 8), M.io_volume(n, 8, 1, "copying")) for n in _N], "n long, distribution double, copying double")
+
+
+@query(f"select n, round(n / (32 * 8.0) * greatest(1.0, ln(n / 16.0) / ln(256)), 3)::double as transfers from (values {_NV}) as x(n)")
+def q_cost_block_transfers(spark, d):
+    return spark.createDataFrame([(n, round(M.block_transfers(n, 32, 8, 256, 16), 3)) for n in _N], "n long, transfers double")
+
+
+@query(f"select n, round(256 * 256 * 32 + ln(n / 16.0) / ln(256), 3)::double as with_stack, (256 * 256 * 32)::double as without from (values {_NV}) as x(n)")
+def q_cost_extra_space(spark, d):
+    return spark.createDataFrame([(n, round(M.extra_space(256, 256, 32, n, 16), 3), float(M.extra_space(256, 256, 32, n, 16, False))) for n in _N], "n long, with_stack double, without double")
+
+
+@query(f"select n, round(n * log2(n / 16.0) + n * 4, 3)::double as branchy, (n * 4)::double as branch_free from (values {_NV}) as x(n)")
+def q_cost_branch_proxy(spark, d):
+    return spark.createDataFrame([(n, round(M.branch_proxy(n), 3), float(M.branch_proxy(n, 16, "free"))) for n in _N], "n long, branchy double, branch_free double")
+
+
+@query(f"with {cte()}, p as (select (slot >= delim and slot < delim + full_blocks) as ok from bl join dl on bl.bucket = dl.bucket) select count(*) as blocks, sum(ok::int)::bigint as skipped, sum((not ok)::int)::bigint as moves from p")
+def q_cost_moves(spark, d):
+    placed = B.blocks_in_place(line_blocks(spark, d), "l_extendedprice")
+    return placed.agg(F.sum("blocks").alias("blocks"), F.sum("in_place").alias("skipped"), F.sum("to_move").alias("moves"))
+
+
+@query(f"with {cte()} select (select count(*) from ks)::int as k, round(max(size) / avg(size), 6)::double as max_over_avg from sz")
+def q_balance(spark, d):
+    df = line_keys(spark, d)
+    tree = line_tree(df)
+    sizes = tree.with_bucket(df.select("l_extendedprice")).groupBy("bucket").agg(F.count(F.lit(1)).alias("n"))
+    return M.balance(sizes).select(F.lit(tree.buckets).alias("k"), F.round("max_over_avg", 6).alias("max_over_avg"))
+
+
+@query("select l_discount as key, count(*) as n from lineitem group by l_discount having count(*) * 11 > (select count(*) from lineitem)")
+def q_heavy_keys(spark, d):
+    return M.heavy_keys(load(spark, d, "lineitem", "l_discount"), "l_discount", 11).withColumnRenamed("l_discount", "key")
+
+
+@query("select 0::bigint as descents, 0::bigint as gaps")
+def q_is_sorted(spark, d):
+    return descents(sort_global(line_keys(spark, d), ["l_extendedprice", *LINE_ID]), ["l_extendedprice", *LINE_ID])
+
+
+@query("select 0::bigint as only_first, 0::bigint as only_second")
+def q_same_multiset(spark, d):
+    df = line_keys(spark, d)
+    return same_multiset(df, sort_global(df, ["l_extendedprice"]).drop("pos"))
+
+
+@query("select x.cores, round(1.0 / (0.01 + 0.99 / x.cores), 3)::double as speedup from (values (1), (2), (4), (8), (16), (32)) as x(cores)")
+def q_speedup_model(spark, d):
+    """Speed-up where a hundredth of the work is sequential; measured ones come from bench.py."""
+    return spark.createDataFrame([(c, round(M.speedup(1.0, 0.01 + 0.99 / c), 3)) for c in (1, 2, 4, 8, 16, 32)], "cores int, speedup double")
+
+
+@query()
+def q_partition_balance(spark, d):
+    """Rows of the partitions that the production plan makes: pid, classes, rows."""
+    df = line_keys(spark, d)
+    tree, equality, plan = plan_sort(df, ["l_extendedprice"], SortParams(partitions=8))
+    sizes = class_counts(df, tree, SortParams(), equality)
+    rows = [(plan.first[c], c, s) for c, s in enumerate(sizes) if s]
+    return spark.createDataFrame(rows, "pid int, cls int, n long").groupBy("pid").agg(F.count(F.lit(1)).alias("classes"), F.sum("n").alias("n"))
