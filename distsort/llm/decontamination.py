@@ -89,7 +89,7 @@ def contained_items(docs: DataFrame, items: DataFrame, share: tuple[int, int] =
 def drop_contaminated(docs: DataFrame, items: DataFrame, **options) -> DataFrame:
     """docs without the documents that contain a test item."""
     gone = contained_items(docs, items, **options).select(F.col("doc_id").alias("_id")).distinct()
-    return docs.join(gone, F.col("doc_id") == F.col("_id"), "left_anti")
+    return docs.join(small(written(gone, "contaminated")), F.col("doc_id") == F.col("_id"), "left_anti")
 
 
 _TOKENS = "list_filter(regexp_split_to_array(lower(coalesce(text, '')), '[^\\p{L}\\p{N}]+'), lambda w: w <> '')"

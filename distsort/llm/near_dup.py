@@ -217,8 +217,7 @@ def near_duplicates(docs: DataFrame, threshold: tuple[int, int] = (80, 100), siz
 def drop_near_duplicates(docs: DataFrame, **options) -> DataFrame:
     """docs without the rows that stand behind another of their component; one row of repeated doc_ids stays."""
     gone = near_duplicates(docs, **options).where("not kept").select(F.col("doc_id").alias("_id")).distinct()
-    kept = docs.join(gone, F.col("doc_id") == F.col("_id"), "left_anti")
-    return kept
+    return docs.join(small(written(gone, "near-gone")), F.col("doc_id") == F.col("_id"), "left_anti")
 
 
 ORACLE = """

@@ -198,4 +198,4 @@ def judge(docs: DataFrame) -> DataFrame:
 def drop_rejected(docs: DataFrame) -> DataFrame:
     """docs without the rejected documents; rows of one doc_id go together."""
     gone = judge(docs).where("not kept").select(F.col("doc_id").alias("_id")).distinct()
-    return docs.join(gone, F.col("doc_id").eqNullSafe(F.col("_id")), "left_anti")
+    return docs.join(small(written(gone, "rejected")), F.col("doc_id").eqNullSafe(F.col("_id")), "left_anti")

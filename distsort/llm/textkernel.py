@@ -9,7 +9,7 @@ import pyarrow as pa
 
 U = np.uint64
 #: Bytes of text that a kernel takes at a time; a longer single text is a slice of its own.
-SLICE = 2 << 20
+SLICE = 1 << 20
 
 _rng = np.random.Generator(np.random.PCG64(7))
 _BYTE = _rng.integers(0, 2**64, 256, dtype=np.uint64)
