@@ -215,9 +215,16 @@ def near_duplicates(docs: DataFrame, threshold: tuple[int, int] = (80, 100), siz
 
 
 def drop_near_duplicates(docs: DataFrame, **options) -> DataFrame:
-    """docs without the rows that stand behind another of their component; one row of repeated doc_ids stays."""
-    gone = near_duplicates(docs, **options).where("not kept").select(F.col("doc_id").alias("_id")).distinct()
-    return docs.join(small(written(gone, "near-gone")), F.col("doc_id") == F.col("_id"), "left_anti")
+    """docs without the rows that stand behind another of their component; of rows that repeat doc_id and text, one stays."""
+    near = written(near_duplicates(docs, **options), "near-answer")
+    gone = near.where("not kept").select(F.col("doc_id").alias("_id")).distinct()
+    kept = docs.join(small(written(gone, "near-gone")), F.col("doc_id") == F.col("_id"), "left_anti")
+    twice = written(near.where("kept and doc_id is not null").groupBy("doc_id").agg(F.count(F.lit(1)).alias("m")).where("m > 1").select(F.col("doc_id").alias("_id")), "near-twice")
+    if twice.isEmpty():
+        return kept
+    again = F.col("doc_id") == F.col("_id")
+    one = kept.join(small(twice), again, "left_semi").dropDuplicates(["doc_id", "text"])
+    return kept.join(small(twice), again, "left_anti").unionByName(one)
 
 
 ORACLE = """
