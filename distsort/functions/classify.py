@@ -63,10 +63,11 @@ class SplitterTree:
 
     def _chained(self, df: DataFrame, out: str) -> DataFrame:
         arrays = self._columns(self.heap())
+        nulls = [any(v[j] is None for v in self.splitters.values) for j in range(len(self.types))]
         df = df.withColumn(out, F.lit(1))
         for _ in range(self.depth):
             i = F.col(out)
-            df = df.withColumn(out, i * 2 + (~self.keys.before([F.get(a, i) for a in arrays])).cast("int"))
+            df = df.withColumn(out, i * 2 + (~self.keys.before([F.get(a, i) for a in arrays], nulls)).cast("int"))
         # padding repeats the largest splitter, so that its rows end in the last leaf
         return df.withColumn(out, F.least(F.col(out) - 2**self.depth, F.lit(self.buckets - 1)))
 

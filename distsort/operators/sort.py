@@ -18,9 +18,24 @@ from ..plans.sampling import SplitterSet, dedupe_splitters, draw_sample, pick_sp
 _WITHIN = (1 << 33) - 1
 
 
+def sorted_sample(df: DataFrame, spec: KeySpec, k: int, rows: int, p: SortParams) -> list[tuple]:
+    """Sample rows in order; they meet in one task, as they are few whatever the table's size."""
+    sample = draw_sample(df, spec, p.alpha_for(rows) * k, p.seed, rows=rows).select(*spec.names)
+    return [tuple(r) for r in sample.repartition(1).sortWithinPartitions(*spec.order()).collect()]
+
+
 def splitters_of(df: DataFrame, spec: KeySpec, k: int, rows: int, p: SortParams) -> SplitterSet:
-    sample = draw_sample(df, spec, p.alpha_for(rows) * k, p.seed, rows=rows)
-    return dedupe_splitters(pick_splitters([tuple(r) for r in sample.select(*spec.names).orderBy(*spec.order()).collect()], k))
+    return dedupe_splitters(pick_splitters(sorted_sample(df, spec, k, rows, p), k))
+
+
+def leading_splitters(df: DataFrame, spec: KeySpec, k: int, rows: int, p: SortParams) -> tuple[KeySpec, SplitterSet]:
+    """Splitters of the fewest leading keys that tell them all apart; rows that are equal in these share a bucket, and the local sort has all keys."""
+    picked = pick_splitters(sorted_sample(df, spec, k, rows, p), k)
+    for n in range(1, len(spec.keys) + 1):
+        found = dedupe_splitters([v[:n] for v in picked])
+        if not found.use_equality:
+            return spec.prefix(n), found
+    return spec, found
 
 
 def class_counts(df: DataFrame, tree: SplitterTree, p: SortParams, equality: bool) -> list[int]:
@@ -39,16 +54,24 @@ def _classed(df: DataFrame, tree: SplitterTree, p: SortParams, equality: bool) -
 
 def plan_sort(df: DataFrame, keys, p: SortParams = SortParams(), rows: int | None = None) -> tuple[SplitterTree, bool, DistributionPlan]:
     """Splitters and plan for df.  Takes a job for the sample and one for the counts; more only if a bucket is too large."""
-    spec = KeySpec.of(keys).validate(df)
+    spec = full = KeySpec.of(keys).validate(df)
     n = df.count() if rows is None else rows
     parts = p.partitions or int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     k = min(p.k, 1 << max(0, (4 * parts - 1).bit_length())) if parts > 1 else 1
-    found = splitters_of(df, spec, k, n, p) if n > p.n0 and k > 1 else SplitterSet((), False)
+    found = SplitterSet((), False)
+    if n > p.n0 and k > 1:
+        spec, found = leading_splitters(df, spec, k, n, p)
     equality = found.use_equality if p.equality is None else p.equality
     tree = SplitterTree.build(df, spec, found)
     sizes = class_counts(df, tree, p, equality)
     for _ in range(p.most_levels - 1):
         limit = max(p.n0, p.beta * n / parts)
+        if any(c % 2 == 0 and s > 2 * limit for c, s in enumerate(sizes)) and len(spec.keys) < len(full.keys):
+            # rows that are equal in the leading keys make a bucket too large: all keys are taken from here on
+            spec, found = full, splitters_of(df, full, k, n, p)
+            equality = found.use_equality if p.equality is None else p.equality
+            tree = SplitterTree.build(df, spec, found)
+            sizes = class_counts(df, tree, p, equality)
         large = [c for c, s in enumerate(sizes) if c % 2 == 0 and s > 2 * limit]
         if not large or len(tree.splitters) > 1 << 14:
             break
@@ -63,7 +86,7 @@ def plan_sort(df: DataFrame, keys, p: SortParams = SortParams(), rows: int | Non
         equality = equality or p.equality is None and merged.use_equality
         tree = SplitterTree.build(df, spec, SplitterSet(merged.values, equality))
         sizes = class_counts(df, tree, p, equality)
-    return tree, equality, plan_partitions(sizes, [c % 2 == 1 for c in range(len(sizes))], parts)
+    return tree, equality, plan_partitions(sizes, [c % 2 == 1 and len(spec.keys) == len(full.keys) for c in range(len(sizes))], parts)
 
 
 def _merge(df: DataFrame, spec: KeySpec, values: list[tuple]) -> SplitterSet:
@@ -88,7 +111,7 @@ def sort_global(df: DataFrame, keys, p: SortParams = SortParams(), with_pos: boo
     Rows of equal keys have some order among themselves; name a row id as last key for a total one."""
     spec = KeySpec.of(keys)
     tree, equality, plan = plan_sort(df, spec, p, rows)
-    moved = distribute(df, tree, equality, plan, p).sortWithinPartitions("_cls", *spec.order())
+    moved = distribute(df, tree, equality, plan, p).sortWithinPartitions(*spec.order())
     if not with_pos:
         return moved.drop("_bucket", "_cls", "_pid")
     return moved.withColumn(pos, partition_start(plan, moved) + F.monotonically_increasing_id().bitwiseAND(F.lit(_WITHIN))).drop("_bucket", "_cls", "_pid")

@@ -26,10 +26,12 @@ class SortKey:
             return c.asc_nulls_first() if self.first else c.asc_nulls_last()
         return c.desc_nulls_first() if self.first else c.desc_nulls_last()
 
-    def before(self, v: Column) -> Column:
-        """Whether the row sorts strictly before the value v, which may be null; never null itself."""
+    def before(self, v: Column, nullable: bool = True) -> Column:
+        """Whether the row sorts strictly before the value v, which may be null only if nullable; never null itself."""
         c = F.col(self.name)
         less = F.coalesce(c < v if self.asc else c > v, F.lit(self.first))
+        if not nullable:
+            return less
         return F.when(v.isNull(), F.lit(False) if self.first else c.isNotNull()).otherwise(less)
 
 
@@ -52,13 +54,18 @@ class KeySpec:
     def order(self) -> list[Column]:
         return [k.order() for k in self.keys]
 
-    def before(self, values: list[Column]) -> Column:
-        """Lexicographically: whether the row sorts strictly before the tuple of values."""
-        out = F.lit(False)
-        for k, v in reversed(list(zip(self.keys, values))):
-            out = k.before(v) | (F.col(k.name).eqNullSafe(v) & out)
+    def before(self, values: list[Column], nullable: list[bool] | None = None) -> Column:
+        """Lexicographically: whether the row sorts strictly before the tuple of values; nullable: which of them may be null."""
+        out = None
+        for k, v, n in reversed(list(zip(self.keys, values, nullable or [True] * len(values)))):
+            less = k.before(v, n)
+            same = F.col(k.name).eqNullSafe(v) if n else F.coalesce(F.col(k.name) == v, F.lit(False))
+            out = less if out is None else less | (same & out)
         return out
 
+    def prefix(self, n: int) -> KeySpec:
+        return KeySpec(self.keys[:n])
+
     def same(self, values: list[Column]) -> Column:
         out = F.lit(True)
         for k, v in zip(self.keys, values):
