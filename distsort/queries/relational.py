@@ -70,6 +70,25 @@ def q_write_partitioned(spark, d):
     return spark.read.parquet(path).groupBy(F.col("n_regionkey").cast("int").alias("n_regionkey")).agg(F.count(F.lit(1)).alias("n"))
 
 
+@query("select 0::bigint as out_of_order, count(*) as n from orders")
+def q_relabel_files(spark, d):
+    """Files in the manifest's order hold keys in order: no bucket reaches into the next one."""
+    df = load(spark, d, "orders", "o_orderkey", "o_totalprice")
+    path = io.fresh_path(spark, "relabelled")
+    manifest = io.write_relabelled(df, ["o_totalprice"], path, SortParams(partitions=4))
+    zones = spark.read.parquet(path).groupBy("bucket").agg(F.min("o_totalprice").alias("lo"), F.max("o_totalprice").alias("hi"))
+    edges = zones.withColumn("before", F.lag("hi").over(Window.orderBy("bucket"))).agg(F.sum((F.col("lo") < F.col("before")).cast("long")).alias("out_of_order"))
+    return edges.crossJoin(manifest.agg(F.sum("n").alias("n")))
+
+
+@query("select o_custkey, count(*) as n from orders group by o_custkey")
+def q_write_bucketed(spark, d):
+    import uuid
+
+    table = io.write_bucketed(load(spark, d, "orders", "o_custkey", "o_orderkey"), "o_custkey", 4, f"orders_{uuid.uuid4().hex}")
+    return table.groupBy("o_custkey").agg(F.count(F.lit(1)).alias("n"))
+
+
 # ---- joins ---------------------------------------------------------------------------------------
 _J = "select o_orderkey, c_custkey, c_mktsegment from orders {} join customer on o_custkey = c_custkey"
 def _on():

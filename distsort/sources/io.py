@@ -70,6 +70,27 @@ def write_partitioned(df: DataFrame, by: list[str], path: str) -> None:
     df.write.mode("overwrite").partitionBy(*by).parquet(path)
 
 
+def write_relabelled(df: DataFrame, keys, path: str, p: SortParams = SortParams()) -> DataFrame:
+    """Rows are written once, each task's rows of a bucket to a file of their own, and no exchange moves them; what is sorted is the manifest.
+
+    Returns it: seq, bucket, file, n, in the order in which to read."""
+    from pyspark.sql import Window
+
+    from ..operators.sort import plan_sort
+
+    spark = df.sparkSession
+    tree, _, _ = plan_sort(df, keys, p)
+    tree.with_bucket(df, "bucket", p.backend).write.mode("overwrite").partitionBy("bucket").parquet(path)
+    files = spark.read.parquet(path).groupBy("bucket", F.input_file_name().alias("file")).agg(F.count(F.lit(1)).alias("n"))
+    return files.withColumn("seq", F.row_number().over(Window.orderBy("bucket", "file")) - 1)  # one row for each file
+
+
+def write_bucketed(df: DataFrame, key: str, buckets: int, table: str) -> DataFrame:
+    """A table dealt by key, so that later joins and aggregations on it need no exchange."""
+    df.write.mode("overwrite").bucketBy(buckets, key).sortBy(key).format("parquet").saveAsTable(table)
+    return df.sparkSession.table(table)
+
+
 def write_index(df: DataFrame, key: str, path: str) -> DataFrame:
     """A zone map of the files at path: file, lowest and highest key, rows.  df: what is there, read with its file names."""
     zones = df.groupBy(F.input_file_name().alias("file")).agg(F.min(key).alias("lo"), F.max(key).alias("hi"), F.count(F.lit(1)).alias("n"))
