@@ -54,10 +54,10 @@ def release(spark: SparkSession) -> None:
     path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
 
 
-def small(df: DataFrame, rows: int | None = None) -> DataFrame:
-    """df with a broadcast hint if it has at most BROADCAST_ROWS rows, else as it is; rows: its count, if known."""
-    n = df.limit(BROADCAST_ROWS + 1).count() if rows is None else rows
-    return F.broadcast(df) if n <= BROADCAST_ROWS else df
+def small(df: DataFrame, rows: int | None = None, most: int = BROADCAST_ROWS) -> DataFrame:
+    """df with a broadcast hint if it has at most `most` rows, else as it is; rows: its count, or that of what its lists hold, if known."""
+    n = df.limit(most + 1).count() if rows is None else rows
+    return F.broadcast(df) if n <= most else df
 
 
 def words(text: Column | str) -> Column:

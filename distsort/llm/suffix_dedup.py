@@ -40,6 +40,8 @@ LENGTH, GRAM = 100, 32
 HOT = 1 << 14
 #: Bytes of contexts that are refined at a time.
 CHUNK = 4 << 20
+#: Runs or spans, over all documents, up to which their lists are broadcast (40 bytes each); beyond it the texts are dealt out to meet them.
+LISTED = 3_000_000
 #: Contexts that a task remembers to settle repeats by itself.
 REMEMBERED = 1 << 16
 _POSITION = tk.U((1 << 22) - 1)
@@ -339,7 +341,7 @@ def repeated_spans(docs: DataFrame, length: int = LENGTH, gram: int = GRAM) -> D
     hot = written(open_.groupBy("h").agg(F.count(F.lit(1)).alias("m")).where(F.col("m") > HOT).select("h", F.lit(True).alias("hot")), "hot-grams")
     flagged = open_.join(small(hot), "h", "left").select("doc", "row", F.struct("h", "lo", "hi", F.coalesce("hot", F.lit(False)).alias("hot")).alias("x"))
     wanted = written(flagged.groupBy("doc", "row").agg(F.collect_list("x").alias("runs")), "open-runs")
-    cut = texts.select("doc", "row", "text").join(small(wanted), ["doc", "row"]).mapInArrow(_cut(length), _CONTEXTS)
+    cut = texts.select("doc", "row", "text").join(small(wanted, open_.count(), LISTED), ["doc", "row"]).mapInArrow(_cut(length), _CONTEXTS)
     refined = cut.repartition(partitions, "h").sortWithinPartitions("h").mapInArrow(_refined(length), "doc long, row long, lo int, hi int")
     everything = runs.where("not open").select("doc", "row", "lo", "hi").unionByName(refined)
     by_doc = everything.groupBy("doc", "row").agg(F.collect_list(F.struct("lo", "hi")).alias("runs"))
@@ -364,5 +366,6 @@ def _digest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 def removal_digests(docs: DataFrame, length: int = LENGTH, gram: int = GRAM) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256, for every document."""
     spans = repeated_spans(docs, length, gram)
-    joined = identified(docs).join(small(spans), ["doc", "row"], "left").select("doc_id", "text", "starts", "ends")
+    listed = spans.agg(F.coalesce(F.sum(F.size("starts")), F.lit(0))).first()[0]
+    joined = identified(docs).join(small(spans, listed, LISTED), ["doc", "row"], "left").select("doc_id", "text", "starts", "ends")
     return joined.mapInArrow(_digest, f"doc_id {dict(docs.dtypes)['doc_id']}, n_bytes long, n_removed long, n_spans long, kept_sha256 string")

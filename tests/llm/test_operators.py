@@ -170,9 +170,10 @@ def plain_removal(rows, length):
     return out
 
 
-@pytest.mark.parametrize("hot", [1 << 14, 1])
-def test_repeats(docs, corpus, no_docs, monkeypatch, hot):
+@pytest.mark.parametrize("hot,listed", [(1 << 14, 3_000_000), (1, 0)])
+def test_repeats(docs, corpus, no_docs, monkeypatch, hot, listed):
     monkeypatch.setattr(suffix_dedup, "HOT", hot)
+    monkeypatch.setattr(suffix_dedup, "LISTED", listed)
     want = plain_removal([(d, t) for d, t, *_ in corpus], 100)
     got = suffix_dedup.removal_digests(docs).collect()
     assert Counter((r.doc_id, r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in got) == Counter((d, *want[(d, t)]) for d, t, *_ in corpus)
