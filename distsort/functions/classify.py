@@ -17,6 +17,16 @@ from ..plans.sampling import SplitterSet
 BACKENDS = ("chained", "case", "hof", "arrow", "rangejoin")
 
 
+_NUMPY = {T.DoubleType(): "float64", T.FloatType(): "float32", T.LongType(): "int64", T.IntegerType(): "int32", T.ShortType(): "int16"}
+
+
+def literal_array(values: list, kind: T.DataType) -> Column:
+    """An array constant; of numbers as one node of the plan, so that planning time doesn't grow with it."""
+    if kind in _NUMPY and values and all(v is not None for v in values):
+        return F.lit(np.array(values, dtype=_NUMPY[kind]))
+    return F.array(*[F.lit(v).cast(kind) for v in values])
+
+
 @dataclass(frozen=True)
 class SplitterTree:
     """Splitters in the order of a complete binary search tree, and what the columns' types are."""
@@ -50,7 +60,7 @@ class SplitterTree:
         return out
 
     def _columns(self, rows: list[tuple]) -> list[Column]:
-        return [F.array(*[F.lit(r[j]).cast(t) for r in rows]) for j, t in enumerate(self.types)]
+        return [literal_array([r[j] for r in rows], t) for j, t in enumerate(self.types)]
 
     def _values(self, row: tuple) -> list[Column]:
         return [F.lit(v).cast(t) for v, t in zip(row, self.types)]

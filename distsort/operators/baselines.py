@@ -7,9 +7,10 @@ from collections.abc import Iterator
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from ..functions import kernels
-from ..functions.classify import SplitterTree
+from ..functions.classify import SplitterTree, literal_array
 from ..plans.keys import KeySpec
 from ..plans.params import SortParams
 from ..plans.recursion import DistributionPlan, plan_partitions
@@ -57,7 +58,7 @@ def oracle_samplesort(df: DataFrame, keys, p: SortParams = SortParams()) -> Data
     path = fresh_path(spark, "copy")
     copy.write.parquet(path)
     back = spark.read.schema(copy.schema).parquet(path)
-    first = F.array(*map(F.lit, plan.first))
+    first = literal_array(list(plan.first), T.IntegerType())
     cls = tree.with_class(back, "_cls", "_stored") if equality else back.withColumn("_cls", F.col("_stored") * 2)
     moved = cls.withColumn("_pid", F.get(first, F.col("_cls"))).repartitionById(plan.partitions, F.col("_pid")).sortWithinPartitions(*spec.order())
     flat = DistributionPlan(plan.first, (1,) * len(plan.first), plan.sizes)
@@ -112,19 +113,11 @@ def multiway_merge(df: DataFrame, keys, p: SortParams = SortParams()) -> DataFra
     path = fresh_path(spark, "runs")
     df.sortWithinPartitions(*spec.order()).write.parquet(path)
     runs = spark.read.schema(df.schema).parquet(path)
-    rough, n = splitters_of(runs, spec, 8 * parts, runs.count(), p), None
-    tree = SplitterTree.build(runs, spec, rough)
-    sizes = class_counts(runs, tree, p, False)
-    n = sum(sizes)
-    # the bucket that holds each wanted rank is looked into; ranks of one bucket share a job
-    wanted, before, exact = [n * i // parts for i in range(1, parts)], 0, []
-    for c, s in enumerate(sizes):
-        inside = [w for w in wanted if before <= w < before + s]
-        if inside:
-            own = runs.select(*spec.names).where(tree.inside(c // 2)).orderBy(*spec.order()).limit(max(inside) - before + 1)
-            rows = own.select(*spec.names, (F.row_number().over(Window.orderBy(*spec.order())) - 1).alias("_r")).where(F.col("_r").isin([w - before for w in inside])).orderBy("_r").collect()
-            exact += [tuple(r)[:-1] for r in rows]
-        before += s
+    n = runs.count()
+    wanted = sorted({n * i // parts for i in range(1, parts)})
+    keys_only = sort_global(runs.select(*dict.fromkeys(spec.names)), spec, p, rows=n)
+    found = keys_only.where(F.col("pos").isin(wanted)).select("pos", *spec.names).collect() if n else []
+    exact = [tuple(r)[1:] for r in sorted(found, key=lambda r: r[0])]
     return _placed(runs, spec, dedupe_splitters(exact), _one_each, p)
 
 
@@ -175,7 +168,7 @@ def kernel_sort(df: DataFrame, keys, kernel: str, p: SortParams = SortParams())
     for n in flat:
         starts.append(at)
         at += n
-    start = F.get(F.array(*[F.lit(s).cast("long") for s in starts]), F.spark_partition_id())
+    start = F.get(literal_array(starts, T.LongType()), F.spark_partition_id())
     return moved.withColumn("pos", start + F.monotonically_increasing_id().bitwiseAND(F.lit(_WITHIN)))
 
 

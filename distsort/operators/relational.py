@@ -4,8 +4,9 @@ from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-from ..functions.classify import SplitterTree
+from ..functions.classify import SplitterTree, literal_array
 from ..plans.keys import KeySpec
 from ..plans.params import SortParams
 from .sort import class_counts, distribute, plan_sort, sort_global
@@ -65,7 +66,7 @@ def sorted_with_pid(df: DataFrame, keys, p: SortParams = SortParams()) -> tuple[
         starts[f] += s
     for i, s in enumerate(starts):
         starts[i], at = at, at + s
-    start = F.get(F.array(*[F.lit(s).cast("long") for s in starts]), F.col("_pid"))
+    start = F.get(literal_array(starts, T.LongType()), F.col("_pid"))
     return moved.withColumn("pos", start + F.row_number().over(Window.partitionBy("_pid").orderBy(*spec.order())) - 1), n
 
 

@@ -8,14 +8,17 @@ from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-from ..functions.classify import SplitterTree
+from ..functions.classify import SplitterTree, literal_array
 from ..plans.keys import KeySpec
 from ..plans.params import SortParams
 from ..plans.recursion import DistributionPlan, plan_partitions
 from ..plans.sampling import SplitterSet, dedupe_splitters, draw_sample, pick_splitters
 
 _WITHIN = (1 << 33) - 1
+#: Rows of a partition at least, where the number of partitions isn't given.
+LEAST_ROWS = 2048
 
 
 def sorted_sample(df: DataFrame, spec: KeySpec, k: int, rows: int, p: SortParams) -> list[tuple]:
@@ -56,7 +59,8 @@ def plan_sort(df: DataFrame, keys, p: SortParams = SortParams(), rows: int | Non
     """Splitters and plan for df.  Takes a job for the sample and one for the counts; more only if a bucket is too large."""
     spec = full = KeySpec.of(keys).validate(df)
     n = df.count() if rows is None else rows
-    parts = p.partitions or int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    # a partition of fewer rows than this costs more to plan than to sort
+    parts = p.partitions or min(int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")), max(1, -(-n // LEAST_ROWS)))
     k = min(p.k, 1 << max(0, (4 * parts - 1).bit_length())) if parts > 1 else 1
     found = SplitterSet((), False)
     if n > p.n0 and k > 1:
@@ -75,11 +79,7 @@ def plan_sort(df: DataFrame, keys, p: SortParams = SortParams(), rows: int | Non
         large = [c for c, s in enumerate(sizes) if c % 2 == 0 and s > 2 * limit]
         if not large or len(tree.splitters) > 1 << 14:
             break
-        more: list[tuple] = []
-        thin = df.select(*dict.fromkeys(spec.names))
-        for c in large:
-            own = thin.where(tree.inside(c // 2, equality))
-            more += [v for v in splitters_of(own, spec, max(2, min(p.k, int(2 * sizes[c] / limit))), sizes[c], p).values]
+        more = deeper_splitters(df, tree, equality, large, sizes, limit, n, p)
         merged = _merge(df, spec, [*tree.splitters.values, *more])
         if len(merged) == len(tree.splitters):
             break
@@ -89,6 +89,19 @@ def plan_sort(df: DataFrame, keys, p: SortParams = SortParams(), rows: int | Non
     return tree, equality, plan_partitions(sizes, [c % 2 == 1 and len(spec.keys) == len(full.keys) for c in range(len(sizes))], parts)
 
 
+def deeper_splitters(df: DataFrame, tree: SplitterTree, equality: bool, large: list[int], sizes: list[int], limit: float, n: int, p: SortParams) -> list[tuple]:
+    """More splitters for all classes that are too large, from one sample that is dense enough for each: some rows for each partition, whatever n."""
+    names = tree.keys.names
+    share = min(1.0, 3 * p.alpha_for(n) / limit)
+    drawn = _classed(df.select(*dict.fromkeys(names)).sample(share, p.seed + 1), tree, p, equality)
+    rows = drawn.select("_cls", *names).repartition(1).sortWithinPartitions(*tree.keys.order()).collect()
+    found: list[tuple] = []
+    for c in large:
+        own = [tuple(r)[1:] for r in rows if r[0] == c]
+        found += pick_splitters(own, max(2, min(p.k, int(2 * sizes[c] / limit))))
+    return found
+
+
 def _merge(df: DataFrame, spec: KeySpec, values: list[tuple]) -> SplitterSet:
     """Sorted as Spark sorts; a driver list, of splitters only."""
     schema = df.select(*spec.names).schema
@@ -99,7 +112,7 @@ def _merge(df: DataFrame, spec: KeySpec, values: list[tuple]) -> SplitterSet:
 def distribute(df: DataFrame, tree: SplitterTree, equality: bool, plan: DistributionPlan, p: SortParams = SortParams()) -> DataFrame:
     """df with _cls and _pid, every row in its partition: the one exchange."""
     rows = _classed(df, tree, p, equality)
-    first, spread = (F.array(*map(F.lit, x)) for x in (plan.first, plan.spread))
+    first, spread = (literal_array(list(x), T.IntegerType()) for x in (plan.first, plan.spread))
     share = F.get(spread, F.col("_cls"))
     pid = F.get(first, F.col("_cls")) + F.when(share > 1, F.pmod(F.xxhash64(*[c for c in df.columns if not df.schema[c].dataType.typeName() == "map"]), share)).otherwise(0)
     return rows.withColumn("_pid", pid.cast("int")).repartitionById(plan.partitions, F.col("_pid"))
@@ -129,4 +142,4 @@ def partition_start(plan: DistributionPlan, moved: DataFrame) -> Column:
     at = 0
     for i, n in enumerate(starts):
         starts[i], at = at, at + n
-    return F.get(F.array(*[F.lit(s).cast("long") for s in starts]), F.spark_partition_id())
+    return F.get(literal_array(starts, T.LongType()), F.spark_partition_id())
