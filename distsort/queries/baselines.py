@@ -43,13 +43,13 @@ for _n in FORMS:
 
 @query(f"select * from (values {', '.join(f'({chr(39)}{n}{chr(39)}, 0::bigint)' for n in FORMS)}) as x(baseline, mismatches)")
 def q_base_agree(spark, d):
-    """For each baseline, positions whose row differs from the distribution sort's."""
+    """For each baseline, positions whose key or row id differs from the distribution sort's."""
     df = line_keys(spark, d)
-    own = sort_global(df, KEYS).select(*LINE_ID, F.col("pos").alias("own"))
+    own = sort_global(df, KEYS).select("pos", F.struct(*KEYS).alias("own"))
     out = None
     for name, f in FORMS.items():
-        other = f(df).select(*LINE_ID, "pos").join(own, LINE_ID, "full")
-        one = other.agg(F.coalesce(F.sum((~F.col("pos").eqNullSafe(F.col("own"))).cast("long")), F.lit(0)).alias("mismatches")).select(F.lit(name).alias("baseline"), "mismatches")
+        other = f(df).select("pos", F.struct(*KEYS).alias("other")).join(own, "pos", "full")
+        one = other.agg(F.coalesce(F.sum((~F.col("other").eqNullSafe(F.col("own"))).cast("long")), F.lit(0)).alias("mismatches")).select(F.lit(name).alias("baseline"), "mismatches")
         out = one if out is None else out.unionByName(one)
     return out
 
