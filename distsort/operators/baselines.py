@@ -178,7 +178,11 @@ def sort_sequential(df: DataFrame, keys, kernel: str = "distribution") -> DataFr
 
 
 def thin_sort(df: DataFrame, keys, rowid: list[str], p: SortParams = SortParams()) -> DataFrame:
-    """For wide rows: key and row id are sorted, then the payload joins them by row id."""
+    """For wide rows: key and row id are sorted, then the payload joins them by both; together they must name a row."""
     spec = KeySpec.of(keys)
-    thin = sort_global(df.select(*dict.fromkeys([*spec.names, *rowid])), [*spec.keys, *rowid] if not set(rowid) <= set(spec.names) else spec, p)
-    return df.join(thin.select("pos", *rowid), rowid)
+    names = list(dict.fromkeys([*spec.names, *rowid]))
+    thin = sort_global(df.select(*names), [*spec.keys, *[r for r in rowid if r not in spec.names]], p).select("pos", *[F.col(n).alias(f"_t_{n}") for n in names])
+    same = F.lit(True)
+    for n in names:
+        same = same & F.col(n).eqNullSafe(F.col(f"_t_{n}"))
+    return df.join(thin, same).drop(*[f"_t_{n}" for n in names])
