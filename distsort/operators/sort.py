@@ -115,7 +115,8 @@ def distribute(df: DataFrame, tree: SplitterTree, equality: bool, plan: Distribu
     first, spread = (literal_array(list(x), T.IntegerType()) for x in (plan.first, plan.spread))
     share = F.get(spread, F.col("_cls"))
     pid = F.get(first, F.col("_cls")) + F.when(share > 1, F.pmod(F.xxhash64(*[c for c in df.columns if not df.schema[c].dataType.typeName() == "map"]), share)).otherwise(0)
-    return rows.withColumn("_pid", pid.cast("int")).repartitionById(plan.partitions, F.col("_pid"))
+    # never null, so that joins on it infer no filter that would repeat the walk
+    return rows.withColumn("_pid", F.coalesce(pid, F.lit(0)).cast("int")).repartitionById(plan.partitions, F.col("_pid"))
 
 
 def sort_global(df: DataFrame, keys, p: SortParams = SortParams(), with_pos: bool = True, rows: int | None = None, pos: str = "pos") -> DataFrame:
