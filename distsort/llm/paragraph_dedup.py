@@ -1,6 +1,6 @@
 """Substring deduplication by paragraph MinHash banding.
 
-A paragraph is a line of LEAST words or more.  Paragraphs are sketched, banded, joined where they collide, verified by the
+A paragraph is a line of SHINGLE words or more, so that it has a whole shingle.  Paragraphs are sketched, banded, joined where they collide, verified by the
 exact Jaccard similarity of their five-word shingles and clustered by components (the machinery of near_dup, its bands tuned
 for short sets: 8 bands of 3 find a pair at 0.8 with 99.7 %, and what is open after that is settled exactly).  In each component the paragraph that comes first stays.
 
@@ -27,6 +27,7 @@ from . import textkernel as tk
 from .common import small, written
 from .near_dup import near_duplicates
 
+SHINGLE = 5
 LEAST, AHEAD = 24, 26
 BANDS, ROWS = 8, 3
 
@@ -70,10 +71,10 @@ def _pieces(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def paragraphs(docs: DataFrame) -> DataFrame:
-    """doc_id, line, text, words: lines of LEAST words or more."""
+    """doc_id, line, text, words: lines of SHINGLE words or more."""
     lines = docs.select("doc_id", F.split("text", "\n").alias("lines"))
     each = lines.select("doc_id", F.posexplode("lines").alias("line", "text"))
-    return each.withColumn("words", F.size(F.filter(F.split("text", "[\\x20\\x09-\\x0D]+"), lambda w: w != "")).cast("long")).where(F.col("words") >= LEAST)
+    return each.withColumn("words", F.size(F.filter(F.split("text", "[\\x20\\x09-\\x0D]+"), lambda w: w != "")).cast("long")).where(F.col("words") >= SHINGLE)
 
 
 def repeated_passages(docs: DataFrame) -> DataFrame:
@@ -84,7 +85,7 @@ def repeated_passages(docs: DataFrame) -> DataFrame:
     texts = docs.where("doc_id is not null and text is not null").select(F.col("doc_id").cast("long").alias("doc_id"), "text")
 
     lines = written(paragraphs(texts).withColumn("id", F.monotonically_increasing_id()), "paragraphs")
-    near = near_duplicates(lines.select(F.col("id").alias("doc_id"), "text"), size=5, bands=BANDS, rows=ROWS)
+    near = near_duplicates(lines.select(F.col("id").alias("doc_id"), "text"), size=SHINGLE, bands=BANDS, rows=ROWS)
     classes = near.select(F.col("doc_id").alias("id"), F.col("component_id").alias("class"))
     placed = written(lines.select("id", "doc_id", "line", "words").join(classes, "id"), "paragraph-classes")
     first = placed.groupBy("class").agg(F.min(F.struct("doc_id", "line")).alias("first"), F.count(F.lit(1)).alias("m")).where("m > 1").select("class", "first")
