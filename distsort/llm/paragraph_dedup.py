@@ -1,8 +1,8 @@
 """Substring deduplication by paragraph MinHash banding.
 
 A paragraph is a line of SHINGLE words or more, so that it has a whole shingle.  Paragraphs are sketched, banded, joined where they collide, verified by the
-exact Jaccard similarity of their five-word shingles and clustered by components (the machinery of near_dup, its bands tuned
-for short sets: 8 bands of 3 find a pair at 0.8 with 99.7 %, and what is open after that is settled exactly).  In each component the paragraph that comes first stays.
+exact Jaccard similarity of their five-word shingles and clustered by components (the machinery of near_dup and
+its 32 bands of 4: a pair at the threshold of 0.8 shares no band with a probability of 5e-8).  In each component the paragraph that comes first stays.
 
 A passage may also stand inside longer lines, at other places in each.  So the sequence of words is also cut into overlapping pieces
 of LEAST words that start at content-defined places: the least hash of every AHEAD starts in a row.  A
@@ -29,7 +29,6 @@ from .near_dup import near_duplicates
 
 SHINGLE = 5
 LEAST, AHEAD = 24, 26
-BANDS, ROWS = 8, 3
 
 _PIECES = "doc_id long, start long, end long, c long"
 
@@ -85,7 +84,7 @@ def repeated_passages(docs: DataFrame) -> DataFrame:
     texts = docs.where("doc_id is not null and text is not null").select(F.col("doc_id").cast("long").alias("doc_id"), "text")
 
     lines = written(paragraphs(texts).withColumn("id", F.monotonically_increasing_id()), "paragraphs")
-    near = near_duplicates(lines.select(F.col("id").alias("doc_id"), "text"), size=SHINGLE, bands=BANDS, rows=ROWS)
+    near = near_duplicates(lines.select(F.col("id").alias("doc_id"), "text"), size=SHINGLE)
     classes = near.select(F.col("doc_id").alias("id"), F.col("component_id").alias("class"))
     placed = written(lines.select("id", "doc_id", "line", "words").join(classes, "id"), "paragraph-classes")
     first = placed.groupBy("class").agg(F.min(F.struct("doc_id", "line")).alias("first"), F.count(F.lit(1)).alias("m")).where("m > 1").select("class", "first")

@@ -23,3 +23,15 @@ def test_short_lines_are_paragraphs(spark):
     lines = lambda x: f"{prose(r, 30)}\n{x}\n{prose(r, 30)}"
     rows = [(1, lines(eight)), (2, lines(eight)), (3, lines(fourteen)), (4, lines(near)), (5, lines(five)), (6, lines(five)), (7, lines("one two three four")), (8, lines("one two three four"))]
     assert found(spark, rows) == {(2, "paragraph", 1), (4, "paragraph", 3), (6, "paragraph", 5)}
+
+
+def test_no_near_paragraph_is_missed(spark):
+    """350 pairs at a similarity of 0.8 exactly; 8 bands of 3 miss four of them."""
+    r = random.Random(30)
+    rows = []
+    for i in range(1350):
+        line = prose(r, 40).split(" ")
+        near = [*line[:3], "changed", *line[4:]]
+        rows += [(2 * i, " ".join(line)), (2 * i + 1, " ".join(near))]
+    got = {(d, k) for d, kind, k in found(spark, rows[2000:]) if kind == "paragraph"}
+    assert got == {(2 * i + 1, 2 * i) for i in range(1000, 1350)}
