@@ -6,8 +6,8 @@ its 32 bands of 4: a pair at the threshold of 0.8 shares no band with a probabil
 
 A passage may also stand inside longer lines, at other places in each.  So the sequence of words is also cut into overlapping pieces
 of LEAST words that start at content-defined places: the least hash of every AHEAD starts in a row.  A
-passage of LEAST + AHEAD - 1 words or more has an equal piece wherever it stands; pieces that documents share are grouped by their hash, the
-first document keeps its own, and adjoining ones become one span.
+passage of LEAST + AHEAD - 1 words or more has an equal piece wherever it stands; equal pieces, of one document or of several, are grouped by their hash, the
+first by document and place stays, those that don't overlap it are repeats, and adjoining ones become one span.
 
 Defined results: a null text, a text without a long paragraph or passage, and rows with a null doc_id have no rows here; rows
 that repeat doc_id and text are one document; an empty table gives an empty result; only doc_id and text are read; very
@@ -80,7 +80,7 @@ def repeated_passages(docs: DataFrame) -> DataFrame:
     """doc_id, kind, line, start, end, n_words, kept_doc_id: every paragraph and span that repeats an earlier one.
 
     kind `paragraph`: line is its number, from 0, and kept_doc_id has the one that stays (it may be the same document).  kind `passage`: start and end are bytes, and
-    the first document that has its first piece is kept_doc_id."""
+    the document of the first occurrence of its first piece is kept_doc_id (it may be the same document)."""
     texts = docs.where("doc_id is not null and text is not null").select(F.col("doc_id").cast("long").alias("doc_id"), "text")
 
     lines = written(paragraphs(texts).withColumn("id", F.monotonically_increasing_id()), "paragraphs")
@@ -93,8 +93,11 @@ def repeated_passages(docs: DataFrame) -> DataFrame:
     gone = gone.select("doc_id", F.lit("paragraph").alias("kind"), "line", F.lit(None).cast("long").alias("start"), F.lit(None).cast("long").alias("end"), F.col("words").alias("n_words"), "kept_doc_id")
 
     found = written(texts.mapInArrow(_pieces, _PIECES), "pieces")
-    shared = found.groupBy("c").agg(F.min("doc_id").alias("kept_doc_id"), F.max("doc_id").alias("last")).where("kept_doc_id < last").select("c", "kept_doc_id")
-    again = found.join(small(written(shared, "shared-pieces")), "c").where("doc_id > kept_doc_id").select("doc_id", "start", "end", "kept_doc_id").distinct()
+    # a piece that overlaps the kept one in its document is no repeat: words that run on equal would be repeats of themselves
+    place = F.struct("doc_id", "start", "end")
+    shared = found.groupBy("c").agg(F.min(place).alias("kept"), F.max(place).alias("last"))
+    shared = shared.where("kept.doc_id < last.doc_id or kept.end <= last.start").select("c", F.col("kept.doc_id").alias("kept_doc_id"), F.col("kept.end").alias("kept_end"))
+    again = found.join(small(written(shared, "shared-pieces")), "c").where("doc_id > kept_doc_id or start >= kept_end").select("doc_id", "start", "end", "kept_doc_id").distinct()
     inside = Window.partitionBy("doc_id").orderBy("start")
     upto = F.max("end").over(inside.rowsBetween(Window.unboundedPreceding, -1))
     marked = again.withColumn("new", F.when(F.col("start") <= upto, 0).otherwise(1)).withColumn("span", F.sum("new").over(inside))

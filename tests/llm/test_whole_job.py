@@ -35,3 +35,13 @@ def test_no_near_paragraph_is_missed(spark):
         rows += [(2 * i, " ".join(line)), (2 * i + 1, " ".join(near))]
     got = {(d, k) for d, kind, k in found(spark, rows[2000:]) if kind == "paragraph"}
     assert got == {(2 * i + 1, 2 * i) for i in range(1000, 1350)}
+
+
+def test_passages_that_one_document_repeats(spark):
+    r = random.Random(22)
+    passage = prose(r, 60)
+    text = f"{prose(r, 10)} {passage} {prose(r, 15)} {passage} {prose(r, 12)}"
+    rows = [(1, text), (1, text), (2, prose(r, 100)), (3, "x " * 40)]
+    got = [(x.doc_id, x.kind, x.kept_doc_id, x.start, x.end) for x in paragraph_dedup.repeated_passages(spark.createDataFrame(rows, "doc_id long, text string")).collect()]
+    second = text.rindex(passage)
+    assert [x[:3] for x in got] == [(1, "passage", 1)] and second <= got[0][3] and got[0][4] <= second + len(passage)
