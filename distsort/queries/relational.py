@@ -112,6 +112,13 @@ plain("q_join_range", f"select o_orderkey, p_partkey from orders join {_RANGES}
 plain("q_join_interval", "select a.event_id as a, b.event_id as b from events a join (select event_id, ts as lo, ts + interval 1 minute as hi from events where event_id % 100 = 0) b on a.ts >= lo and a.ts < hi", "events")(
     lambda e: R.range_join(e.select(F.col("event_id").alias("a"), "ts"), e.where("event_id % 100 = 0").select(F.col("event_id").alias("b"), F.col("ts").alias("lo"), (F.col("ts") + F.expr("interval 1 minute")).alias("hi")), "ts", "lo", "hi").select("a", "b")
 )
+# the same joins over all parts and all events
+plain("q_join_range_full", "select o_orderkey, p_partkey from orders join (select p_partkey, p_retailprice * 50 as lo, p_retailprice * 50 + 20 as hi from part) on o_totalprice >= lo and o_totalprice < hi", "orders", "part")(
+    lambda o, p: R.range_join(o.select("o_orderkey", "o_totalprice"), p.select("p_partkey", (F.col("p_retailprice") * 50).alias("lo"), (F.col("p_retailprice") * 50 + 20).alias("hi")), "o_totalprice", "lo", "hi").select("o_orderkey", "p_partkey")
+)
+plain("q_join_interval_full", "select a.event_id as a, b.event_id as b from events a join (select event_id, ts as lo, ts + interval 1 minute as hi from events) b on a.ts >= lo and a.ts < hi", "events")(
+    lambda e: R.range_join(e.select(F.col("event_id").alias("a"), "ts"), e.select(F.col("event_id").alias("b"), F.col("ts").alias("lo"), (F.col("ts") + F.expr("interval 1 minute")).alias("hi")), "ts", "lo", "hi").select("a", "b")
+)
 plain("q_join_asof", "select a.event_id, b.value as purchase from (select * from events where event_type <> 'purchase') a asof left join (select user_id, ts, value from events where event_type = 'purchase') b on a.user_id = b.user_id and a.ts >= b.ts", "events")(
     lambda e: R.asof_join(e.where("event_type <> 'purchase'").select("event_id", "user_id", "ts"), e.where("event_type = 'purchase'").select("user_id", "ts", "value"), "user_id", "ts", "value", "purchase").select("event_id", "purchase")
 )
@@ -231,6 +238,7 @@ plain("q_fn_array", "select vec_id, len(embedding)::int as n, embedding[1]::doub
     lambda e: e.select("vec_id", F.size("embedding").alias("n"), F.element_at("embedding", 1).cast("double").alias("a"), F.array_min("embedding").cast("double").alias("lo"), F.array_max("embedding").cast("double").alias("hi"), F.size(F.filter("embedding", lambda x: x > 0)).alias("pos"), F.array_position("embedding", F.array_max("embedding")).alias("at"))
 )
 plain("q_sort_within_array", "select vec_id, i::int as i, x::double as x from (select vec_id, unnest(list_sort(embedding)) as x, unnest(range(len(embedding))) as i from embeddings) where i < 5", "embeddings")(lambda e: e.select("vec_id", F.posexplode(F.slice(F.array_sort("embedding"), 1, 5)).alias("i", "x")).withColumn("x", F.col("x").cast("double")))
+plain("q_sort_within_array_full", "select vec_id, i::int as i, x::double as x from (select vec_id, unnest(list_sort(embedding)) as x, unnest(range(len(embedding))) as i from embeddings)", "embeddings")(lambda e: e.select("vec_id", F.posexplode(F.array_sort("embedding")).alias("i", "x")).withColumn("x", F.col("x").cast("double")))
 plain("q_fn_map", "select n_nationkey, n_name as v, 2 as n from nation", "nation")(
     lambda n: n.withColumn("m", F.map_from_arrays(F.array(F.lit("name"), F.lit("region")), F.array("n_name", F.col("n_regionkey").cast("string")))).select("n_nationkey", F.element_at("m", "name").alias("v"), F.size(F.map_keys(F.map_filter("m", lambda k, v: v.isNotNull()))).alias("n"))
 )
