@@ -18,7 +18,7 @@ import numpy as np
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import words, written
+from .common import small, words, written
 
 SEED = 20260
 #: Weights of the sources by code point, repeating; words of the mix as a share of all words; most epochs of a source.
@@ -65,15 +65,15 @@ def splitting_tree(blocks: np.ndarray, shards: int, rng: np.random.Generator) ->
 
 
 def permuted(docs: DataFrame, seed: int = SEED) -> DataFrame:
-    """doc_id, source, size and the digest that orders the documents of a source."""
+    """doc_id, source, size, the digest that orders the documents of a source, and the text's hash t."""
     key = F.md5(F.concat(F.lit(f"{seed}:"), F.coalesce(F.col("doc_id").cast("string"), F.lit(""))))
-    return docs.select("doc_id", "source", F.size(words("text")).cast("long").alias("size"), key.alias("key"))
+    return docs.select("doc_id", "source", F.size(words("text")).cast("long").alias("size"), key.alias("key"), F.xxhash64("text").alias("t"))
 
 
 def draws(docs: DataFrame, weights=WEIGHTS, share: float = SHARE, epochs: float = EPOCHS, shards: int = SHARDS, seed: int = SEED, whole: bool = False) -> tuple[DataFrame, DataFrame]:
     """The mix: (thin, draws).
 
-    thin: doc_id, source, size, key, source_size, target, row.  draws: row, doc_id, copy, words, shard, block, shuffle_key; a row for each time that a document is taken.
+    thin: doc_id, source, size, key, t, source_size, target, row.  draws: row, doc_id, source, t, copy, words, shard, block, shuffle_key; a row for each time that a document is taken.
     The document that reaches its source's target is cut there; with whole, it is taken if at least half of it is wanted."""
     spark = docs.sparkSession
     # a prefix of the key cuts a source into parts; parts' sums give each part its first word
@@ -81,7 +81,7 @@ def draws(docs: DataFrame, weights=WEIGHTS, share: float = SHARE, epochs: float
     targets = written(source_targets(thin, weights, share, epochs), "mix-targets")
     parts = thin.groupBy("source", "part").agg(F.sum("size").alias("m"))
     parts = parts.withColumn("base", F.sum("m").over(Window.partitionBy("source").orderBy("part")) - F.col("m")).drop("m")
-    inside = Window.partitionBy("source", "part").orderBy("key", "doc_id").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    inside = Window.partitionBy("source", "part").orderBy("key", "doc_id", "t").rowsBetween(Window.unboundedPreceding, Window.currentRow)
     same = lambda a, b, *on: [a[c].eqNullSafe(b[c]) for c in on]
     at = thin.withColumn("upto", F.sum("size").over(inside))
     at = at.join(parts.select(F.col("source").alias("s2"), F.col("part").alias("p2"), "base"), F.col("source").eqNullSafe(F.col("s2")) & (F.col("part") == F.col("p2"))).drop("s2", "p2")
@@ -107,10 +107,10 @@ def draws(docs: DataFrame, weights=WEIGHTS, share: float = SHARE, epochs: float
         take = F.when(wanted * 2 >= F.col("size"), F.col("size")).otherwise(0)
     else:
         take = F.greatest(F.lit(0), F.least(F.col("size").cast("double"), F.floor(wanted)))
-    out = at.where(F.col("size") > 0).select("row", "doc_id", "rank", "size", "before", "source_size", "target", "key", copy).withColumn("words", take.cast("long")).where(F.col("words") > 0)
+    out = at.where(F.col("size") > 0).select("row", "doc_id", "source", "t", "rank", "size", "before", "source_size", "target", "key", copy).withColumn("words", take.cast("long")).where(F.col("words") > 0)
     last = F.greatest(F.lit(0), F.ceil(F.col("target") / F.lit(each)) - 1)
     out = out.withColumn("block", F.least(F.floor(start / F.lit(each)), last).cast("long")).join(F.broadcast(table), ["rank", "block"])
-    return at, out.select("row", "doc_id", "copy", "words", "shard", "block", F.xxhash64("key", "copy", "shard").alias("shuffle_key"))
+    return at, out.select("row", "doc_id", "source", "t", "copy", "words", "shard", "block", F.xxhash64("key", "copy", "shard").alias("shuffle_key"))
 
 
 def mixed(docs: DataFrame, **options) -> DataFrame:
@@ -122,12 +122,21 @@ def mixed(docs: DataFrame, **options) -> DataFrame:
 
 def mix_documents(docs: DataFrame, **options) -> DataFrame:
     """The rows of docs, each as often as the mix takes it (whole documents), with docs' columns."""
-    _, taken = draws(docs, whole=True, **options)
-    copies = taken.groupBy("doc_id").agg(F.count(F.lit(1)).alias("_n"), F.countDistinct("row").alias("_rows"))
-    # rows that repeat a doc_id share what was drawn for it
-    named = copies.select(F.col("doc_id").alias("_id"), F.round(F.col("_n") / F.col("_rows")).cast("int").alias("_copies"))
-    joined = docs.join(named.where("_copies > 0"), F.col("doc_id").eqNullSafe(F.col("_id")), "inner")
-    return joined.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_copies")))).select(*[docs[c] for c in docs.columns])
+    thin, taken = draws(docs, whole=True, **options)
+    key = ["doc_id", "source", "t"]
+    place = Window.partitionBy(*(f"_{k}" for k in key))
+    copies = taken.groupBy("row", *key).agg(F.count(F.lit(1)).cast("int").alias("_copies")).select("row", *[F.col(k).alias(f"_{k}") for k in key], "_copies")
+    # rows that are equal in doc_id, source and text are told apart by a number
+    copies = copies.withColumn("_i", F.row_number().over(place.orderBy("row"))).drop("row")
+    twice = thin.where("size > 0").groupBy(*key).agg(F.count(F.lit(1)).alias("m")).where("m > 1")
+    twice = written(twice.select(*[F.col(k).alias(f"_{k}") for k in key]), "mix-twice")
+    here = F.col("doc_id").eqNullSafe(F.col("_doc_id")) & F.col("source").eqNullSafe(F.col("_source")) & (F.xxhash64("text") == F.col("_t"))
+    once = docs.join(small(twice), here, "left_anti").join(copies.where("_i = 1"), here).select(*docs.columns, "_copies")
+    again = docs.join(small(twice), here).withColumn("_i", F.row_number().over(place.orderBy("_t")))
+    drawn = copies.select(*[F.col(f"_{k}").alias(f"_drawn_{k}") for k in key], F.col("_i").alias("_drawn_i"), "_copies")
+    same = [F.col(f"_{k}").eqNullSafe(F.col(f"_drawn_{k}")) for k in (*key, "i")]
+    joined = once.unionByName(again.join(drawn, same).select(*docs.columns, "_copies"))
+    return joined.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_copies")))).select(*docs.columns)
 
 
 _WORDS = "regexp_split_to_array(coalesce(text, ''), '[\\x20\\x09-\\x0D]+')"

@@ -1,7 +1,7 @@
 """Near duplicates by fast similarity sketching, banding and exact verification.
 
 Every text's shingle set gets a sketch of WIDTH coordinates; a band is the hash of ROWS of them.  Texts of equal sets are one
-class and stand for each other from here on.  Classes that share a band meet in a bucket.  First, each bucket's members are held
+class and stand for each other from here on; classes have ids of their own, and a class's text is found again by doc_id and the text's hash.  Classes that share a band meet in a bucket.  First, each bucket's members are held
 against its smallest one, on their full sets, and linked ones become one component: in buckets of 8 bands at once, then of 2, leaving out
 pairs that are in one component by then.  Documents in buckets of one band that are of several components after that
 are settled by their rarest shingles (linked ones share one of as many as a link may lack and one more), in rounds: a few members of
@@ -12,7 +12,8 @@ A pair at the threshold of 0.8 misses all 32 bands of 4 with a probability of 5e
 
 Defined results: a null text, and one without words, has the empty set, is linked with nothing and kept; a row with a
 null doc_id can't be named: it is linked with nothing, its component is null, and it is kept; rows that repeat a doc_id
-share a component; an empty table gives an empty result; only doc_id and text are read.
+share a component, whatever their texts; an empty table gives an empty result; only doc_id and text are read.  Dropping
+goes by rows instead: texts of one doc_id are judged each for itself, and rows with a null doc_id like any other.
 """
 
 from __future__ import annotations
@@ -51,8 +52,8 @@ def _sketched(size: int, bands: int, rows: int, lower: bool):
                 keys = keys[n > 0]
                 offsets = np.concatenate([[0], np.cumsum((n > 0) * bands)]).astype(np.int32)
                 yield pa.RecordBatch.from_arrays(
-                    [batch.column("doc_id").slice(i, j - i), pa.array(n), pa.array(f1.view(np.int64)), pa.array(f2.view(np.int64)), pa.ListArray.from_arrays(pa.array(offsets), pa.array(keys.reshape(-1).view(np.int64)))],
-                    ["doc_id", "n", "f1", "f2", "bands"],
+                    [batch.column("doc_id").slice(i, j - i), batch.column("t").slice(i, j - i), pa.array(n), pa.array(f1.view(np.int64)), pa.array(f2.view(np.int64)), pa.ListArray.from_arrays(pa.array(offsets), pa.array(keys.reshape(-1).view(np.int64)))],
+                    ["doc_id", "t", "n", "f1", "f2", "bands"],
                 )
 
     return run
@@ -114,25 +115,34 @@ def with_class(rows: DataFrame, classes: DataFrame, total: int) -> DataFrame:
     return both.where(F.col("hot").isNotNull()).withColumnRenamed("hot", "rep").unionByName(rest)
 
 
-def near_duplicates(docs: DataFrame, threshold: tuple[int, int] = (80, 100), size: int = 5, bands: int = BANDS, rows: int = ROWS, lower: bool = True) -> DataFrame:
-    """doc_id, n_shingles, component_id, kept; threshold: links have intersection / union of at least this fraction."""
+def _clustered(docs: DataFrame, threshold: tuple[int, int], size: int, bands: int, rows: int, lower: bool, unnamed: bool) -> tuple[DataFrame, DataFrame]:
+    """(placed, linked): doc_id, t, n, rep, own for every row, and node, component, own for the classes that have links.
+
+    t is the text's hash, rep the row's class, and own the class's first row (unnamed, doc_id, t).  Rows without words have no class; with
+    unnamed, rows with a null doc_id have one."""
     top, bottom = threshold
-    texts = docs.select("doc_id", "text")
+    texts = docs.select("doc_id", "text", F.xxhash64("text").alias("t"))
     kind = dict(texts.dtypes)["doc_id"]
-    sketched = written(texts.mapInArrow(_sketched(size, bands, rows, lower), f"doc_id {kind}, n long, f1 long, f2 long, bands array<long>"), "near-sketches")
-    named = sketched.where("n > 0 and doc_id is not null")
-    classes = written(named.groupBy("f1", "f2").agg(F.min("doc_id").alias("rep"), F.count(F.lit(1)).alias("n_rows")), "near-classes")
+    sketched = written(texts.mapInArrow(_sketched(size, bands, rows, lower), f"doc_id {kind}, t long, n long, f1 long, f2 long, bands array<long>"), "near-sketches")
+    named = sketched.where("n > 0") if unnamed else sketched.where("n > 0 and doc_id is not null")
+    grouped = named.groupBy("f1", "f2").agg(F.min(F.struct(F.col("doc_id").isNull().alias("unnamed"), "doc_id", "t")).alias("own"), F.count(F.lit(1)).alias("n_rows"))
+    classes = written(grouped.select("f1", "f2", F.monotonically_increasing_id().alias("rep"), "own", F.col("own.doc_id").alias("rep_doc"), F.col("own.t").alias("rep_t"), "n_rows"), "near-classes")
     total = sketched.count()
+    lookup = classes.select("f1", "f2", F.struct("rep", "own").alias("rep"), "n_rows")
 
     # a class's representative carries its bands; buckets of one class are done
-    reps = named.join(classes.select("f1", "f2", F.col("rep").alias("doc_id")), ["f1", "f2", "doc_id"], "left_semi").dropDuplicates(["doc_id"])
+    firsts = classes.select("f1", "f2", F.col("rep").alias("node"), "rep_doc", "rep_t")
+    is_first = F.col("doc_id").eqNullSafe(F.col("rep_doc")) & (F.col("t") == F.col("rep_t"))
+    reps = named.join(firsts, ["f1", "f2"]).where(is_first).select(F.col("node").alias("doc_id"), "n", "bands").dropDuplicates(["doc_id"])
     rows_ = reps.select("doc_id", "n", F.explode("bands").alias("key"))
     shared = written(rows_.groupBy("key").agg(F.count(F.lit(1)).alias("m")).where("m > 1"), "near-buckets")
     members = written(rows_.join(small(shared.select("key")), "key").select("key", "doc_id", "n"), "near-members")
     ids = written(members.select(F.col("doc_id").alias("id")).distinct(), "near-ids")
-    here = F.col("doc_id") == F.col("id")
-    banded = written(reps.join(small(ids), here, "left_semi").select("doc_id", "n", "bands"), "near-bands")
-    cand = written(texts.join(small(ids), here, "left_semi").dropDuplicates(["doc_id"]), "near-texts")
+    banded = written(reps.join(small(ids), F.col("doc_id") == F.col("id"), "left_semi").select("doc_id", "n", "bands"), "near-bands")
+    wanted = written(classes.join(small(ids), F.col("rep") == F.col("id"), "left_semi").select(F.col("rep").alias("node"), "rep_doc", "rep_t"), "near-wanted")
+    cand = written(texts.join(small(wanted), is_first).select(F.col("node").alias("doc_id"), "text").dropDuplicates(["doc_id"]), "near-texts")
+    # from here on, doc_id is a class's id
+    kind = "long"
 
     def verified(pairs: DataFrame) -> DataFrame:
         """The linked ones of pairs (a, b)."""
@@ -206,25 +216,56 @@ def near_duplicates(docs: DataFrame, threshold: tuple[int, int] = (80, 100), siz
         members = written(open_.join(small(chosen.select("key", F.col("b").alias("doc_id"))), ["key", "doc_id"], "left_anti").select("key", "doc_id", "n", "i"), "near-members")
         pivots *= 8
 
-    answer = with_class(sketched.select("doc_id", "n", "f1", "f2"), classes, total)
-    answer = answer.join(small(found), F.col("rep") == F.col("node"), "left")
-    linked = (F.col("n") > 0) & F.col("doc_id").isNotNull()
-    component = F.when(linked, F.coalesce("component", "rep", "doc_id")).otherwise(F.col("doc_id"))
-    out = answer.select("doc_id", F.col("n").alias("n_shingles"), component.alias("component_id"))
+    unplaced = sketched.select("doc_id", "t", "n", "f1", "f2")
+    if not unnamed:
+        nameless = unplaced.where("doc_id is null").withColumn("rep", F.lit(None).cast(lookup.schema["rep"].dataType))
+        unplaced = unplaced.where("doc_id is not null")
+    placed = with_class(unplaced, lookup, total)
+    if not unnamed:
+        placed = placed.unionByName(nameless)
+    linked = found.join(classes.select("rep", "own"), F.col("node") == F.col("rep")).select("node", "component", "own")
+    return written(placed.select("doc_id", "t", "n", "rep.rep", "rep.own"), "near-placed"), written(linked, "near-linked")
+
+
+def near_duplicates(docs: DataFrame, threshold: tuple[int, int] = (80, 100), size: int = 5, bands: int = BANDS, rows: int = ROWS, lower: bool = True) -> DataFrame:
+    """doc_id, n_shingles, component_id, kept; threshold: links have intersection / union of at least this fraction."""
+    placed, linked = _clustered(docs, threshold, size, bands, rows, lower, False)
+    # a doc_id of several texts ties their classes
+    several = placed.where("doc_id is not null").groupBy("doc_id").agg(F.min("rep").alias("b"), F.max("rep").alias("last"), F.count(F.lit(1)).alias("m"), F.count("rep").alias("with"))
+    several = written(several.where("b < last or (with > 0 and with < m)").select(F.col("doc_id").alias("_id"), "b"), "near-several")
+    tied = not several.isEmpty()
+    if tied:
+        here = written(placed.join(small(several), F.col("doc_id") == F.col("_id")).where("rep is not null").select("rep", "b", "own").distinct(), "near-ties")
+        edges = linked.select(F.col("node").alias("a"), F.col("component").alias("b")).unionByName(here.where("rep > b").select(F.col("rep").alias("a"), "b"))
+        known = linked.select("node", "own").unionByName(here.select(F.col("rep").alias("node"), "own")).distinct()
+        linked = written(components(edges).join(known, "node").select("node", "component", "own"), "near-linked")
+    least = written(linked.groupBy("component").agg(F.min("own.doc_id").alias("component_id")), "near-least")
+    label = written(linked.join(small(least), "component").select("node", "component_id"), "near-labels")
+    component = F.coalesce("component_id", "own.doc_id", "doc_id")
+    out = placed.join(small(label), F.col("rep") == F.col("node"), "left").select("doc_id", F.col("n").alias("n_shingles"), component.alias("component_id"))
+    if tied:
+        # rows without words go with the others of their doc_id
+        other = written(out.join(small(several), F.col("doc_id") == F.col("_id")).groupBy("_id").agg(F.min("component_id").alias("_c")), "near-tied")
+        out = out.join(small(other), F.col("doc_id") == F.col("_id"), "left").select("doc_id", "n_shingles", F.coalesce("_c", "component_id").alias("component_id"))
     return out.withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
 
 
-def drop_near_duplicates(docs: DataFrame, **options) -> DataFrame:
-    """docs without the rows that stand behind another of their component; of rows that repeat doc_id and text, one stays."""
-    near = written(near_duplicates(docs, **options), "near-answer")
-    gone = near.where("not kept").select(F.col("doc_id").alias("_id")).distinct()
-    kept = docs.join(small(written(gone, "near-gone")), F.col("doc_id") == F.col("_id"), "left_anti")
-    twice = written(near.where("kept and doc_id is not null").groupBy("doc_id").agg(F.count(F.lit(1)).alias("m")).where("m > 1").select(F.col("doc_id").alias("_id")), "near-twice")
+def drop_near_duplicates(docs: DataFrame, threshold: tuple[int, int] = (80, 100), size: int = 5, bands: int = BANDS, rows: int = ROWS, lower: bool = True) -> DataFrame:
+    """docs with one row of each component of texts, that of the least doc_id (null ones last); of rows that repeat doc_id and text, one stays."""
+    placed, linked = _clustered(docs, threshold, size, bands, rows, lower, True)
+    first = written(linked.groupBy("component").agg(F.min("own").alias("first")), "near-firsts")
+    label = written(linked.join(small(first), "component").select("node", "first"), "near-labels")
+    stays = F.coalesce("first", "own")
+    behind = ~(F.col("doc_id").eqNullSafe(stays["doc_id"]) & (F.col("t") == stays["t"]))
+    gone = placed.where("rep is not null").join(small(label), F.col("rep") == F.col("node"), "left").where(behind).select(F.col("doc_id").alias("_id"), F.col("t").alias("_t")).distinct()
+    here = F.col("doc_id").eqNullSafe(F.col("_id")) & (F.xxhash64("text") == F.col("_t"))
+    left = docs.join(small(written(gone, "near-gone")), here, "left_anti")
+    twice = placed.where("doc_id is not null or n > 0").groupBy("doc_id", "t").agg(F.count(F.lit(1)).alias("m")).where("m > 1")
+    twice = written(twice.select(F.col("doc_id").alias("_id"), F.col("t").alias("_t")), "near-twice")
     if twice.isEmpty():
-        return kept
-    again = F.col("doc_id") == F.col("_id")
-    one = kept.join(small(twice), again, "left_semi").dropDuplicates(["doc_id", "text"])
-    return kept.join(small(twice), again, "left_anti").unionByName(one)
+        return left
+    one = left.join(small(twice), here, "left_semi").dropDuplicates(["doc_id", "text"])
+    return left.join(small(twice), here, "left_anti").unionByName(one)
 
 
 ORACLE = """

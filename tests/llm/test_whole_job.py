@@ -2,7 +2,7 @@
 
 import random
 
-from distsort.llm import paragraph_dedup
+from distsort.llm import near_dup, paragraph_dedup
 
 
 def prose(r, n):
@@ -45,3 +45,33 @@ def test_passages_that_one_document_repeats(spark):
     got = [(x.doc_id, x.kind, x.kept_doc_id, x.start, x.end) for x in paragraph_dedup.repeated_passages(spark.createDataFrame(rows, "doc_id long, text string")).collect()]
     second = text.rindex(passage)
     assert [x[:3] for x in got] == [(1, "passage", 1)] and second <= got[0][3] and got[0][4] <= second + len(passage)
+
+
+# ---- 9: near duplicates
+
+
+def test_texts_of_one_doc_id(spark):
+    """Held against the SQL; and the stage keeps each clean text."""
+    import duckdb
+    import pandas as pd
+
+    r = random.Random(23)
+    a, b, c = prose(r, 40), prose(r, 40), prose(r, 40)
+    near = c.rsplit(" ", 1)[0] + " changed"
+    rows = [(3, a), (7, a), (7, b), (8, near), (9, ""), (9, c), (10, b), (11, None), (12, "")]
+    frame = pd.DataFrame(rows, columns=["doc_id", "text"])
+    con = duckdb.connect()
+    con.register("documents", frame)
+    want = {tuple(map(int, x)) for x in con.execute(near_dup.ORACLE).fetchall()}
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(4)
+    assert {(x.doc_id, x.n_shingles, x.component_id, int(x.kept)) for x in near_dup.near_duplicates(df, size=2).collect()} == want
+    got = sorted((x.doc_id, x.text or "") for x in near_dup.drop_near_duplicates(df, size=2).collect())
+    assert got == sorted([(3, a), (7, b), (8, near), (9, ""), (11, ""), (12, "")])
+
+
+def test_rows_without_id_are_judged(spark):
+    r = random.Random(24)
+    a, b = prose(r, 40), prose(r, 40)
+    rows = [(None, a), (3, a), (None, b), (None, b), (None, ""), (None, ""), (None, None)]
+    got = near_dup.drop_near_duplicates(spark.createDataFrame(rows, "doc_id long, text string").repartition(3)).collect()
+    assert sorted((x.doc_id or 0, x.text or "") for x in got) == sorted([(3, a), (0, b), (0, ""), (0, ""), (0, "")])
