@@ -1,8 +1,11 @@
 """Places where an operator once did less than the whole job."""
 
 import random
+from collections import Counter
 
-from distsort.llm import near_dup, paragraph_dedup
+import numpy as np
+
+from distsort.llm import mixing, near_dup, paragraph_dedup, secret_scan
 
 
 def prose(r, n):
@@ -75,3 +78,33 @@ def test_rows_without_id_are_judged(spark):
     rows = [(None, a), (3, a), (None, b), (None, b), (None, ""), (None, ""), (None, None)]
     got = near_dup.drop_near_duplicates(spark.createDataFrame(rows, "doc_id long, text string").repartition(3)).collect()
     assert sorted((x.doc_id or 0, x.text or "") for x in got) == sorted([(3, a), (0, b), (0, ""), (0, ""), (0, "")])
+
+
+def test_mix_draws_rows(spark):
+    """Rows of one doc_id, of two texts and sources, are taken as their own draws say."""
+    r = random.Random(25)
+    rows = [(i % 40, prose(r, 5 + i % 30), "ab"[i // 40 % 2]) for i in range(160)] + [(1, "same text", "a")] * 3
+    df = spark.createDataFrame(rows, "doc_id long, text string, source string").repartition(3)
+    thin, taken = mixing.draws(df, whole=True)
+    want = Counter((x.doc_id, x.source, x.size) for x in thin.join(taken.select("row"), "row").collect())
+    got = Counter((x.doc_id, x.source, len(x.text.split())) for x in mixing.mix_documents(df).collect())
+    assert got == want and len(want) > 50
+
+
+# ---- 7: secrets
+
+
+class Everything:
+    """A network that finds all that it sees."""
+
+    threshold = 0.5
+
+    def score(self, windows):
+        return np.ones(len(windows))
+
+
+def test_network_sees_every_run(spark):
+    hex_ = "0123456789abcdef01234567"
+    texts = [f"key {hex_}ZZxx99 end", "a" * 9 + "Bcdefghij x", "1234567890123456", "token=abcdefghijklmnopq1 x", f"é {hex_} x"]
+    got = [x.spans for x in secret_scan.scan(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"), Everything()).orderBy("doc_id").collect()]
+    assert got == ["hex:4:28,cnn:4:34", "cnn:0:18", "cnn:0:16", "assign:0:24", "hex:2:26"]
