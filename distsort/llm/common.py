@@ -7,7 +7,7 @@ import tempfile
 import uuid
 from pathlib import Path
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
 #: Words are maximal runs without these: space and the bytes 0x09 to 0x0D.
@@ -15,6 +15,8 @@ BLANKS = "[\\x20\\x09-\\x0D]+"
 
 #: Rows that a side may have to be broadcast with a hint; beyond it Spark deals both sides out.
 BROADCAST_ROWS = 200_000
+#: Rows that a task that writes a table takes at least, where the table's rows are bounded beforehand: small tables are few files.
+ROWS_A_FILE = 100_000
 
 
 def ready(spark: SparkSession) -> SparkSession:
@@ -39,12 +41,23 @@ def scratch(spark: SparkSession) -> str:
     return f"{found}/distsort/{sc.applicationId}"
 
 
-def written(df: DataFrame, label: str) -> DataFrame:
-    """Write df once to the shared folder and read it back: its lineage is cut, and no lost executor costs it."""
-    spark = ready(df.sparkSession)
+def written(df: DataFrame, label: str, most: int | None = None, rows_a_file: int = ROWS_A_FILE) -> DataFrame:
+    """Write df once to the shared folder and read it back: its lineage is cut, and no lost executor costs it.
+
+    most: rows that df has at most, if that is known; rows that cost much may be fewer to a file."""
+    spark, seen = ready(df.sparkSession), Observation()
     path = f"{scratch(spark)}/{label}-{uuid.uuid4().hex}"
-    df.write.option("compression", "zstd").parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    dealt = df if most is None else df.coalesce(1 + most // rows_a_file)
+    dealt.observe(seen, F.count(F.lit(1)).alias("n")).write.option("compression", "zstd").parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._written_rows = seen.get["n"]
+    return out
+
+
+def rows_of(df: DataFrame) -> int:
+    """The rows of a table, known if it comes from `written`."""
+    n = getattr(df, "_written_rows", None)
+    return df.count() if n is None else n
 
 
 def release(spark: SparkSession) -> None:
@@ -56,10 +69,23 @@ def release(spark: SparkSession) -> None:
 
 def small(df: DataFrame, rows: int | None = None, most: int = BROADCAST_ROWS) -> DataFrame:
     """df with a broadcast hint if it has at most `most` rows, else as it is; rows: its count, or that of what its lists hold, if known."""
-    n = df.limit(most + 1).count() if rows is None else rows
+    n = getattr(df, "_written_rows", None) if rows is None else rows
+    n = df.limit(most + 1).count() if n is None else n
     return F.broadcast(df) if n <= most else df
 
 
+def unused(df: DataFrame, *wanted: str) -> list[str]:
+    """Column names like the wanted ones that df doesn't have, in any case of letters."""
+    taken, out = {c.lower() for c in df.columns}, []
+    for name in wanted:
+        name = f"_{name}"
+        while name.lower() in taken:
+            name = f"_{name}"
+        taken.add(name.lower())
+        out.append(name)
+    return out
+
+
 def words(text: Column | str) -> Column:
     """The words of a text as an array; none for null."""
     c = F.col(text) if isinstance(text, str) else text
