@@ -26,12 +26,14 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import textkernel as tk
-from .common import small, written
+from .common import rows_of, small, unused, written
 from .components import components
 
 BANDS, ROWS = 32, 4
 #: Bands that a bucket of the first rounds stands for.
 LEVELS = (8, 2)
+#: Texts, or pairs of them, that a task takes at least.
+TEXTS_A_FILE = 2_000
 #: Cells of shingle counts by which shingles are ordered; 8 bytes each.
 CELLS = 1 << 18
 #: A class of over 1/HEAVY of all rows is looked up by broadcast; there are fewer than HEAVY of them.
@@ -126,8 +128,8 @@ def _clustered(docs: DataFrame, threshold: tuple[int, int], size: int, bands: in
     sketched = written(texts.mapInArrow(_sketched(size, bands, rows, lower), f"doc_id {kind}, t long, n long, f1 long, f2 long, bands array<long>"), "near-sketches")
     named = sketched.where("n > 0") if unnamed else sketched.where("n > 0 and doc_id is not null")
     grouped = named.groupBy("f1", "f2").agg(F.min(F.struct(F.col("doc_id").isNull().alias("unnamed"), "doc_id", "t")).alias("own"), F.count(F.lit(1)).alias("n_rows"))
-    classes = written(grouped.select("f1", "f2", F.monotonically_increasing_id().alias("rep"), "own", F.col("own.doc_id").alias("rep_doc"), F.col("own.t").alias("rep_t"), "n_rows"), "near-classes")
-    total = sketched.count()
+    classes = written(grouped.select("f1", "f2", F.monotonically_increasing_id().alias("rep"), "own", F.col("own.doc_id").alias("rep_doc"), F.col("own.t").alias("rep_t"), "n_rows"), "near-classes", rows_of(sketched))
+    total, n_classes = rows_of(sketched), rows_of(classes)
     lookup = classes.select("f1", "f2", F.struct("rep", "own").alias("rep"), "n_rows")
 
     # a class's representative carries its bands; buckets of one class are done
@@ -135,43 +137,46 @@ def _clustered(docs: DataFrame, threshold: tuple[int, int], size: int, bands: in
     is_first = F.col("doc_id").eqNullSafe(F.col("rep_doc")) & (F.col("t") == F.col("rep_t"))
     reps = named.join(firsts, ["f1", "f2"]).where(is_first).select(F.col("node").alias("doc_id"), "n", "bands").dropDuplicates(["doc_id"])
     rows_ = reps.select("doc_id", "n", F.explode("bands").alias("key"))
-    shared = written(rows_.groupBy("key").agg(F.count(F.lit(1)).alias("m")).where("m > 1"), "near-buckets")
-    members = written(rows_.join(small(shared.select("key")), "key").select("key", "doc_id", "n"), "near-members")
-    ids = written(members.select(F.col("doc_id").alias("id")).distinct(), "near-ids")
-    banded = written(reps.join(small(ids), F.col("doc_id") == F.col("id"), "left_semi").select("doc_id", "n", "bands"), "near-bands")
-    wanted = written(classes.join(small(ids), F.col("rep") == F.col("id"), "left_semi").select(F.col("rep").alias("node"), "rep_doc", "rep_t"), "near-wanted")
-    cand = written(texts.join(small(wanted), is_first).select(F.col("node").alias("doc_id"), "text").dropDuplicates(["doc_id"]), "near-texts")
+    shared = written(rows_.groupBy("key").agg(F.count(F.lit(1)).alias("m")).where("m > 1"), "near-buckets", n_classes * bands // 2)
+    members = written(rows_.join(small(shared.select("key"), rows_of(shared)), "key").select("key", "doc_id", "n"), "near-members", n_classes * bands)
+    ids = written(members.select(F.col("doc_id").alias("id")).distinct(), "near-ids", n_classes)
+    n_ids = rows_of(ids)
+    banded = written(reps.join(small(ids), F.col("doc_id") == F.col("id"), "left_semi").select("doc_id", "n", "bands"), "near-bands", n_ids)
+    wanted = written(classes.join(small(ids), F.col("rep") == F.col("id"), "left_semi").select(F.col("rep").alias("node"), "rep_doc", "rep_t"), "near-wanted", n_ids)
+    cand = written(texts.join(small(wanted), is_first).select(F.col("node").alias("doc_id"), "text").dropDuplicates(["doc_id"]), "near-texts", n_ids, TEXTS_A_FILE)
     # from here on, doc_id is a class's id
     kind = "long"
 
     def verified(pairs: DataFrame) -> DataFrame:
-        """The linked ones of pairs (a, b)."""
+        """The linked ones of pairs (a, b), a written table."""
         one = cand.select(F.col("doc_id").alias("a"), F.col("text").alias("ta"))
         two = cand.select(F.col("doc_id").alias("b"), F.col("text").alias("tb"))
         rows2 = pairs.join(one, "a").join(two, "b").select("a", "b", "ta", "tb")
         found = rows2.mapInArrow(_overlap(size, lower), f"a {kind}, b {kind}, both long, na long, nb long")
-        return written(found.where(F.col("both") * bottom >= (F.col("na") + F.col("nb") - F.col("both")) * top).select("a", "b"), "near-links")
+        return written(found.where(F.col("both") * bottom >= (F.col("na") + F.col("nb") - F.col("both")) * top).select("a", "b"), "near-links", rows_of(pairs), TEXTS_A_FILE)
 
     def alike(x: str, y: str) -> F.Column:
         """Sizes that leave a link possible."""
         return F.least(x, y) * bottom >= F.greatest(x, y) * top
 
     links = tested = found = None
+    n_links = 0
 
-    def tell(pairs: DataFrame) -> None:
-        """Verify pairs (a, b), a > b, that aren't tested or in one component yet, and bring the components up to date."""
-        nonlocal links, tested, found
+    def tell(pairs: DataFrame, most: int | None) -> None:
+        """Verify pairs (a, b), a > b, that aren't tested or in one component yet, and bring the components up to date; most: their number at most."""
+        nonlocal links, tested, found, n_links
         if tested is not None:
             label = small(found)
             ca, cb = (label.select(F.col("node").alias(x), F.col("component").alias(f"c{x}")) for x in "ab")
             apart = F.coalesce("ca", "a") != F.coalesce("cb", "b")
             pairs = pairs.join(ca, "a", "left").join(cb, "b", "left").where(apart).select("a", "b").join(tested, ["a", "b"], "left_anti")
-        pairs = written(pairs, "near-pairs")
+        pairs = written(pairs, "near-pairs", most)
         new = verified(pairs)
+        n_links += rows_of(new)
         links = new if links is None else links.unionByName(new)
         tested = pairs if tested is None else tested.unionByName(pairs)
-        if found is None or not new.isEmpty():
-            found = written(components(links), "near-components")
+        if found is None or rows_of(new):
+            found = written(components(links, n_links), "near-components", 2 * n_links)
 
     # stars in buckets of several bands at once, then of fewer: what is most alike is linked first, and what is one component is not compared again
     for level in LEVELS:
@@ -179,41 +184,41 @@ def _clustered(docs: DataFrame, threshold: tuple[int, int], size: int, bands: in
             continue
         keys = banded.select("doc_id", "n", F.explode(F.transform(F.sequence(F.lit(0), F.lit(bands // level - 1)), lambda i: F.xxhash64(i, F.slice("bands", i * level + 1, level)))).alias("key"))  # noqa: B023
         pivot = keys.groupBy("key").agg(F.min(F.struct("doc_id", "n")).alias("p"), F.count(F.lit(1)).alias("m")).where("m > 1").select("key", F.col("p.doc_id").alias("b"), F.col("p.n").alias("bn"))
-        star = keys.join(small(written(pivot, "near-pivots")), "key").where((F.col("doc_id") > F.col("b")) & alike("n", "bn"))
-        tell(star.select(F.col("doc_id").alias("a"), "b").distinct())
+        star = keys.join(small(written(pivot, "near-pivots", n_ids * (bands // level))), "key").where((F.col("doc_id") > F.col("b")) & alike("n", "bn"))
+        tell(star.select(F.col("doc_id").alias("a"), "b").distinct(), n_ids * (bands // level))
 
     def mixed(members: DataFrame) -> DataFrame:
-        """The members (key, doc_id, n, .., c) of buckets that are of several components."""
+        """The members (key, doc_id, n, .., c) of buckets that are of several components; members is a written table."""
         labelled = members.join(small(found), F.col("doc_id") == F.col("node"), "left").select(*members.columns, F.coalesce("component", "doc_id").alias("c"))
         several = labelled.groupBy("key").agg(F.min("c").alias("c0"), F.max("c").alias("c1")).where("c0 <> c1").select("key")
-        return written(labelled.join(small(written(several, "near-mixed")), "key"), "near-open")
+        return written(labelled.join(small(written(several, "near-mixed", rows_of(members))), "key"), "near-open", rows_of(members))
 
     # documents in buckets of several components meet again, by the rarest shingles of each: linked ones share one of these
-    left = written(mixed(members).select(F.col("doc_id").alias("id")).distinct(), "near-left")
+    left = written(mixed(members).select(F.col("doc_id").alias("id")).distinct(), "near-left", n_ids)
     texts_left = cand.join(small(left), F.col("doc_id") == F.col("id"), "left_semi").select("doc_id", "text")
     counts = np.zeros(CELLS, dtype=np.int64)
     counted = texts_left.mapInArrow(_cells(size, lower), "cell int").groupBy("cell").agg(F.count(F.lit(1)).alias("m")).toArrow()  # CELLS rows at most
     counts[counted.column("cell").to_numpy()] = counted.column("m").to_numpy()
     rare = written(texts_left.mapInArrow(_rarest(counts, size, lower, top, bottom), f"key long, doc_id {kind}, n long, i long"), "near-rarest")
     met = rare.groupBy("key").agg(F.count(F.lit(1)).alias("m")).where("m > 1").select("key")
-    members = written(rare.join(small(written(met, "near-buckets")), "key").select("key", "doc_id", "n", "i"), "near-members")
+    members = written(rare.join(small(written(met, "near-buckets", rows_of(rare))), "key").select("key", "doc_id", "n", "i"), "near-members", rows_of(rare))
 
     # pivots come from a bucket's small components; they are held against the rest and leave
     pivots = 512
     while True:
         open_ = mixed(members)
-        if open_.isEmpty():
+        if not rows_of(open_):
             break
         part = open_.groupBy("key", "c").agg(F.count(F.lit(1)).alias("m"))
         order = Window.partitionBy("key").orderBy("m", "c")
         upto = part.withColumn("before", F.sum("m").over(order) - F.col("m")).where(F.col("before") < pivots).select("key", "c")
         chosen = open_.join(upto, ["key", "c"]).withColumn("k", F.row_number().over(Window.partitionBy("key").orderBy("doc_id"))).where(F.col("k") <= pivots)
-        chosen = written(chosen.select("key", F.col("doc_id").alias("b"), F.col("n").alias("bn"), F.col("i").alias("bi"), F.col("c").alias("bc")), "near-pivots")
+        chosen = written(chosen.select("key", F.col("doc_id").alias("b"), F.col("n").alias("bn"), F.col("i").alias("bi"), F.col("c").alias("bc")), "near-pivots", rows_of(open_))
         # a linked pair's first common shingle leaves enough behind it in both
         enough = F.least(F.col("n") - F.col("i"), F.col("bn") - F.col("bi")) * (top + bottom) >= (F.col("n") + F.col("bn")) * top
         pairs = open_.join(small(chosen), "key").where((F.col("c") != F.col("bc")) & alike("n", "bn") & enough)
-        tell(pairs.select(F.greatest("doc_id", "b").alias("a"), F.least("doc_id", "b").alias("b")).distinct())
-        members = written(open_.join(small(chosen.select("key", F.col("b").alias("doc_id"))), ["key", "doc_id"], "left_anti").select("key", "doc_id", "n", "i"), "near-members")
+        tell(pairs.select(F.greatest("doc_id", "b").alias("a"), F.least("doc_id", "b").alias("b")).distinct(), None)
+        members = written(open_.join(small(chosen.select("key", F.col("b").alias("doc_id")), rows_of(chosen)), ["key", "doc_id"], "left_anti").select("key", "doc_id", "n", "i"), "near-members", rows_of(open_))
         pivots *= 8
 
     unplaced = sketched.select("doc_id", "t", "n", "f1", "f2")
@@ -224,7 +229,7 @@ def _clustered(docs: DataFrame, threshold: tuple[int, int], size: int, bands: in
     if not unnamed:
         placed = placed.unionByName(nameless)
     linked = found.join(classes.select("rep", "own"), F.col("node") == F.col("rep")).select("node", "component", "own")
-    return written(placed.select("doc_id", "t", "n", "rep.rep", "rep.own"), "near-placed"), written(linked, "near-linked")
+    return written(placed.select("doc_id", "t", "n", "rep.rep", "rep.own"), "near-placed", total), written(linked, "near-linked", rows_of(found))
 
 
 def near_duplicates(docs: DataFrame, threshold: tuple[int, int] = (80, 100), size: int = 5, bands: int = BANDS, rows: int = ROWS, lower: bool = True) -> DataFrame:
@@ -232,37 +237,41 @@ def near_duplicates(docs: DataFrame, threshold: tuple[int, int] = (80, 100), siz
     placed, linked = _clustered(docs, threshold, size, bands, rows, lower, False)
     # a doc_id of several texts ties their classes
     several = placed.where("doc_id is not null").groupBy("doc_id").agg(F.min("rep").alias("b"), F.max("rep").alias("last"), F.count(F.lit(1)).alias("m"), F.count("rep").alias("with"))
-    several = written(several.where("b < last or (with > 0 and with < m)").select(F.col("doc_id").alias("_id"), "b"), "near-several")
-    tied = not several.isEmpty()
+    several = written(several.where("b < last or (with > 0 and with < m)").select(F.col("doc_id").alias("_id"), "b"), "near-several", rows_of(placed))
+    tied = rows_of(several) > 0
     if tied:
-        here = written(placed.join(small(several), F.col("doc_id") == F.col("_id")).where("rep is not null").select("rep", "b", "own").distinct(), "near-ties")
+        here = written(placed.join(small(several), F.col("doc_id") == F.col("_id")).where("rep is not null").select("rep", "b", "own").distinct(), "near-ties", rows_of(placed))
         edges = linked.select(F.col("node").alias("a"), F.col("component").alias("b")).unionByName(here.where("rep > b").select(F.col("rep").alias("a"), "b"))
         known = linked.select("node", "own").unionByName(here.select(F.col("rep").alias("node"), "own")).distinct()
-        linked = written(components(edges).join(known, "node").select("node", "component", "own"), "near-linked")
-    least = written(linked.groupBy("component").agg(F.min("own.doc_id").alias("component_id")), "near-least")
-    label = written(linked.join(small(least), "component").select("node", "component_id"), "near-labels")
+        n = rows_of(linked) + rows_of(here)
+        linked = written(components(edges, n).join(known, "node").select("node", "component", "own"), "near-linked", 2 * n)
+    least = written(linked.groupBy("component").agg(F.min("own.doc_id").alias("component_id")), "near-least", rows_of(linked))
+    label = written(linked.join(small(least), "component").select("node", "component_id"), "near-labels", rows_of(linked))
     component = F.coalesce("component_id", "own.doc_id", "doc_id")
     out = placed.join(small(label), F.col("rep") == F.col("node"), "left").select("doc_id", F.col("n").alias("n_shingles"), component.alias("component_id"))
     if tied:
         # rows without words go with the others of their doc_id
-        other = written(out.join(small(several), F.col("doc_id") == F.col("_id")).groupBy("_id").agg(F.min("component_id").alias("_c")), "near-tied")
-        out = out.join(small(other), F.col("doc_id") == F.col("_id"), "left").select("doc_id", "n_shingles", F.coalesce("_c", "component_id").alias("component_id"))
+        other = out.join(small(several), F.col("doc_id") == F.col("_id")).groupBy("_id").agg(F.min("component_id").alias("_c"))
+        out = out.join(small(written(other, "near-tied", rows_of(several))), F.col("doc_id") == F.col("_id"), "left").select("doc_id", "n_shingles", F.coalesce("_c", "component_id").alias("component_id"))
     return out.withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
 
 
 def drop_near_duplicates(docs: DataFrame, threshold: tuple[int, int] = (80, 100), size: int = 5, bands: int = BANDS, rows: int = ROWS, lower: bool = True) -> DataFrame:
     """docs with one row of each component of texts, that of the least doc_id (null ones last); of rows that repeat doc_id and text, one stays."""
     placed, linked = _clustered(docs, threshold, size, bands, rows, lower, True)
-    first = written(linked.groupBy("component").agg(F.min("own").alias("first")), "near-firsts")
-    label = written(linked.join(small(first), "component").select("node", "first"), "near-labels")
+    first = written(linked.groupBy("component").agg(F.min("own").alias("first")), "near-firsts", rows_of(linked))
+    label = written(linked.join(small(first), "component").select("node", "first"), "near-labels", rows_of(linked))
     stays = F.coalesce("first", "own")
     behind = ~(F.col("doc_id").eqNullSafe(stays["doc_id"]) & (F.col("t") == stays["t"]))
-    gone = placed.where("rep is not null").join(small(label), F.col("rep") == F.col("node"), "left").where(behind).select(F.col("doc_id").alias("_id"), F.col("t").alias("_t")).distinct()
-    here = F.col("doc_id").eqNullSafe(F.col("_id")) & (F.xxhash64("text") == F.col("_t"))
-    left = docs.join(small(written(gone, "near-gone")), here, "left_anti")
+    # docs may have columns of any name
+    id_, t = unused(docs, "id", "t")
+    named = F.col("doc_id").alias(id_), F.col("t").alias(t)
+    here = F.col("doc_id").eqNullSafe(F.col(id_)) & (F.xxhash64("text") == F.col(t))
+    gone = placed.where("rep is not null").join(small(label), F.col("rep") == F.col("node"), "left").where(behind).select(*named).distinct()
+    left = docs.join(small(written(gone, "near-gone", rows_of(placed))), here, "left_anti")
     twice = placed.where("doc_id is not null or n > 0").groupBy("doc_id", "t").agg(F.count(F.lit(1)).alias("m")).where("m > 1")
-    twice = written(twice.select(F.col("doc_id").alias("_id"), F.col("t").alias("_t")), "near-twice")
-    if twice.isEmpty():
+    twice = written(twice.select(*named), "near-twice", rows_of(placed))
+    if not rows_of(twice):
         return left
     one = left.join(small(twice), here, "left_semi").dropDuplicates(["doc_id", "text"])
     return left.join(small(twice), here, "left_anti").unionByName(one)

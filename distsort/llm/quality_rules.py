@@ -24,7 +24,7 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import small, words, written
+from .common import rows_of, small, unused, words, written
 
 SYMBOLS = "[#*$%&|<>]"
 WINDOW = 8
@@ -197,5 +197,6 @@ def judge(docs: DataFrame) -> DataFrame:
 
 def drop_rejected(docs: DataFrame) -> DataFrame:
     """docs without the rejected documents; rows of one doc_id go together."""
-    gone = judge(docs).where("not kept").select(F.col("doc_id").alias("_id")).distinct()
-    return docs.join(small(written(gone, "rejected")), F.col("doc_id").eqNullSafe(F.col("_id")), "left_anti")
+    (id_,) = unused(docs, "id")
+    gone = judge(docs).where("not kept").select(F.col("doc_id").alias(id_)).distinct()
+    return docs.join(small(written(gone, "rejected")), F.col("doc_id").eqNullSafe(F.col(id_)), "left_anti")
