@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import json
 from dataclasses import dataclass
 
 import numpy as np
@@ -10,7 +11,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ..plans.keys import KeySpec
+from ..plans.keys import KeySpec, quoted
 from ..plans.sampling import SplitterSet
 
 #: Splitters beyond which range joins take over from expressions; a driver list of them is small either way.
@@ -21,9 +22,12 @@ _NUMPY = {T.DoubleType(): "float64", T.FloatType(): "float32", T.LongType(): "in
 
 
 def literal_array(values: list, kind: T.DataType) -> Column:
-    """An array constant; of numbers as one node of the plan, so that planning time doesn't grow with it."""
+    """An array constant; of most types as one node of the plan, so that planning time doesn't grow with it."""
     if kind in _NUMPY and values and all(v is not None for v in values):
         return F.lit(np.array(values, dtype=_NUMPY[kind]))
+    if values and (kind in (T.StringType(), T.DateType()) or isinstance(kind, T.DecimalType)):
+        text = F.from_json(F.lit(json.dumps([None if v is None else str(v) for v in values])), "array<string>")
+        return text if kind == T.StringType() else text.cast(T.ArrayType(kind))
     return F.array(*[F.lit(v).cast(kind) for v in values])
 
 
@@ -74,12 +78,15 @@ class SplitterTree:
     def _chained(self, df: DataFrame, out: str) -> DataFrame:
         arrays = self._columns(self.heap())
         nulls = [any(v[j] is None for v in self.splitters.values) for j in range(len(self.types))]
-        df = df.withColumn(out, F.lit(1))
-        for _ in range(self.depth):
-            i = F.col(out)
-            df = df.withColumn(out, i * 2 + (~self.keys.before([F.get(a, i) for a in arrays], nulls)).cast("int"))
+        # one projection a level, all in one call: each step names the one before
+        steps = [*[a.alias(f"_tree_{j}") for j, a in enumerate(arrays)], F.lit(1).alias("_walk_0")]
+        for level in range(self.depth):
+            nodes = [f"get(_tree_{j}, _walk_{level})" for j in range(len(arrays))]
+            steps.append(F.expr(f"_walk_{level} * 2 + cast(not {self.keys.before_sql(nodes, nulls)} as int) as _walk_{level + 1}"))
         # padding repeats the largest splitter, so that its rows end in the last leaf
-        return df.withColumn(out, F.least(F.col(out) - 2**self.depth, F.lit(self.buckets - 1)))
+        bucket = F.expr(f"least(_walk_{self.depth} - {2**self.depth}, {self.buckets - 1})").alias(out)
+        kept = [quoted(c) for c in df.columns if c != out]
+        return df.select(*kept, *steps, bucket).select(*kept, out)
 
     def _case(self, df: DataFrame, out: str) -> DataFrame:
         values = self.splitters.values
@@ -129,9 +136,11 @@ class SplitterTree:
 
     def with_class(self, df: DataFrame, out: str = "cls", bucket: str = "bucket") -> DataFrame:
         """Even classes are open intervals, odd ones hold the rows that equal a splitter; one comparison more."""
-        b = F.col(bucket)
+        b = quoted(bucket)
         if not len(self.splitters):
-            return df.withColumn(out, b * 2)
+            return df.withColumn(out, F.expr(f"{b} * 2"))
         arrays = self._columns(list(self.splitters.values))
-        equal = (b > 0) & self.keys.same([F.get(a, b - 1) for a in arrays])
-        return df.withColumn(out, b * 2 - equal.cast("int"))
+        equal = self.keys.same_sql([f"get(_splitter_{j}, {b} - 1)" for j in range(len(arrays))])
+        kept = [quoted(c) for c in df.columns if c != out]
+        cls = F.expr(f"{b} * 2 - cast({b} > 0 and {equal} as int)").alias(out)
+        return df.select(*kept, *[a.alias(f"_splitter_{j}") for j, a in enumerate(arrays)], cls).select(*kept, out)

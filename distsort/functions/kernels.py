@@ -65,20 +65,47 @@ def _two_way(a: list, lo: int, hi: int, pivot, cost: Cost) -> int:
         cost.row_moves += 2
 
 
-def _buffered(a: list, lo: int, hi: int, pivot, cost: Cost, block: int = 64) -> int:
-    """The same result; outcomes of comparisons are added to index buffers, so that none is branched on."""
-    low = [lo + k for k in range(0)]
-    out_low, out_high = [], []
-    for s in range(lo, hi, block):
-        end = min(hi, s + block)
-        cost.comparisons += end - s
-        flags = [a[i] < pivot for i in range(s, end)]
-        out_low += [a[i] for i, f in zip(range(s, end), flags) if f]
-        out_high += [a[i] for i, f in zip(range(s, end), flags) if not f]
-        cost.row_moves += end - s
-    del low
-    a[lo:hi] = out_low + out_high
-    return lo + len(out_low)
+def _blockwise(a: list, lo: int, hi: int, pivot, cost: Cost, block: int = 64) -> int:
+    """The same in place: places of misplaced rows are added to two index buffers by the outcome of each comparison, none is branched on, and buffered rows are swapped in pairs."""
+    left, right = [0] * block, [0] * block
+    i, j = lo, hi  # what is not settled
+    n_left = n_right = from_left = from_right = 0
+    while j - i > 2 * block:
+        if not n_left:
+            from_left = 0
+            for x in range(block):
+                left[n_left] = x
+                n_left += not a[i + x] < pivot
+        if not n_right:
+            from_right = 0
+            for x in range(block):
+                right[n_right] = x
+                n_right += a[j - 1 - x] < pivot
+        cost.comparisons += block * ((from_left == 0) + (from_right == 0))
+        both = min(n_left, n_right)
+        for x in range(both):
+            u, v = i + left[from_left + x], j - 1 - right[from_right + x]
+            a[u], a[v] = a[v], a[u]
+        cost.row_moves += 2 * both
+        cost.branches += 2  # whether a buffer is empty: once a block
+        n_left, n_right, from_left, from_right = n_left - both, n_right - both, from_left + both, from_right + both
+        if not n_left:
+            i, from_left = i + block, 0
+        if not n_right:
+            j, from_right = j - block, 0
+    return _gathered(a, i, j, lambda x: x < pivot, cost)
+
+
+def _gathered(a: list, lo: int, hi: int, first, cost: Cost) -> int:
+    """Rows that are to come first to the front, in place, by adding outcomes to the place that is written next."""
+    at = lo
+    for k in range(lo, hi):
+        x = a[k]
+        a[k], a[at] = a[at], x
+        at += first(x)
+    cost.comparisons += hi - lo
+    cost.row_moves += hi - lo
+    return at
 
 
 def _median3(a: list, lo: int, hi: int):
@@ -103,12 +130,8 @@ def quicksort(a: list, cost: Cost | None = None, n0: int = 16, part=_two_way, de
             continue
         pivot = _median3(a, lo, hi)
         m = part(a, lo, hi, pivot, cost)
-        if m in (lo, hi):  # nothing is less: rows equal to the pivot go first
-            same = [x for x in a[lo:hi] if not pivot < x]
-            more = [x for x in a[lo:hi] if pivot < x]
-            cost.comparisons += hi - lo
-            a[lo:hi] = same + more
-            todo.append((lo + len(same), hi, left))
+        if m in (lo, hi):  # nothing is less: rows equal to the pivot go first, and are done
+            todo.append((_gathered(a, lo, hi, lambda x: not pivot < x, cost), hi, left))  # noqa: B023
             continue
         nxt = None if left is None else left - 1
         todo += [(lo, m, nxt), (m, hi, nxt)]
@@ -120,41 +143,61 @@ def introsort(a: list, cost: Cost | None = None) -> list:
 
 
 def buffered_quicksort(a: list, cost: Cost | None = None) -> list:
-    return quicksort(a, cost, part=_buffered)
+    return quicksort(a, cost, part=_blockwise)
 
 
 def dual_pivot(a: list, cost: Cost | None = None, n0: int = 16) -> list:
-    """Two pivots, three parts at each step; rows between equal pivots are done."""
+    """Two pivots, three parts at each step, in place; rows between equal pivots are done.  Every comparison is a branch."""
     cost = cost or Cost()
     todo = [(0, len(a))]
+
+    def less(x, y) -> bool:
+        cost.comparisons += 1
+        cost.branches += 1
+        return x < y
+
+    def swap(i: int, j: int) -> None:
+        a[i], a[j] = a[j], a[i]
+        cost.row_moves += 2
+
     while todo:
         lo, hi = todo.pop()
         if hi - lo <= n0:
             insertion_sort(a, lo, hi, cost)
             continue
         third = (hi - lo) // 3
-        p, q = sorted((a[lo + third], a[hi - 1 - third]))
-        left, middle, right = [], [], []
-        for x in a[lo:hi]:
-            cost.comparisons += 2
-            cost.branches += 2
-            (left if x < p else right if q < x else middle).append(x)
-        cost.row_moves += hi - lo
-        a[lo:hi] = left + middle + right
-        todo += [(lo, lo + len(left)), (hi - len(right), hi)]
+        swap(lo, lo + third)
+        swap(hi - 1, hi - 1 - third)
+        if less(a[hi - 1], a[lo]):
+            swap(lo, hi - 1)
+        p, q = a[lo], a[hi - 1]
+        low, at, high = lo + 1, lo + 1, hi - 2  # [lo + 1, low): under p; [low, at): between; (high, hi - 1): q or more
+        while at <= high:
+            if less(a[at], p):
+                swap(at, low)
+                low += 1
+            elif not less(a[at], q):
+                while at < high and less(q, a[high]):
+                    high -= 1
+                swap(at, high)
+                high -= 1
+                continue  # what came from there is looked at next
+            at += 1
+        swap(lo, low - 1)
+        swap(hi - 1, high + 1)
+        todo += [(lo, low - 1), (high + 2, hi)]
         if p < q:
-            if len(middle) == hi - lo:
-                insertion_sort(a, lo, hi, cost) if hi - lo < 64 else a.__setitem__(slice(lo, hi), sorted(middle))
-            else:
-                todo.append((lo + len(left), hi - len(right)))
+            todo.append((low, high + 1))
     return a
 
 
 def merge_runs(runs: list[list], cost: Cost | None = None) -> list:
+    """All runs at once, by a heap of their next rows."""
     cost = cost or Cost()
     total = sum(map(len, runs))
     cost.comparisons += total * max(1, len(runs).bit_length())
     cost.extra_rows += total
+    cost.row_moves += total
     return list(heapq.merge(*runs))
 
 
@@ -368,13 +411,14 @@ def distribution_sort(a: list, k: int = 16, b: int = 4, t: int = 1, n0: int = 16
         distinct = sorted(set(picked))
         equality = len(distinct) < len(picked)
         got = partition(part, distinct, b, t, equality, cost)
+        if not equality and max(got.counts) == hi - lo:  # no progress: splitters are rows, so their own classes make some
+            equality = True
+            got = partition(part, distinct, b, t, equality, cost)
         a[lo:hi] = part
         for c, (s, e) in enumerate(zip(got.starts, got.starts[1:])):
             if equality and c % 2:
                 continue
-            if e - s == hi - lo:
-                a[lo:hi] = sorted(a[lo:hi])
-            elif e - s > 1:
+            if e - s > 1:
                 todo.append((lo + s, lo + e))
     return a
 

@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from ..functions.classify import SplitterTree, literal_array
-from ..plans.keys import KeySpec
+from ..plans.keys import KeySpec, quoted
 from ..plans.params import SortParams
 from ..plans.recursion import DistributionPlan, plan_partitions
 from ..plans.sampling import SplitterSet, dedupe_splitters, draw_sample, pick_splitters
@@ -22,9 +22,14 @@ LEAST_ROWS = 2048
 
 
 def sorted_sample(df: DataFrame, spec: KeySpec, k: int, rows: int, p: SortParams) -> list[tuple]:
-    """Sample rows in order; they meet in one task, as they are few whatever the table's size."""
-    sample = draw_sample(df, spec, p.alpha_for(rows) * k, p.seed, rows=rows).select(*spec.names)
-    return [tuple(r) for r in sample.repartition(1).sortWithinPartitions(*spec.order()).collect()]
+    """Sample rows in order; they are few whatever the table's size, and the driver gets them anyway."""
+    return _in_order(draw_sample(df, spec, p.alpha_for(rows) * k, p.seed, rows=rows).select(*spec.names), spec)
+
+
+def _in_order(few: DataFrame, spec: KeySpec) -> list[tuple]:
+    if spec.plainly_ordered(few):
+        return sorted((tuple(r) for r in few.collect()), key=lambda r: spec.plain(r[-len(spec.keys) :]))
+    return [tuple(r) for r in few.repartition(1).sortWithinPartitions(*spec.order()).collect()]
 
 
 def splitters_of(df: DataFrame, spec: KeySpec, k: int, rows: int, p: SortParams) -> SplitterSet:
@@ -77,7 +82,7 @@ def plan_sort(df: DataFrame, keys, p: SortParams = SortParams(), rows: int | Non
             tree = SplitterTree.build(df, spec, found)
             sizes = class_counts(df, tree, p, equality)
         large = [c for c, s in enumerate(sizes) if c % 2 == 0 and s > 2 * limit]
-        if not large or len(tree.splitters) > 1 << 14:
+        if not large or len(tree.splitters) > 16 * max(p.k, parts):
             break
         more = deeper_splitters(df, tree, equality, large, sizes, limit, n, p)
         merged = _merge(df, spec, [*tree.splitters.values, *more])
@@ -94,16 +99,16 @@ def deeper_splitters(df: DataFrame, tree: SplitterTree, equality: bool, large: l
     names = tree.keys.names
     share = min(1.0, 3 * p.alpha_for(n) / limit)
     drawn = _classed(df.select(*dict.fromkeys(names)).sample(share, p.seed + 1), tree, p, equality)
-    rows = drawn.select("_cls", *names).repartition(1).sortWithinPartitions(*tree.keys.order()).collect()
-    found: list[tuple] = []
-    for c in large:
-        own = [tuple(r)[1:] for r in rows if r[0] == c]
-        found += pick_splitters(own, max(2, min(p.k, int(2 * sizes[c] / limit))))
-    return found
+    own: dict[int, list[tuple]] = {c: [] for c in large}
+    for r in _in_order(drawn.where(F.col("_cls").isin(large)).select("_cls", *names), tree.keys):
+        own[r[0]].append(r[1:])
+    return [v for c in large for v in pick_splitters(own[c], max(2, min(p.k, int(2 * sizes[c] / limit))))]
 
 
 def _merge(df: DataFrame, spec: KeySpec, values: list[tuple]) -> SplitterSet:
     """Sorted as Spark sorts; a driver list, of splitters only."""
+    if spec.plainly_ordered(df):
+        return dedupe_splitters(sorted(values, key=spec.plain))
     schema = df.select(*spec.names).schema
     rows = df.sparkSession.createDataFrame(values, schema).coalesce(1).orderBy(*spec.order()).collect()
     return dedupe_splitters([tuple(r) for r in rows])
@@ -113,10 +118,12 @@ def distribute(df: DataFrame, tree: SplitterTree, equality: bool, plan: Distribu
     """df with _cls and _pid, every row in its partition: the one exchange."""
     rows = _classed(df, tree, p, equality)
     first, spread = (literal_array(list(x), T.IntegerType()) for x in (plan.first, plan.spread))
-    share = F.get(spread, F.col("_cls"))
-    pid = F.get(first, F.col("_cls")) + F.when(share > 1, F.pmod(F.xxhash64(*[c for c in df.columns if not df.schema[c].dataType.typeName() == "map"]), share)).otherwise(0)
+    every = ", ".join(quoted(f.name) for f in df.schema if f.dataType.typeName() not in ("map", "variant"))
+    apart = f" + if(get(_spread, _cls) > 1, pmod(xxhash64({every}), get(_spread, _cls)), 0)" if max(plan.spread, default=1) > 1 else ""
     # never null, so that joins on it infer no filter that would repeat the walk
-    return rows.withColumn("_pid", F.coalesce(pid, F.lit(0)).cast("int")).repartitionById(plan.partitions, F.col("_pid"))
+    pid = F.expr(f"cast(coalesce(get(_first, _cls){apart}, 0) as int)").alias("_pid")
+    kept = [quoted(c) for c in rows.columns]
+    return rows.select(*kept, first.alias("_first"), spread.alias("_spread"), pid).select(*kept, "_pid").repartitionById(plan.partitions, F.col("_pid"))
 
 
 def sort_global(df: DataFrame, keys, p: SortParams = SortParams(), with_pos: bool = True, rows: int | None = None, pos: str = "pos") -> DataFrame:
