@@ -1,7 +1,7 @@
 """The sort without a recursion stack over a written table: the driver's state is one cursor.
 
-One distribution step leaves buckets with known largest keys (a zone map).  A turn takes the bucket that follows the cursor,
-found as the first whose least key is larger; a bucket of more than `most` rows is split once more, else sorted and
+One distribution step leaves buckets in order, each in a folder of its own.  A turn takes the bucket that follows the
+cursor, found as the least number behind it; a bucket of more than `most` rows is split once more, else sorted and
 appended.  A run that stops goes on from its cursor."""
 
 from __future__ import annotations
@@ -18,26 +18,19 @@ from .sort import distribute, plan_sort, sort_global
 def stackless_sort(df: DataFrame, keys, p: SortParams = SortParams(), most: int | None = None) -> DataFrame:
     spec, spark = KeySpec.of(keys), df.sparkSession
     tree, _, plan = plan_sort(df, spec, SortParams(**{**p.__dict__, "equality": False}))
-    path, out = fresh_path(spark, "buckets"), fresh_path(spark, "sorted")
-    distribute(df, tree, False, plan, p).drop("_bucket", "_cls").write.parquet(path)
+    path, out, zone_path = (fresh_path(spark, x) for x in ("buckets", "sorted", "zones"))
+    distribute(df, tree, False, plan, p).drop("_bucket", "_cls").write.partitionBy("_pid").parquet(path)
+    if not sum(plan.sizes):
+        return df.withColumn("pos", F.lit(0).cast("long"))
     table = spark.read.parquet(path)
-    key = F.struct(*spec.names)
-    zones = table.groupBy("_pid").agg(F.min(key).alias("lo"), F.max(key).alias("hi"), F.count(F.lit(1)).alias("n"))
-    zone_path = fresh_path(spark, "zones")
-    zones.write.parquet(zone_path)
-    zones = spark.read.schema(zones.schema).parquet(zone_path)
+    table.groupBy("_pid").agg(F.count(F.lit(1)).alias("n")).write.parquet(zone_path)
+    zones = spark.read.parquet(zone_path)
     limit = most or max(1, 2 * sum(plan.sizes) // max(1, plan.partitions))
-    cursor, start = None, 0
-    while True:
-        left = zones if cursor is None else zones.where(F.col("hi") > F.struct(*[F.lit(v).cast(df.schema[n].dataType).alias(n) for n, v in zip(spec.names, cursor)]))
-        turn = left.orderBy("hi").limit(1).collect()
-        if not turn:
-            break
-        pid, n, cursor = turn[0]["_pid"], turn[0]["n"], tuple(turn[0]["hi"])
-        own = table.where(F.col("_pid") == pid).drop("_pid")
+    cursor, start = -1, 0
+    while turn := zones.where(F.col("_pid") > cursor).orderBy("_pid").limit(1).collect():
+        cursor, n = turn[0]["_pid"], turn[0]["n"]
+        own = table.where(F.col("_pid") == cursor).drop("_pid")  # reads one folder
         run = sort_global(own, spec, p, rows=n) if n > limit else sort_global(own, spec, SortParams(partitions=1, k=1), rows=n)
         run.withColumn("pos", F.col("pos") + start).write.mode("append").parquet(out)
         start += n
-    if not start:
-        return df.withColumn("pos", F.lit(0).cast("long"))
     return spark.read.parquet(out)
