@@ -4,17 +4,19 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
+from pyspark.sql.pandas.types import to_arrow_schema
 
 from ..functions import kernels
 from ..functions.classify import SplitterTree, literal_array
 from ..plans.keys import KeySpec
 from ..plans.params import SortParams
 from ..plans.recursion import DistributionPlan, plan_partitions
-from ..plans.sampling import SplitterSet, dedupe_splitters, draw_sample
+from ..plans.sampling import SplitterSet, dedupe_splitters, pick_splitters
 from ..sources.io import fresh_path
 from .presorted import probe_order
 from .sort import _WITHIN, class_counts, distribute, partition_start, plan_sort, sort_global, splitters_of
@@ -71,33 +73,62 @@ def copy_samplesort(df: DataFrame, keys, p: SortParams = SortParams()) -> DataFr
     return _placed(df, spec, splitters_of(df, spec, _parts(df, p), n, p), _one_each, p)
 
 
-def _pivots(df: DataFrame, spec: KeySpec, parts: int, p: SortParams, of_sample: int) -> SplitterSet:
-    """Pivots of a binary recursion with `parts` leaves, each the median of so many sample rows of its part."""
-    drawn = draw_sample(df, spec, 64 * parts, p.seed).select(*spec.names)
-    rows = [tuple(r) for r in drawn.orderBy(*spec.order()).collect()]
-
-    def split(lo: int, hi: int, leaves: int) -> list[int]:
-        if leaves < 2 or hi - lo < 2:
-            return []
-        # sorted sample rows stand for the part; a few at fixed distances are "random" rows of it
-        own = sorted({lo + 1 + (hi - lo - 1) * (7 * i + 3) % (hi - lo) % max(1, hi - lo - 1) for i in range(of_sample)})
-        at = own[len(own) // 2]
-        left = leaves // 2 if of_sample == 1 else max(1, min(leaves - 1, round(leaves * (at - lo) / (hi - lo))))
-        return [*split(lo, at, left), at, *split(at, hi, leaves - left)]
-
-    return dedupe_splitters([rows[i] for i in split(0, len(rows), parts)])
+def _two_way(df: DataFrame, spec: KeySpec, p: SortParams, of_sample: int) -> DataFrame:
+    """Quicksort by levels: every part with several workers is split in two at a pivot of its own rows, and rows move to the workers of their side.
+
+    of_sample 1: the pivot is one row and each side gets half of the workers; more: it is the median of so many, and workers go by the sides' rows."""
+    spark, parts, names = df.sparkSession, _parts(df, p), df.columns
+    now = df.withColumn("_part", F.lit(0))
+    workers, sizes, stuck, level = [parts], [df.count()], set(), 0
+    while split := [i for i, w in enumerate(workers) if w > 1 and sizes[i] > 1 and i not in stuck]:
+        level += 1
+        share = F.lit(1.0) if sum(sizes) < 64 * parts else F.least(F.lit(1.0), F.element_at(literal_array([16.0 * of_sample / max(1, s) for s in sizes], T.DoubleType()), F.col("_part") + 1))
+        drawn: dict[int, list] = {i: [] for i in split}
+        for r in now.where(F.col("_part").isin(split) & (F.rand(p.seed + level) < share)).select("_part", *spec.names).collect():  # some rows for each part
+            drawn[r[0]].append(tuple(r)[1:])
+        left_of, side = {}, F.lit(0)
+        for i, rows in drawn.items():
+            few = sorted(rows[:of_sample], key=spec.plain)
+            if few:
+                left_of[i] = few[len(few) // 2]
+                side = F.when(F.col("_part") == i, (~spec.before([F.lit(v).cast(df.schema[n].dataType) for n, v in zip(spec.names, left_of[i])])).cast("int")).otherwise(side)
+        halves = now.withColumn("_side", side)
+        counted = {(r[0], r[1]): r[2] for r in halves.groupBy("_part", "_side").count().collect()}  # two rows a part
+        number, next_workers, next_sizes, next_stuck = {}, [], [], set()
+        for i, w in enumerate(workers):
+            a, b = counted.get((i, 0), 0), counted.get((i, 1), 0)
+            number[i] = len(next_workers)
+            if i not in left_of or not (a and b):  # one side has it all; a part where this happens twice is one worker's
+                next_workers.append(w)
+                next_sizes.append(a + b)
+                if i not in split or of_sample > 1 or sizes[i] < 2 or level > 4 * parts.bit_length():
+                    next_stuck.add(len(next_workers) - 1)
+                halves = halves.withColumn("_side", F.when(F.col("_part") == i, 0).otherwise(F.col("_side")))
+                continue
+            left = w // 2 if of_sample == 1 else max(1, min(w - 1, round(w * a / (a + b))))
+            next_workers += [left, w - left]
+            next_sizes += [a, b]
+        halves = halves.withColumn("_part", F.get(literal_array([number[i] for i in range(len(workers))], T.IntegerType()), F.col("_part")) + F.col("_side"))
+        workers, sizes, stuck = next_workers, next_sizes, next_stuck
+        first = [sum(workers[:i]) for i in range(len(workers))]
+        at = lambda x: F.get(literal_array(x, T.IntegerType()), F.col("_part"))
+        worker = (at(first) + F.pmod(F.monotonically_increasing_id(), at(workers))).cast("int")
+        path = fresh_path(spark, "halves")
+        halves.withColumn("_worker", worker).repartitionById(parts, F.col("_worker")).drop("_worker", "_side").write.parquet(path)
+        now = spark.read.parquet(path)
+    plan = DistributionPlan(tuple(range(len(sizes))), (1,) * len(sizes), tuple(sizes))
+    moved = now.repartitionById(plan.partitions, F.col("_part")).sortWithinPartitions(*spec.order())
+    return moved.withColumn("pos", partition_start(plan, moved) + F.monotonically_increasing_id().bitwiseAND(F.lit(_WITHIN))).select(*names, "pos")
 
 
 def quicksort_unbalanced(df: DataFrame, keys, p: SortParams = SortParams()) -> DataFrame:
     """Two-way splits at single rows; half of the workers go to each side, whatever its size."""
-    spec = KeySpec.of(keys)
-    return _placed(df, spec, _pivots(df, spec, _parts(df, p), p, 1), _one_each, p)
+    return _two_way(df, KeySpec.of(keys), p, 1)
 
 
 def quicksort_balanced(df: DataFrame, keys, p: SortParams = SortParams()) -> DataFrame:
     """Two-way splits at medians of samples; workers go to the sides in proportion, by their counts."""
-    spec, parts = KeySpec.of(keys), _parts(df, p)
-    return _placed(df, spec, _pivots(df, spec, 2 * parts, p, 9), lambda sizes: plan_partitions(sizes, [False] * len(sizes), parts), p)
+    return _two_way(df, KeySpec.of(keys), p, 9)
 
 
 def task_quicksort(df: DataFrame, keys, p: SortParams = SortParams()) -> DataFrame:
@@ -108,31 +139,80 @@ def task_quicksort(df: DataFrame, keys, p: SortParams = SortParams()) -> DataFra
 
 
 def multiway_merge(df: DataFrame, keys, p: SortParams = SortParams()) -> DataFrame:
-    """Sorted runs first, exact splitters by rank from them, then each partition merges its pieces of all runs."""
+    """Sorted runs first, splitters from regular samples of all runs, and each partition merges its pieces of the runs; rows are sorted once."""
     spec, spark, parts = KeySpec.of(keys), df.sparkSession, _parts(df, p)
-    path = fresh_path(spark, "runs")
-    df.sortWithinPartitions(*spec.order()).write.parquet(path)
-    runs = spark.read.schema(df.schema).parquet(path)
+    path, names = fresh_path(spark, "runs"), df.columns
+    own = df.sortWithinPartitions(*spec.order()).withColumn("_at", F.monotonically_increasing_id())
+    own.write.parquet(path)
+    runs = spark.read.schema(own.schema).parquet(path)
     n = runs.count()
-    wanted = sorted({n * i // parts for i in range(1, parts)})
-    keys_only = sort_global(runs.select(*dict.fromkeys(spec.names)), spec, p, rows=n)
-    found = keys_only.where(F.col("pos").isin(wanted)).select("pos", *spec.names).collect() if n else []
-    exact = [tuple(r)[1:] for r in sorted(found, key=lambda r: r[0])]
-    return _placed(runs, spec, dedupe_splitters(exact), _one_each, p)
-
-
-def radix(df: DataFrame, key: str, tie: list[str], p: SortParams = SortParams()) -> DataFrame:
-    """No comparison of keys decides a partition: digits of the key, between its least and greatest value, do."""
-    parts = _parts(df, p)
-    lo, hi = df.agg(F.min(key).cast("double"), F.max(key).cast("double")).first()
-    step = ((hi - lo) / parts or 1.0) if lo is not None else 1.0
-    digit = F.when(F.col(key).isNull(), 0).otherwise(F.least(F.lit(parts - 1), F.greatest(F.lit(0), F.floor((F.col(key) - F.lit(lo or 0.0)) / step)))).cast("int")
-    sizes = [0] * parts
-    for b, n in df.select(digit.alias("b")).groupBy("b").count().collect():  # one row for each digit
-        sizes[b] = n
-    plan = DistributionPlan(tuple(range(parts)), (1,) * parts, tuple(sizes))
-    moved = df.withColumn("_pid", digit).repartitionById(parts, F.col("_pid")).sortWithinPartitions(*KeySpec.of([key, *tie]).order())
-    return moved.withColumn("pos", partition_start(plan, moved) + F.monotonically_increasing_id().bitwiseAND(F.lit(_WITHIN))).drop("_pid")
+    # every so many rows of each run: a partition gets a share and what lies between samples of each run
+    step = max(1, n // (4 * parts * parts))
+    regular = [tuple(r) for r in runs.where(F.col("_at").bitwiseAND(F.lit(_WITHIN)) % step == step // 2).select(*spec.names).collect()]
+    found = dedupe_splitters(pick_splitters(sorted(regular, key=spec.plain), parts))
+    tree = SplitterTree.build(runs, spec, found)
+    plan = _one_each(class_counts(runs, tree, p, False))
+    moved = distribute(runs, tree, False, plan, p).drop("_bucket", "_cls", "_pid")
+
+    def merged(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        table = pa.Table.from_batches(batches, arrow) if (batches := [b for b in batches if b.num_rows]) else None
+        if table is None:
+            return
+        at = table.column("_at").to_numpy()
+        rows = list(zip(map(spec.plain, zip(*[table.column(c).to_pylist() for c in spec.names])), range(len(at))))
+        order = np.argsort(at, kind="stable")  # runs one after another, each in its order
+        cuts = np.flatnonzero(np.diff(at[order] >> 33)) + 1
+        pieces = [[rows[i] for i in piece] for piece in np.split(order, cuts)]
+        yield from table.take([i for _, i in kernels.merge_runs(pieces)]).drop_columns(["_at"]).combine_chunks().to_batches()
+
+    arrow = to_arrow_schema(runs.schema)
+    out = moved.mapInArrow(merged, df.schema)
+    return out.withColumn("pos", _planned_start(plan) + F.monotonically_increasing_id().bitwiseAND(F.lit(_WITHIN))).select(*names, "pos")
+
+
+def _as_number(c: str, kind: T.DataType):
+    if isinstance(kind, (T.TimestampType, T.TimestampNTZType)):
+        return F.unix_micros(F.col(c).cast("timestamp")).cast("double")
+    if isinstance(kind, T.DateType):
+        return F.unix_date(c).cast("double")
+    if isinstance(kind, T.NumericType):
+        return F.col(c).cast("double")
+    raise TypeError(f"{c} has no digits")
+
+
+def radix(df: DataFrame, keys, p: SortParams = SortParams(), levels: int = 4) -> DataFrame:
+    """No comparison of keys decides a partition: digits of the first key, between its least and greatest value, do.
+
+    A digit with over twice a partition's share is cut into digits of its own, `levels` times; the other keys are for local sorts."""
+    spec, parts = KeySpec.of(keys), _parts(df, p)
+    key = spec.keys[0]
+    x = F.when(F.col(key.name).isNotNull(), F.coalesce(F.nanvl(_as_number(key.name, df.schema[key.name].dataType), F.lit(float("inf"))), F.lit(0.0)))
+    rows = df.withColumn("_x", x if key.asc else -x)
+    finite = F.when(F.abs("_x") < float("inf"), F.col("_x"))
+    lo, hi, n = rows.agg(F.min(finite), F.max(finite), F.count(F.lit(1))).first()
+    spans = [(lo or 0.0, hi if hi is not None else 0.0)]
+    limit, wide = max(1, 2 * n // parts), []
+    for level in range(levels):  # each level is one count of digits; a span is half open but for the last
+        cuts = sorted({a + (b - a) * i / parts for a, b in spans for i in range(1, parts)} | set(wide))
+        wide = [c for c in cuts if c == c]
+        tree = SplitterTree(KeySpec.of(["_x"]), SplitterSet(tuple((c,) for c in wide), False), (T.DoubleType(),))
+        sizes = class_counts(rows, tree, p, False)
+        edges = [spans[0][0] if not level else low, *wide, high if level else spans[0][1]]
+        low, high = edges[0], edges[-1]
+        spans = [(edges[b], edges[b + 1]) for b in range(len(edges) - 1) if sizes[2 * b] > limit and edges[b + 1] > edges[b]]
+        if not spans or max(b - a for a, b in spans) <= abs(high - low) * 2**-48:
+            break
+    # nulls are a digit of their own, in front of the first or behind the last
+    end = len(wide) + 2
+    digit = F.when(F.col("_x").isNull(), 0 if key.first else end - 1).otherwise(F.col("_digit") + (1 if key.first else 0)).cast("int")
+    dealt = tree.with_bucket(rows, "_digit", p.backend).withColumn("_pid", digit).drop("_x", "_digit")
+    counts = [0] * end
+    for b, m in dealt.groupBy("_pid").count().collect():  # one row for each digit
+        counts[b] = m
+    packed = plan_partitions([c for m in counts for c in (m, 0)], [False] * (2 * end), parts)
+    pid = F.get(literal_array(list(packed.first[::2]), T.IntegerType()), F.col("_pid"))
+    moved = dealt.withColumn("_pid", F.coalesce(pid, F.lit(0))).repartitionById(packed.partitions, F.col("_pid")).sortWithinPartitions(*spec.order())
+    return moved.withColumn("pos", partition_start(packed, moved) + F.monotonically_increasing_id().bitwiseAND(F.lit(_WITHIN))).drop("_pid")
 
 
 def spark_order_by(df: DataFrame, keys, p: SortParams = SortParams()) -> DataFrame:
@@ -144,8 +224,20 @@ def window_sort(df: DataFrame, keys, p: SortParams = SortParams()) -> DataFrame:
     return df.withColumn("pos", F.row_number().over(Window.orderBy(*KeySpec.of(keys).order())) - 1)
 
 
+def _planned_start(plan: DistributionPlan):
+    """The first position of a row's partition, where no class is spread."""
+    sizes = [0] * plan.partitions
+    for f, s in zip(plan.first, plan.sizes):
+        sizes[f] += s
+    starts, at = [], 0
+    for n in sizes:
+        starts.append(at)
+        at += n
+    return F.get(literal_array(starts, T.LongType()), F.spark_partition_id())
+
+
 def kernel_sort(df: DataFrame, keys, kernel: str, p: SortParams = SortParams()) -> DataFrame:
-    """The distribution sort with an array kernel as each partition's local sort; ascending keys without nulls."""
+    """The distribution sort with an array kernel as each partition's local sort; keys in any direction, with nulls wherever they belong."""
     spec = KeySpec.of(keys)
     tree, equality, plan = plan_sort(df, spec, p)
     schema = df.schema
@@ -155,21 +247,17 @@ def kernel_sort(df: DataFrame, keys, kernel: str, p: SortParams = SortParams())
         if not parts:
             return
         table = pa.Table.from_batches(parts)
-        rows = list(zip(*[table.column(n).to_pylist() for n in spec.names], range(table.num_rows)))
+        columns = [table.column(n) for n in spec.names]
+        values = zip(*[c.to_pylist() for c in columns])
+        # values that Python orders by themselves stay as they are
+        simple = all(k.asc and not c.null_count and not pa.types.is_floating(c.type) for k, c in zip(spec.keys, columns))
+        rows = [(*v, i) for i, v in enumerate(values)] if simple else [(*spec.plain(v), i) for i, v in enumerate(values)]
         yield from table.take([r[-1] for r in kernels.KERNELS[kernel](rows)]).combine_chunks().to_batches()
 
     moved = distribute(df, tree, equality, plan, p).drop("_bucket", "_cls", "_pid").mapInArrow(local, schema)
-    flat = [0] * plan.partitions
-    for f, s in zip(plan.first, plan.sizes):
-        flat[f] += s
     if any(s > 1 for s in plan.spread):
         return numbered(moved)
-    starts, at = [], 0
-    for n in flat:
-        starts.append(at)
-        at += n
-    start = F.get(literal_array(starts, T.LongType()), F.spark_partition_id())
-    return moved.withColumn("pos", start + F.monotonically_increasing_id().bitwiseAND(F.lit(_WITHIN)))
+    return moved.withColumn("pos", _planned_start(plan) + F.monotonically_increasing_id().bitwiseAND(F.lit(_WITHIN)))
 
 
 def sort_sequential(df: DataFrame, keys, kernel: str = "distribution") -> DataFrame:

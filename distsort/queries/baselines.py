@@ -12,33 +12,51 @@ from ..operators.stackless import stackless_sort
 from ..plans.params import SortParams
 from ..sources.io import LINE_ID, load
 from .methods import ID, line_keys, sorted_sql
+from .workload import DESC_NULLS_SQL, MULTI_SQL, desc_nulls, multi
 
 KEYS = ["l_extendedprice", *LINE_ID]
 SQL = sorted_sql("lineitem", "l_extendedprice", "l_extendedprice", ID)
 
 FORMS = {
-    "oracle_samplesort": lambda df: Z.oracle_samplesort(df, KEYS),
-    "buffered_quicksort": lambda df: Z.kernel_sort(df, KEYS, "buffered"),
-    "dual_pivot": lambda df: Z.kernel_sort(df, KEYS, "dual_pivot"),
-    "introsort": lambda df: Z.kernel_sort(df, KEYS, "introsort"),
-    "task_quicksort": lambda df: Z.task_quicksort(df, KEYS),
-    "quicksort_unbalanced": lambda df: Z.quicksort_unbalanced(df, KEYS),
-    "quicksort_balanced": lambda df: Z.quicksort_balanced(df, KEYS),
-    "copy_samplesort": lambda df: Z.copy_samplesort(df, KEYS),
-    "multiway_merge": lambda df: Z.multiway_merge(df, KEYS),
-    "quicksort": lambda df: Z.kernel_sort(df, KEYS, "quicksort"),
-    "radix": lambda df: Z.radix(df, KEYS[0], KEYS[1:]),
-    "spark_order_by": lambda df: Z.spark_order_by(df, KEYS),
-    "window_sort": lambda df: Z.window_sort(df, KEYS),
+    "oracle_samplesort": Z.oracle_samplesort,
+    "buffered_quicksort": lambda df, keys: Z.kernel_sort(df, keys, "buffered"),
+    "dual_pivot": lambda df, keys: Z.kernel_sort(df, keys, "dual_pivot"),
+    "introsort": lambda df, keys: Z.kernel_sort(df, keys, "introsort"),
+    "task_quicksort": Z.task_quicksort,
+    "quicksort_unbalanced": Z.quicksort_unbalanced,
+    "quicksort_balanced": Z.quicksort_balanced,
+    "copy_samplesort": Z.copy_samplesort,
+    "multiway_merge": Z.multiway_merge,
+    "quicksort": lambda df, keys: Z.kernel_sort(df, keys, "quicksort"),
+    "radix": Z.radix,
+    "spark_order_by": Z.spark_order_by,
+    "window_sort": Z.window_sort,
+}
+#: Other sorts that have to get directions and nulls right as well.
+MORE = {
+    "stackless": lambda df, keys: stackless_sort(df, keys, SortParams(partitions=4)),
+    "stackless_kernel": lambda df, keys: Z.kernel_sort(df, keys, "stackless", SortParams(partitions=8)),
+    "kernel_block_sort": lambda df, keys: Z.kernel_sort(df, keys, "distribution", SortParams(partitions=8)),
 }
 
 
 def _form(name):
-    return lambda spark, d: FORMS[name](line_keys(spark, d)).select("pos", *KEYS)
+    return lambda spark, d: FORMS[name](line_keys(spark, d), KEYS).select("pos", *KEYS)
+
+
+def _form_of(name, table):
+    def run(spark, d):
+        df, keys = table(spark, d)
+        return (FORMS | MORE)[name](df, keys).select("pos", *[k.name if hasattr(k, "name") else k.removeprefix("-") for k in keys])
+
+    return run
 
 
 for _n in FORMS:
     query(SQL, f"q_base_{_n}")(_form(_n))
+for _n in FORMS | MORE:
+    query(DESC_NULLS_SQL, f"q_desc_nulls_{_n}")(_form_of(_n, desc_nulls))
+    query(MULTI_SQL, f"q_multi_{_n}")(_form_of(_n, multi))
 
 
 @query(f"select * from (values {', '.join(f'({chr(39)}{n}{chr(39)}, 0::bigint)' for n in FORMS)}) as x(baseline, mismatches)")
@@ -48,7 +66,7 @@ def q_base_agree(spark, d):
     own = sort_global(df, KEYS).select("pos", F.struct(*KEYS).alias("own"))
     out = None
     for name, f in FORMS.items():
-        other = f(df).select("pos", F.struct(*KEYS).alias("other")).join(own, "pos", "full")
+        other = f(df, KEYS).select("pos", F.struct(*KEYS).alias("other")).join(own, "pos", "full")
         one = other.agg(F.coalesce(F.sum((~F.col("other").eqNullSafe(F.col("own"))).cast("long")), F.lit(0)).alias("mismatches")).select(F.lit(name).alias("baseline"), "mismatches")
         out = one if out is None else out.unionByName(one)
     return out

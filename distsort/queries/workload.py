@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from ..catalog import query
 from ..operators.sort import sort_global
+from ..plans.keys import SortKey
 from ..plans.params import SortParams
 from ..sources import workloads as W
 from ..sources.io import LINE_ID, load
@@ -106,17 +107,27 @@ for _n, _p in ABLATIONS.items():
     query(_SORTED, f"q_ablate_{_n}")(_ablation(_p))
 
 
-@query(f"select row_number() over (order by l_shipdate desc nulls last, l_returnflag nulls first, {ID}) - 1 as pos, l_shipdate, l_returnflag, {ID} from lineitem")
-def q_sort_multi(spark, d):
-    return sort_global(load(spark, d, "lineitem", "l_shipdate", "l_returnflag", *LINE_ID), ["-l_shipdate", "l_returnflag", *LINE_ID])
+MULTI_SQL = f"select row_number() over (order by l_shipdate desc nulls last, l_returnflag nulls first, {ID}) - 1 as pos, l_shipdate, l_returnflag, {ID} from lineitem"
+DESC_NULLS_SQL = f"select row_number() over (order by x desc nulls first, {ID}) - 1 as pos, x, {ID} from (select case when l_linenumber % 3 = 0 then null else l_extendedprice end as x, {ID} from lineitem)"
 
 
-@query(f"select row_number() over (order by x desc nulls first, {ID}) - 1 as pos, x, {ID} from (select case when l_linenumber % 3 = 0 then null else l_extendedprice end as x, {ID} from lineitem)")
-def q_sort_desc_nulls(spark, d):
-    from ..plans.keys import SortKey
+def multi(spark, d):
+    return load(spark, d, "lineitem", "l_shipdate", "l_returnflag", *LINE_ID), ["-l_shipdate", "l_returnflag", *LINE_ID]
+
 
+def desc_nulls(spark, d):
     df = line_keys(spark, d).select(F.when(F.col("l_linenumber") % 3 != 0, F.col("l_extendedprice")).alias("x"), *LINE_ID)
-    return sort_global(df, [SortKey("x", False, True), *[SortKey(c) for c in LINE_ID]])
+    return df, [SortKey("x", False, True), *[SortKey(c) for c in LINE_ID]]
+
+
+@query(MULTI_SQL)
+def q_sort_multi(spark, d):
+    return sort_global(*multi(spark, d))
+
+
+@query(DESC_NULLS_SQL)
+def q_sort_desc_nulls(spark, d):
+    return sort_global(*desc_nulls(spark, d))
 
 
 @query("select row_number() over (order by c_name desc, c_custkey) - 1 as pos, c_name, c_custkey from customer")
