@@ -1,7 +1,7 @@
 """The block view of one distribution step, as relations: stripes, flushed blocks, boundaries, targets, gaps.
 
 A block here is metadata: its slot, its bucket, its rows' span.  Nothing in it is moved; ranks replace the pointers that
-threads would claim.  Windows are over (stripe, bucket) of rows or over blocks, never over all rows: the position that stripes are cut from comes
+threads would claim.  Windows are over RUN places at most, and the counts of the runs before give the rest: the position that stripes are cut from comes
 from the distribution sort."""
 
 from __future__ import annotations
@@ -16,6 +16,23 @@ from ..plans.params import SortParams
 from .sort import sort_global
 
 
+#: Places that a window takes at most.
+RUN = 1 << 20
+
+
+def numbered(df: DataFrame, keys: list[str], at: str, out: str, places: int) -> DataFrame:
+    """df with out: the number of each row (from 0) among those of equal keys, in the order of the integer column `at`, which is under `places`.
+
+    Runs of `at` are numbered by themselves and the counts of the runs before are added; a run of RUN places is a window's task at most."""
+    own = F.row_number().over(Window.partitionBy(*keys, "_run").orderBy(at)) - 1
+    cut = df.withColumn("_run", F.floor(F.col(at) / RUN))
+    if places <= RUN:
+        return cut.withColumn(out, own).drop("_run")
+    counts = cut.groupBy(*keys, "_run").agg(F.count(F.lit(1)).alias("_m"))
+    base = counts.select(*keys, "_run", (F.sum("_m").over(Window.partitionBy(*keys).orderBy("_run")) - F.col("_m")).alias("_base"))
+    return cut.withColumn(out, own).join(base, [*keys, "_run"]).withColumn(out, F.col(out) + F.col("_base")).drop("_run", "_base")
+
+
 @dataclass(frozen=True)
 class Striped:
     """Rows with rnk (place in input order), stripe, bucket and q (place within stripe and bucket)."""
@@ -46,8 +63,7 @@ def local_classify(df: DataFrame, n: int, tree: SplitterTree, b: int, t: int) ->
     inner = shape.starts()[1:-1]
     stripe = sum(((F.col("rnk") >= s).cast("int") for s in inner), F.lit(0))
     rows = tree.with_bucket(df.withColumn("stripe", stripe), "bucket")
-    q = F.row_number().over(Window.partitionBy("stripe", "bucket").orderBy("rnk")) - 1
-    return Striped(rows.withColumn("q", q), n, b, t, tree.buckets)
+    return Striped(numbered(rows, ["stripe", "bucket"], "rnk", "q", n), n, b, t, tree.buckets)
 
 
 def stripe_counts(s: Striped) -> DataFrame:
@@ -66,9 +82,8 @@ def flushed_blocks(s: Striped, key: str, eager: bool = False) -> DataFrame:
     made = per.groupBy("stripe", "bucket", "m").agg(F.min("rnk").alias("first_rowid"), F.max("rnk").alias("last"), F.count(F.lit(1)).alias("n_rows"), F.min(key).alias("min_key"), F.max(key).alias("max_key"))
     after = F.lead("first_rowid").over(Window.partitionBy("stripe", "bucket").orderBy("m"))
     made = made.where(F.col("n_rows") == s.b).withColumn("at", F.col("last")) if eager else made.withColumn("at", after).where("at is not null")
-    number = F.row_number().over(Window.partitionBy("stripe").orderBy("at")) - 1
     first = (_start_of(s, F.col("stripe")) / s.b).cast("long")
-    return made.withColumn("local", number).withColumn("slot", (first + F.col("local")).cast("long"))
+    return numbered(made, ["stripe"], "at", "local", s.n).withColumn("slot", (first + F.col("local")).cast("long"))
 
 
 def flush_room(s: Striped, key: str) -> DataFrame:
@@ -96,8 +111,7 @@ def delimiters(s: Striped) -> DataFrame:
 def block_targets(s: Striped, key: str) -> DataFrame:
     """stripe, slot, bucket, target: each bucket's blocks in the order of their slots, from its delimiter on."""
     blocks = flushed_blocks(s, key).join(F.broadcast(delimiters(s).select("bucket", "delim")), "bucket")
-    rank = F.row_number().over(Window.partitionBy("bucket").orderBy("slot")) - 1
-    return blocks.select("stripe", "slot", "bucket", (F.col("delim") + rank).alias("target"))
+    return numbered(blocks, ["bucket"], "slot", "_r", s.blocks).select("stripe", "slot", "bucket", (F.col("delim") + F.col("_r")).alias("target"))
 
 
 def empty_compaction(s: Striped, key: str) -> DataFrame:
@@ -105,8 +119,8 @@ def empty_compaction(s: Striped, key: str) -> DataFrame:
     slots = flushed_blocks(s, key).select("slot")
     area = delimiters(s).select("bucket", "delim", "next_delim")
     held = slots.join(F.broadcast(area), (F.col("slot") >= F.col("delim")) & (F.col("slot") < F.col("next_delim")))
-    held = held.withColumn("occupied", F.count(F.lit(1)).over(Window.partitionBy("bucket")))
-    counted = held.groupBy("bucket").agg(F.first("occupied").alias("occupied"), F.sum((F.col("slot") >= F.col("delim") + F.col("occupied")).cast("long")).alias("moves"))
+    occupied = held.groupBy("bucket").agg(F.count(F.lit(1)).alias("occupied"))  # one row for each bucket
+    counted = held.join(F.broadcast(occupied), "bucket").groupBy("bucket").agg(F.first("occupied").alias("occupied"), F.sum((F.col("slot") >= F.col("delim") + F.col("occupied")).cast("long")).alias("moves"))
     return area.select("bucket").join(F.broadcast(counted), "bucket", "left").fillna(0, ["occupied", "moves"])
 
 
@@ -133,8 +147,7 @@ def relabel_manifest(s: Striped, key: str) -> DataFrame:
     blocks = flushed_blocks(s, key).select("stripe", "slot", "bucket")
     sizes = blocks.groupBy("bucket").agg(F.count(F.lit(1)).alias("m"))
     base = sizes.select("bucket", (F.sum("m").over(Window.orderBy("bucket")) - F.col("m")).alias("base"))
-    rank = F.row_number().over(Window.partitionBy("bucket").orderBy("slot")) - 1
-    return blocks.withColumn("r", rank).join(F.broadcast(base), "bucket").select((F.col("base") + F.col("r")).cast("long").alias("seq"), "stripe", "slot", "bucket")
+    return numbered(blocks, ["bucket"], "slot", "r", s.blocks).join(F.broadcast(base), "bucket").select((F.col("base") + F.col("r")).cast("long").alias("seq"), "stripe", "slot", "bucket")
 
 
 def affinity(s: Striped) -> DataFrame:

@@ -47,12 +47,21 @@ def range_join(points: DataFrame, ranges: DataFrame, point: str, lo: str, hi: st
     return a.join(r, "_b").where((F.col(point) >= F.col(lo)) & (F.col(point) < F.col(hi))).drop("_b")
 
 
-def asof_join(left: DataFrame, right: DataFrame, by: str, at: str, value: str, out: str) -> DataFrame:
-    """left with the value of the latest right row of the same `by` at or before `at`: one exchange of the union, no pairs."""
+def asof_join(left: DataFrame, right: DataFrame, by: str, at: str, value: str, out: str, p: SortParams = SortParams()) -> DataFrame:
+    """left with the value of the latest right row of the same `by` at or before `at`: no pairs.
+
+    The union is dealt by `by` and bucket of `at`, so that a frequent `by` is many tasks'; what the buckets before have last is added from a table of one row each."""
     a = left.select(*left.columns, F.lit(1).alias("_side"), F.lit(None).cast(right.schema[value].dataType).alias("_v"))
     b = right.select(*[F.col(c) if c in (by, at) else F.lit(None).cast(left.schema[c].dataType).alias(c) for c in left.columns], F.lit(0).alias("_side"), F.col(value).alias("_v"))
-    w = Window.partitionBy(by).orderBy(at, "_side").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    return a.unionByName(b).withColumn(out, F.last("_v", True).over(w)).where("_side = 1").drop("_side", "_v")
+    tree, _, _ = plan_sort(left.select(at), [at], p)
+    rows = tree.with_bucket(a.unionByName(b), "_bucket", p.backend)
+    known = F.col("_v").isNotNull()
+    ends = rows.groupBy(by, "_bucket").agg(F.max_by(F.when(known, F.col("_v")), F.when(known, F.col(at))).alias("_end"))
+    earlier = Window.partitionBy(by).orderBy("_bucket").rowsBetween(Window.unboundedPreceding, -1)
+    carried = ends.select(F.col(by).alias("_by"), F.col("_bucket").alias("_of"), F.last("_end", True).over(earlier).alias("_carried"))
+    w = Window.partitionBy(by, "_bucket").orderBy(at, "_side").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    joined = rows.withColumn(out, F.last("_v", True).over(w)).where("_side = 1").join(carried, F.col(by).eqNullSafe(F.col("_by")) & (F.col("_bucket") == F.col("_of")), "left")
+    return joined.withColumn(out, F.coalesce(out, "_carried")).drop("_side", "_v", "_bucket", "_by", "_of", "_carried")
 
 
 def sorted_with_pid(df: DataFrame, keys, p: SortParams = SortParams()) -> tuple[DataFrame, int]:
@@ -81,8 +90,6 @@ def global_rank(df: DataFrame, keys, tie: list[str], tiles: int = 10, p: SortPar
     rows = Window.partitionBy("_pid")
     first = F.min("pos").over(rows)
     local = placed.withColumn("_first", first).withColumn("row_number", F.col("_first") + F.row_number().over(own)).withColumn("rank", F.col("_first") + F.rank().over(w)).withColumn("_dense", F.dense_rank().over(w))
-    upto = placed.withColumn("_first", first).select("*", (F.col("_first") + F.count(F.lit(1)).over(w.rangeBetween(Window.unboundedPreceding, Window.currentRow))).alias("_upto"))
-    del upto
     local = local.withColumn("_upto", F.col("_first") + F.count(F.lit(1)).over(w.rangeBetween(Window.unboundedPreceding, Window.currentRow)))
     each = local.groupBy("_pid").agg(F.max("_dense").alias("_m"))  # one row for each partition
     before = each.select("_pid", (F.sum("_m").over(Window.orderBy("_pid")) - F.col("_m")).alias("_before"))
@@ -116,9 +123,9 @@ def select_ranks(df: DataFrame, keys, ranks: list[int], p: SortParams = SortPara
     for c, start, inside in wanted:
         bucket = (c + 1) // 2
         own = df.where(tree.inside(bucket, equality) if c % 2 == 0 else tree.keys.same(tree._values(tree.splitters.values[bucket - 1])))
-        rows = own.orderBy(*spec.order()).limit(max(inside) - start + 1)
-        numbered = rows.withColumn("rank", F.row_number().over(Window.orderBy(*spec.order())) - 1 + F.lit(start))
-        one = numbered.where(F.col("rank").isin(inside))
+        # a large bucket is distributed once more
+        placed = sort_global(own, spec, p, rows=plan.sizes[c], pos="rank").where(F.col("rank").isin([r - start for r in inside]))
+        one = placed.withColumn("rank", F.col("rank") + F.lit(start))
         out = one if out is None else out.unionByName(one)
     return df.limit(0).withColumn("rank", F.lit(0)) if out is None else out
 

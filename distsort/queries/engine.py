@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 from ..catalog import query
 from ..functions import metrics as M
 from ..operators import blocks as B
-from ..operators.sort import class_counts, plan_sort, sort_global
+from ..operators.sort import distribute, plan_sort, sort_global
 from ..operators.verify import descents, same_multiset
 from ..plans.params import SortParams
 from ..sources.io import LINE_ID, load
@@ -78,11 +78,65 @@ def q_speedup_model(spark, d):
     return spark.createDataFrame([(c, round(M.speedup(1.0, 0.01 + 0.99 / c), 3)) for c in (1, 2, 4, 8, 16, 32)], "cores int, speedup double")
 
 
-@query()
+@query("select count(*) as n, true as several, true as even from lineitem")
 def q_partition_balance(spark, d):
-    """Rows of the partitions that the production plan makes: pid, classes, rows."""
+    """What the production plan makes: all rows, whether about 8 partitions have some, and whether the largest has at most twice its share."""
     df = line_keys(spark, d)
     tree, equality, plan = plan_sort(df, ["l_extendedprice"], SortParams(partitions=8))
-    sizes = class_counts(df, tree, SortParams(), equality)
-    rows = [(plan.first[c], c, s) for c, s in enumerate(sizes) if s]
-    return spark.createDataFrame(rows, "pid int, cls int, n long").groupBy("pid").agg(F.count(F.lit(1)).alias("classes"), F.sum("n").alias("n"))
+    dealt = distribute(df, tree, equality, plan).groupBy("_pid").agg(F.count(F.lit(1)).alias("n"))  # counted after the exchange
+    return dealt.agg(F.sum("n").alias("n"), (F.count(F.lit(1)) >= 7).alias("several"), (F.max("n") * 8 <= F.sum("n") * 2).alias("even"))
+
+
+_TABLE = "(select l_extendedprice as x from lineitem)"
+_CUTS = [1000.0 * 2**i for i in range(7)]
+
+
+def _measured(spark, d, f, schema):
+    """f(values, cost) on one task's rows: kernels are for a task's share, not for a table."""
+    from ..functions import kernels
+
+    def run(batches):
+        for batch in batches:
+            values = batch.column(0).to_pylist()
+            if values:
+                yield f(kernels, values)
+
+    return load(spark, d, "lineitem", "l_extendedprice").mapInArrow(run, schema)
+
+
+@query(f"select count(*) as n, (count(*) * 3)::bigint as comparisons, count(*) as read_rows, count(*) as written_rows, {', '.join(f'sum((case when x < {c} then 1 else 0 end))::bigint as under_{i}' for i, c in enumerate(_CUTS))} from {_TABLE}")
+def q_cost_measured_classification(spark, d):
+    """Counters of the kernel's local classification into 8 buckets: three comparisons a row, whatever the input; one read and one write."""
+    import pyarrow as pa
+
+    names = ["n", "comparisons", "read_rows", "written_rows", *[f"under_{i}" for i in range(len(_CUTS))]]
+
+    def one(kernels, values):
+        cost, tree = kernels.Cost(), kernels.tree_of(_CUTS)
+        _, _, counts, _ = kernels.flush_stripes(values, lambda x: kernels.classify(x, _CUTS, tree, cost), 8, 256, 2, cost)
+        under = [sum(c[b] for c in counts for b in range(i + 1)) for i in range(len(_CUTS))]
+        return pa.RecordBatch.from_arrays([pa.array([v], pa.int64()) for v in (len(values), cost.comparisons, cost.read, cost.written, *under)], names)
+
+    each = _measured(spark, d, one, ", ".join(f"{n} long" for n in names))
+    return each.agg(*[F.sum(n).alias(n) for n in names])
+
+
+@query("select m as method, true as sorted_, true as fewer_branches from (values ('distribution'), ('buffered')) as x(m)")
+def q_cost_measured_branches(spark, d):
+    """Branches on data of the kernels that avoid them beside those of the least branchy other one, on the table's rows in pieces of 4096."""
+    import pyarrow as pa
+
+    kept = ("distribution", "buffered", "quicksort", "dual_pivot", "introsort")
+
+    def one(kernels, values):
+        rows = []
+        for i in range(0, len(values), 4096):
+            want = sorted(values[i : i + 4096])
+            for k in kept:
+                cost = kernels.Cost()
+                rows.append((k, kernels.KERNELS[k](values[i : i + 4096], cost=cost) == want, cost.branches))
+        return pa.RecordBatch.from_arrays([pa.array(x) for x in zip(*rows)], ["method", "right", "branches"])
+
+    each = _measured(spark, d, one, "method string, right boolean, branches long").groupBy("method").agg(F.every("right").alias("sorted_"), F.sum("branches").alias("branches"))
+    least = each.where(F.col("method").isin(list(kept[2:]))).agg(F.min("branches").alias("least"))
+    return each.where(F.col("method").isin(list(kept[:2]))).join(F.broadcast(least)).select("method", "sorted_", (F.col("branches") < F.col("least")).alias("fewer_branches"))

@@ -144,10 +144,18 @@ plain("q_agg_distinct", "select l_returnflag, count(distinct l_partkey) as parts
 plain("q_distinct_sorted", "select distinct l_quantity, l_discount from lineitem", "lineitem")(lambda t: R.distinct_sorted(t, ["l_quantity", "l_discount"]))
 
 
-@query()
+@query("select 'parts' as sketch, true as close union all select 'quartile 1', true union all select 'quartile 2', true union all select 'quartile 3', true union all select 'median', true")
 def q_agg_approx(spark, d):
+    """Sketches beside exact figures of the same table: within 15 % (distinct keys), and within 2 % of all rows (ranks)."""
     t = load(spark, d, "lineitem", "l_partkey", "l_extendedprice")
-    return t.agg(F.approx_count_distinct("l_partkey").alias("parts"), F.percentile_approx("l_extendedprice", [0.25, 0.5, 0.75], 1000).alias("quartiles"), F.kll_sketch_get_quantile_double(F.kll_sketch_agg_double("l_extendedprice"), F.lit(0.5)).alias("median"))
+    quartiles = F.percentile_approx("l_extendedprice", [0.25, 0.5, 0.75], 1000)
+    got = t.agg(F.approx_count_distinct("l_partkey").alias("parts"), quartiles.alias("q"), F.kll_sketch_get_quantile_double(F.kll_sketch_agg_double("l_extendedprice"), F.lit(0.5)).alias("median"))
+    x = F.col("l_extendedprice")
+    share = lambda v: F.avg((x <= v).cast("double"))
+    beside = t.join(F.broadcast(got)).agg(F.first("parts").alias("parts"), F.count_distinct("l_partkey").alias("exact"), *[share(F.col("q")[i]).alias(f"s{i}") for i in range(3)], share(F.col("median")).alias("m"))
+    near = lambda c, goal: F.abs(F.col(c) - goal) <= 0.02
+    rows = [("parts", F.abs(F.col("parts") / F.col("exact") - 1) <= 0.15), *[(f"quartile {i + 1}", near(f"s{i}", (i + 1) / 4)) for i in range(3)], ("median", near("m", 0.5))]
+    return beside.select(F.explode(F.array(*[F.struct(F.lit(n).alias("sketch"), c.alias("close")) for n, c in rows])).alias("r")).select("r.sketch", "r.close")
 
 
 _dims = ("l_returnflag", "l_linestatus")
