@@ -1,11 +1,11 @@
 """URL filter: a blocked Bloom filter of listed canonical URLs, then an exact hash join of its hits.
 
-The list holds two kinds of entries in one key space: rules (host and path prefix) and canonical URLs.  A page asks for each of
-its host's suffixes with each listed path length, and for its canonical URL.  The filter is a table of blocks of
+Rules (host and path prefix) are a parameter, some hundreds at most: a page's host suffixes with each listed path length are looked up in a map of
+them within its row, and nothing is exchanged for them.  Where no rule fits, the page's canonical URL asks the filter, a table of blocks of
 512 bits (eight longs); a key's block comes from one half of its hash, its bits in the block from the other.  What
-passes is joined to the list by its full key, so that a false positive never decides.
+passes is joined to the list by its full key, so that a false positive never decides; what doesn't is exchanged with nothing.
 
-The number of blocks is a parameter, so the filter's size is bounded (64 bytes a block) whatever the list's; a longer list
+The filter has a block for each KEYS_A_BLOCK keys, but at most MOST_BLOCKS of them (64 bytes each), whatever the list's length; a longer list
 only makes more keys pass.
 
 Defined results: a null url, or one without `://`, has an empty host and path, fits no rule and is allowed; repeated
@@ -19,7 +19,7 @@ from functools import partial, reduce
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import ascii_lower, small, written
+from .common import ascii_lower, rows_of, small, written
 
 #: (verdict, host, path prefix) of the contract.  Fixed values.
 RULES = (
@@ -30,6 +30,8 @@ RULES = (
     ("block", "org", "/es/"),
 )
 BLOCKS, WORDS, PROBES = 1 << 15, 8, 5
+#: A filter's size: so many keys a block (with 5 probes, one key in 300 passes that isn't listed), and blocks at most.
+KEYS_A_BLOCK, MOST_BLOCKS = 32, 1 << 20
 #: Query parameters that don't change the page.  Fixed values.
 TRACKING = "^(utm_[^=]*|ref|fbclid|gclid)(=|$)"
 
@@ -64,8 +66,13 @@ def key_hash(key: Column) -> Column:
     return F.xxhash64(key)
 
 
-def block_of(h: Column) -> Column:
-    return F.pmod(F.shiftrightunsigned(h, 32), F.lit(BLOCKS).cast("long")).cast("int")
+def blocks_for(keys: int) -> int:
+    """A power of two."""
+    return min(MOST_BLOCKS, 1 << max(0, -(-keys // KEYS_A_BLOCK) - 1).bit_length())
+
+
+def block_of(h: Column, blocks: int = BLOCKS) -> Column:
+    return F.pmod(F.shiftrightunsigned(h, 32), F.lit(blocks).cast("long")).cast("int")
 
 
 def bits_of(h: Column) -> list[Column]:
@@ -74,10 +81,10 @@ def bits_of(h: Column) -> list[Column]:
     return [F.shiftrightunsigned(mixed, 9 * i).bitwiseAND(F.lit(WORDS * 64 - 1)).cast("int") for i in range(PROBES)]
 
 
-def blocked_filter(keys: DataFrame) -> DataFrame:
-    """block, w0 .. w7: one row for each block that has a bit; at most BLOCKS rows."""
+def blocked_filter(keys: DataFrame, blocks: int = BLOCKS) -> DataFrame:
+    """block, w0 .. w7: one row for each block that has a bit; at most `blocks` rows."""
     h = key_hash(F.col("key"))
-    each = keys.select(block_of(h).alias("block"), F.explode(F.array(*bits_of(h))).alias("bit"))
+    each = keys.select(block_of(h, blocks).alias("block"), F.explode(F.array(*bits_of(h))).alias("bit"))
     one = F.expr("shiftleft(1L, bit % 64)")
     return each.groupBy("block").agg(*[F.bit_or(F.when(F.floor(F.col("bit") / 64) == w, one).otherwise(F.lit(0).cast("long"))).alias(f"w{w}") for w in range(WORDS)])
 
@@ -90,38 +97,36 @@ def may_contain(h: Column) -> Column:
 
 
 def _with_prefix(n: int, suffix: Column) -> Column:
-    return F.concat(F.lit("r:"), suffix, F.substring("path", 1, n))
+    return F.concat(suffix, F.substring("path", 1, n))
+
+
+def best_rule(rules) -> Column:
+    """The longest rule that fits host and path, as a struct (length, rule, says); null if none does."""
+    if not rules:
+        return F.lit(None).cast("struct<length:int,rule:string,says:string>")
+    says = F.create_map(*[F.lit(x) for v, h, p in rules for x in (h + p, v)])
+    labels = F.split(F.col("host"), r"\.")
+    suffixes = F.transform(F.sequence(F.lit(1), F.size(labels)), lambda i: F.array_join(F.slice(labels, i, F.size(labels)), "."))
+    asked = F.array_distinct(F.concat(*[F.transform(suffixes, partial(_with_prefix, n)) for n in sorted({len(p) for _, _, p in rules})]))
+    fits = F.filter(asked, lambda k: F.map_contains_key(says, k))
+    return F.when(F.col("host") != "", F.array_max(F.transform(fits, lambda k: F.struct(F.length(k).alias("length"), k.alias("rule"), F.element_at(says, k).alias("says")))))
 
 
 def judge(pages: DataFrame, listed: DataFrame, rules=RULES) -> DataFrame:
     """page_id, host, path, rule, verdict.
 
     listed: canonical URLs (column canonical) that are blocked where no rule fits; rules: (verdict, host, path prefix)."""
-    spark = pages.sparkSession
-    urls = parsed(pages).withColumn("row", F.monotonically_increasing_id())
-    rule_rows = spark.createDataFrame([(f"r:{h}{p}", h + p, v) for v, h, p in rules], "key string, rule string, says string")
-    list_rows = listed.where("canonical is not null").select(F.concat(F.lit("u:"), "canonical").alias("key"), F.lit(None).cast("string").alias("rule"), F.lit("block").alias("says")).distinct()
-    entries = written(rule_rows.unionByName(list_rows), "url-list")
-    bloom = written(blocked_filter(entries), "url-bloom")
-
-    lengths = sorted({len(p) for _, _, p in rules})
-    labels = F.split(F.col("host"), r"\.")
-    suffixes = F.transform(F.sequence(F.lit(1), F.size(labels)), lambda i: F.array_join(F.slice(labels, i, F.size(labels)), "."))
-    asked = F.concat(
-        F.array(F.concat(F.lit("u:"), F.col("canonical"))),
-        *[F.transform(suffixes, partial(_with_prefix, n)) for n in lengths],
-    )
-    # the rows are few columns wide: written once, so that their ids stay what they are
-    urls = written(urls, "url-pages")
-    keys = urls.where("host <> ''").select("row", F.explode(F.array_distinct(asked)).alias("key")).withColumn("h", key_hash(F.col("key")))
-    hits = keys.withColumn("block", block_of(F.col("h"))).join(F.broadcast(bloom), "block").where(may_contain(F.col("h"))).select("row", "key")
-    exact = hits.join(small(entries), "key")
-    best = exact.groupBy("row").agg(
-        F.max_by("rule", F.length("rule")).alias("rule"),
-        F.max_by("says", F.when(F.col("rule").isNotNull(), F.length("rule"))).alias("rule_says"),
-        F.max(F.when(F.col("rule").isNull(), F.col("says"))).alias("list_says"),
-    )
-    return urls.join(best, "row", "left").select("page_id", "host", "path", "rule", F.coalesce("rule_says", "list_says", F.lit("allow")).alias("verdict"))
+    entries = written(listed.where("canonical is not null").select(F.col("canonical").alias("key")).distinct(), "url-list")
+    blocks = blocks_for(rows_of(entries))
+    bloom = written(blocked_filter(entries, blocks), "url-bloom", blocks)
+    urls = parsed(pages).withColumn("best", best_rule(rules)).withColumn("h", key_hash(F.col("canonical"))).withColumn("at", block_of(F.col("h"), blocks))
+    asked = urls.join(F.broadcast(bloom), (F.col("at") == F.col("block")) & F.col("best").isNull() & (F.col("host") != ""), "left")  # MOST_BLOCKS rows at most
+    passes = F.col("block").isNotNull() & may_contain(F.col("h"))
+    names = ["page_id", "host", "path", F.col("best.rule").alias("rule")]
+    rest = asked.where(~F.coalesce(passes, F.lit(False))).select(*names, F.coalesce("best.says", F.lit("allow")).alias("verdict"))
+    # in the list by its full key, or not after all
+    met = asked.where(passes).join(small(entries), F.col("canonical") == F.col("key"), "left")
+    return rest.unionByName(met.select(*names, F.when(F.col("key").isNotNull(), "block").otherwise("allow").alias("verdict")))
 
 
 def standing_list(pages: DataFrame) -> DataFrame:
