@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import textkernel as tk
-from .common import small, written
+from .common import rows_of, small, written
 from .near_dup import near_duplicates
 
 SHINGLE = 5
@@ -86,10 +86,10 @@ def repeated_passages(docs: DataFrame) -> DataFrame:
     lines = written(paragraphs(texts).withColumn("id", F.monotonically_increasing_id()), "paragraphs")
     near = near_duplicates(lines.select(F.col("id").alias("doc_id"), "text"), size=SHINGLE)
     classes = near.select(F.col("doc_id").alias("id"), F.col("component_id").alias("class"))
-    placed = written(lines.select("id", "doc_id", "line", "words").join(classes, "id"), "paragraph-classes")
+    placed = written(lines.select("id", "doc_id", "line", "words").join(classes, "id"), "paragraph-classes", rows_of(lines))
     first = placed.groupBy("class").agg(F.min(F.struct("doc_id", "line")).alias("first"), F.count(F.lit(1)).alias("m")).where("m > 1").select("class", "first")
     behind = (F.col("doc_id") != F.col("first.doc_id")) | (F.col("line") != F.col("first.line"))
-    gone = placed.join(small(written(first, "paragraph-firsts")), "class").where(behind).select("doc_id", "line", "words", F.col("first.doc_id").alias("kept_doc_id")).distinct()
+    gone = placed.join(small(written(first, "paragraph-firsts", rows_of(lines) // 2)), "class").where(behind).select("doc_id", "line", "words", F.col("first.doc_id").alias("kept_doc_id")).distinct()
     gone = gone.select("doc_id", F.lit("paragraph").alias("kind"), "line", F.lit(None).cast("long").alias("start"), F.lit(None).cast("long").alias("end"), F.col("words").alias("n_words"), "kept_doc_id")
 
     found = written(texts.mapInArrow(_pieces, _PIECES), "pieces")
@@ -97,7 +97,7 @@ def repeated_passages(docs: DataFrame) -> DataFrame:
     place = F.struct("doc_id", "start", "end")
     shared = found.groupBy("c").agg(F.min(place).alias("kept"), F.max(place).alias("last"))
     shared = shared.where("kept.doc_id < last.doc_id or kept.end <= last.start").select("c", F.col("kept.doc_id").alias("kept_doc_id"), F.col("kept.end").alias("kept_end"))
-    again = found.join(small(written(shared, "shared-pieces")), "c").where("doc_id > kept_doc_id or start >= kept_end").select("doc_id", "start", "end", "kept_doc_id").distinct()
+    again = found.join(small(written(shared, "shared-pieces", rows_of(found) // 2)), "c").where("doc_id > kept_doc_id or start >= kept_end").select("doc_id", "start", "end", "kept_doc_id").distinct()
     inside = Window.partitionBy("doc_id").orderBy("start")
     upto = F.max("end").over(inside.rowsBetween(Window.unboundedPreceding, -1))
     marked = again.withColumn("new", F.when(F.col("start") <= upto, 0).otherwise(1)).withColumn("span", F.sum("new").over(inside))

@@ -33,7 +33,8 @@ DIMS = 5
 H = 0.75
 #: Variances that are added, by statistic: log words, log mean word length, log symbols, log repeated lines, log repeated words.
 RIDGE = (0.05, 0.0225, 0.5, 1.0, 1.0)
-STEPS = 5
+#: Concentration steps at most; they end where no determinant changes any more.
+STEPS, STILL = 20, 1e-9
 LEAST = 50
 REWEIGH, REJECT = 0.975, 1 - 1e-6
 
@@ -151,17 +152,17 @@ def cells(rows: DataFrame) -> DataFrame:
     return counts.select("lang", "source", "cell")
 
 
-def determinant_estimates(rows: DataFrame) -> DataFrame:
-    """cell, m0 .., l00 ..: reweighed minimum-covariance-determinant estimates of rows (cell, x0 ..)."""
+def determinant_estimates(rows: DataFrame, most: int | None = None) -> DataFrame:
+    """cell, m0 .., l00 ..: reweighed minimum-covariance-determinant estimates of rows (cell, x0 ..); most: cells at most, if known."""
     middle = rows.groupBy("cell").agg(*[F.percentile(x, F.lit(0.5)).alias(f"q{x}") for x in X])
-    middle = written(middle, "medians")
+    middle = written(middle, "medians", most)
     spread = rows.join(small(middle), "cell").groupBy("cell").agg(*[F.first(f"q{x}").alias(f"q{x}") for x in X], *[F.percentile(F.abs(F.col(x) - F.col(f"q{x}")), F.lit(0.5)).alias(f"d{x}") for x in X])
     deviation = lambda i: F.sqrt(F.pow(F.col(f"dx{i}") * 1.4826 / SCALE, 2) + RIDGE[i])
     robust = spread.select(
         "cell", F.lit(0).alias("start"), *[(F.col(f"qx{i}") / SCALE).alias(M[i]) for i in range(DIMS)], *[(deviation(i) if i == j else F.lit(0.0)).alias(f"l{i}{j}") for i, j in PAIRS], F.lit(0.0).alias("logdet")
     )
     plain = _estimate(rows.groupBy("cell").agg(*_sums()), ["cell"], 1.0).withColumn("start", F.lit(1))
-    now = written(robust.unionByName(plain), "estimates")
+    now = written(robust.unionByName(plain), "estimates", most)
     keys = ["cell", "start"]
     both = rows.select("cell", *X, F.explode(F.array(F.lit(0), F.lit(1))).alias("start"))
     for _ in range(STEPS):
@@ -170,11 +171,14 @@ def determinant_estimates(rows: DataFrame) -> DataFrame:
         order = Window.partitionBy(*keys)
         near = sums.withColumn("before", F.sum("n").over(order.orderBy("step")) - F.col("n")).withColumn("all", F.sum("n").over(order)).where(F.col("before") < F.col("all") * H)
         names = ["n", *[f"s{x}" for x in X], *[f"p{i}{j}" for i, j in PAIRS]]
-        now = written(_estimate(near.groupBy(*keys).agg(*[F.sum(c).alias(c) for c in names]), keys, consistency(H)), "estimates")
+        before = now.select(*keys, F.col("logdet").alias("was"))
+        now = written(_estimate(near.groupBy(*keys).agg(*[F.sum(c).alias(c) for c in names]), keys, consistency(H)), "estimates", rows_of(now))
+        if now.join(small(before, rows_of(now)), keys).where(F.abs(F.col("logdet") - F.col("was")) > STILL).isEmpty():
+            break
     best = now.groupBy("cell").agg(F.min_by("start", F.struct("logdet", "start")).alias("start"))
     now = now.join(best, keys)
     inside = _distances(rows, now.drop("start"), ["cell"]).where(F.col("d2") <= chi2_quantile(REWEIGH, DIMS))
-    return written(_estimate(inside.groupBy("cell").agg(*_sums()), ["cell"], consistency(REWEIGH)), "estimates")
+    return written(_estimate(inside.groupBy("cell").agg(*_sums()), ["cell"], consistency(REWEIGH)), "estimates", most)
 
 
 def judge(docs: DataFrame) -> DataFrame:
@@ -182,11 +186,11 @@ def judge(docs: DataFrame) -> DataFrame:
     stats = base_statistics(docs)
     stats = written(stats.select("*", *vector()), "statistics")
     passed = stats.where(~F.col("base_failed"))
-    cell = written(cells(passed), "cells")
+    cell = written(cells(passed), "cells", rows_of(stats))
     same = lambda s: F.col("lang").eqNullSafe(F.col("l2")) & F.col("source").eqNullSafe(F.col("s2"))
     cell2 = cell.select(F.col("lang").alias("l2"), F.col("source").alias("s2"), "cell")
     rows = passed.join(small(cell2), same(0)).select("cell", *X)
-    estimates = determinant_estimates(rows)
+    estimates = determinant_estimates(rows, rows_of(cell))
     judged = stats.join(small(cell2), same(0), "left").drop("l2", "s2")
     known = judged.where("cell is not null and not base_failed")
     far = _distances(known, estimates, ["cell"]).withColumn("kept", F.col("d2") <= chi2_quantile(REJECT, DIMS))

@@ -27,7 +27,7 @@ from .common import words
 
 SAMPLE = 6000
 THRESHOLD = 0.3
-FEATURES = ("n_words", "word_length", "symbols", "bangs", "digits", "uppers", "bars", "distinct", "adjacent", "top_line", "short_lines")
+FEATURES = ("n_words", "word_length", "symbols", "bangs", "digits", "uppers", "bars", "distinct", "adjacent", "repeated_lines", "lines_a_word")
 
 
 def held_out(doc_id: Column) -> Column:
@@ -54,8 +54,8 @@ def statistics(docs: DataFrame) -> DataFrame:
         share(without("|"), n).alias("bars"),
         share(F.size(F.array_distinct("w")), n).alias("distinct"),
         share(F.size(F.filter("w", lambda x, i: x == F.get("w", i - 1))), n).alias("adjacent"),
-        share(F.size(lines) - F.size(F.array_distinct(lines)), F.size(lines)).alias("top_line"),
-        share(F.size(lines), n).alias("short_lines"),
+        share(F.size(lines) - F.size(F.array_distinct(lines)), F.size(lines)).alias("repeated_lines"),
+        share(F.size(lines), n).alias("lines_a_word"),
     )
 
 
@@ -191,7 +191,8 @@ def learned(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> RuleEns
     known = known.groupBy("doc_id").agg(F.max("quality").cast("double").alias("quality"))
     chosen = known.orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample).select(F.col("doc_id").alias("id"), "quality")
     rows = statistics(docs.select("doc_id", "text").join(F.broadcast(chosen.select("id")), F.col("doc_id") == F.col("id"), "left_semi")).join(F.broadcast(chosen), F.col("doc_id") == F.col("id"))
-    got = rows.select("id", "quality", *FEATURES).limit(2 * sample).toArrow()
+    # one row for each id, of those that repeat it always the same
+    got = rows.groupBy("id", "quality").agg(F.min(F.struct(*FEATURES)).alias("x")).select("id", "quality", "x.*").toArrow()  # `sample` rows at most
     order = np.argsort(got.column("id").to_numpy(), kind="stable")
     x = np.stack([got.column(f).to_numpy() for f in FEATURES], axis=1)[order]
     return fitted(x, got.column("quality").to_numpy()[order])
