@@ -142,6 +142,34 @@ def heads_tails(s: Striped) -> DataFrame:
     return d.withColumn("gap", F.col("leftovers") + F.col("overhang"))
 
 
+def cleaned_up(s: Striped, key: str) -> DataFrame:
+    """rnk, bucket, place: where every row comes to stand.
+
+    A row of a full block has its place from the block's target.  Rows that this puts behind their bucket's end (into the head of the next one, or into
+    the overflow block) and rows that are left in buffers are numbered in each bucket, and fill its empty entries: the head first, then what is behind its blocks."""
+    d = delimiters(s).select("bucket", "start", "size", "delim", "full_blocks")
+    placed = flushed_blocks(s, key).select("stripe", "slot", F.col("bucket"), "m").join(block_targets(s, key), ["stripe", "slot", "bucket"]).select("stripe", "bucket", "m", "target")
+    rows = s.rows.select("rnk", "stripe", "bucket", "q", F.floor(F.col("q") / s.b).cast("long").alias("m")).join(placed, ["stripe", "bucket", "m"], "left").join(F.broadcast(d), "bucket")
+    end = F.col("start") + F.col("size")
+    own = F.col("target") * s.b + F.pmod(F.col("q"), F.lit(s.b))
+    rows = rows.withColumn("place", F.when(own < end, own))
+    stays = rows.where("place is not null").select("rnk", "bucket", F.col("place").cast("long").alias("place"))
+    # at most a block for each buffer and one more: few rows a bucket
+    number = F.row_number().over(Window.partitionBy("bucket").orderBy("rnk")) - 1
+    head = F.least(F.col("delim") * s.b, end) - F.col("start")
+    behind = F.least((F.col("delim") + F.col("full_blocks")) * s.b, end)
+    gap = F.when(F.col("r") < head, F.col("start") + F.col("r")).otherwise(behind + F.col("r") - head)
+    moved = rows.where("place is null").withColumn("r", number).select("rnk", "bucket", gap.cast("long").alias("place"))
+    return stays.unionByName(moved)
+
+
+def saved_heads(s: Striped, workers: int) -> DataFrame:
+    """worker, next_bucket, head: rows of the head that a worker reads before the next worker's first bucket is cleaned up."""
+    heads = heads_tails(s).select("bucket", "head", F.floor(F.col("bucket") * workers / s.k).cast("int").alias("worker")).where("worker > 0")
+    first = heads.groupBy("worker").agg(F.min(F.struct("bucket", "head")).alias("x"))
+    return first.select((F.col("worker") - 1).alias("worker"), F.col("x.bucket").alias("next_bucket"), F.col("x.head").alias("head"))
+
+
 def relabel_manifest(s: Striped, key: str) -> DataFrame:
     """seq, stripe, slot, bucket: the order in which blocks are read as if they had been moved; no row is."""
     blocks = flushed_blocks(s, key).select("stripe", "slot", "bucket")

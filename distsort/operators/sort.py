@@ -12,8 +12,8 @@ from pyspark.sql import types as T
 
 from ..functions.classify import SplitterTree, literal_array
 from ..plans.keys import KeySpec, quoted
-from ..plans.params import SortParams
-from ..plans.recursion import DistributionPlan, plan_partitions
+from ..plans.params import SortParams, level_plan
+from ..plans.recursion import DistributionPlan, plan_partitions, plan_recursion
 from ..plans.sampling import SplitterSet, dedupe_splitters, draw_sample, pick_splitters
 
 _WITHIN = (1 << 33) - 1
@@ -66,7 +66,9 @@ def plan_sort(df: DataFrame, keys, p: SortParams = SortParams(), rows: int | Non
     n = df.count() if rows is None else rows
     # a partition of fewer rows than this costs more to plan than to sort
     parts = p.partitions or min(int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")), max(1, -(-n // LEAST_ROWS)))
-    k = min(p.k, 1 << max(0, (4 * parts - 1).bit_length())) if parts > 1 else 1
+    # four buckets a partition in the end; the levels share them, so that no level has a needlessly large fan-out
+    levels = level_plan(n, max(p.n0, n // (4 * parts)), p.k) if parts > 1 else []
+    k = levels[0] if levels else 1
     found = SplitterSet((), False)
     if n > p.n0 and k > 1:
         spec, found = leading_splitters(df, spec, k, n, p)
@@ -81,7 +83,9 @@ def plan_sort(df: DataFrame, keys, p: SortParams = SortParams(), rows: int | Non
             equality = found.use_equality if p.equality is None else p.equality
             tree = SplitterTree.build(df, spec, found)
             sizes = class_counts(df, tree, p, equality)
-        large = [c for c, s in enumerate(sizes) if c % 2 == 0 and s > 2 * limit]
+        # what is over twice a partition's share is split by all workers again, equality classes never are
+        doomed = plan_recursion(sizes, parts, 2 * p.beta, p.n0, frozenset(range(1, len(sizes), 2)))
+        large = [c for c, what in enumerate(doomed) if what == "split"]
         if not large or len(tree.splitters) > 16 * max(p.k, parts):
             break
         more = deeper_splitters(df, tree, equality, large, sizes, limit, n, p)

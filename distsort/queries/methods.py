@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -11,7 +13,7 @@ from ..operators import blocks as B
 from ..operators.sort import sort_global
 from ..plans.params import SortParams, block_rows, level_plan, oversampling
 from ..plans.recursion import pack_buckets, plan_recursion
-from ..plans.sampling import SplitterSet, dedupe_splitters, draw_sample, pick_splitters
+from ..plans.sampling import SplitterSet, dedupe_splitters, draw_sample, pick_splitters, sketched_quantiles
 from ..sources.io import LINE_ID, load
 
 K, ALPHA, BLOCK, STRIPES, SEED = 16, 4, 64, 4, 7
@@ -255,3 +257,43 @@ def q_sort_equality(spark, d):
 def q_sort_spread_classes(spark, d):
     """No tie-breaker: classes of equal keys are spread over partitions and not sorted."""
     return sort_global(load(spark, d, "lineitem", "l_quantity"), ["l_quantity"], SortParams(equality=True, partitions=8))
+
+
+@query(f"with {cte()} select bucket, size as n, start as first, (start + size - 1)::bigint as last, size as places from off where size > 0")
+def q_cleanup(spark, d):
+    """Every bucket's rows at places of their own that are its span exactly."""
+    placed = B.cleaned_up(line_blocks(spark, d), "l_extendedprice")
+    return placed.groupBy("bucket").agg(F.count(F.lit(1)).alias("n"), F.min("place").alias("first"), F.max("place").alias("last"), F.count_distinct("place").alias("places"))
+
+
+@query(f"with {cte()}, wk as (select bucket, (bucket * {STRIPES} // (select count(*) from ks))::int as worker, least(delim * {BLOCK} - start, size)::bigint as head from dl) select worker - 1 as worker, min(bucket) as next_bucket, arg_min(head, bucket)::bigint as head from wk where worker > 0 group by worker")
+def q_saved_heads(spark, d):
+    return B.saved_heads(line_blocks(spark, d), STRIPES)
+
+
+def _same_rows_each_time(spark, d, method):
+    df, m = line_keys(spark, d), 64
+    draw = lambda: draw_sample(df, ["l_extendedprice"], m, SEED, method, LINE_ID)
+    one = draw().agg(F.count(F.lit(1)).alias("n"), F.sum(F.xxhash64(*LINE_ID).cast("decimal(38,0)")).alias("s"))
+    two = draw().agg(F.sum(F.xxhash64(*LINE_ID).cast("decimal(38,0)")).alias("s2"))
+    few = F.col("n") == m if method in ("digest", "hash") else (F.col("n") >= m // 4) & (F.col("n") <= 4 * m)
+    return one.join(F.broadcast(two)).select(F.lit(method).alias("method"), few.alias("as_many"), (F.col("s") == F.col("s2")).alias("same"))
+
+
+_METHODS = ("bernoulli", "digest", "hash", "per_partition")
+
+
+@query(" union all ".join(f"select '{m}' as method, true as as_many, true as same" for m in _METHODS))
+def q_sample_methods(spark, d):
+    """Each way of sampling: whether it draws as many rows as it says, and the same ones again."""
+    return reduce(DataFrame.unionByName, [_same_rows_each_time(spark, d, m) for m in _METHODS])
+
+
+@query(f"select i as idx, true as close from range(1, {K}) as x(i)")
+def q_sample_sketch(spark, d):
+    """Splitters from a mergeable sketch: whether each has its share of the rows at or under it, to within 1 %."""
+    df = line_keys(spark, d)
+    cuts = sketched_quantiles(df, "l_extendedprice", K)
+    shares = [F.avg((F.col("l_extendedprice") <= c).cast("double")).alias(f"s{i}") for i, c in enumerate(cuts, 1)]
+    each = F.array(*[F.struct(F.lit(i).cast("long").alias("idx"), (F.abs(F.col(f"s{i}") - i / K) <= 0.01).alias("close")) for i in range(1, K)])
+    return df.agg(*shares).select(F.explode(each).alias("x")).select("x.idx", "x.close")
