@@ -30,7 +30,7 @@ def draw_sample(df: DataFrame, keys, m: int, seed: int = 7, method: str = "berno
         return thin.sample(min(1.0, 1.2 * m / max(1, n) + 1e-9), seed) if m < n else thin
     if method == "per_partition":
         order = Window.partitionBy(F.spark_partition_id()).orderBy(F.xxhash64(F.lit(seed), *cols))
-        parts = 1 + (thin.agg(F.max(F.spark_partition_id())).first()[0] or 0)
+        parts = 1 + (thin.select(F.spark_partition_id().alias("p")).agg(F.max("p")).first()[0] or 0)
         return thin.withColumn("_r", F.row_number().over(order)).where(F.col("_r") <= -(-m // parts)).drop("_r")
     raise ValueError(method)
 
