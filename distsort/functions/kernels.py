@@ -171,12 +171,12 @@ def dual_pivot(a: list, cost: Cost | None = None, n0: int = 16) -> list:
         if less(a[hi - 1], a[lo]):
             swap(lo, hi - 1)
         p, q = a[lo], a[hi - 1]
-        low, at, high = lo + 1, lo + 1, hi - 2  # [lo + 1, low): under p; [low, at): between; (high, hi - 1): q or more
+        low, at, high = lo + 1, lo + 1, hi - 2  # [lo + 1, low): under p; [low, at): from p to q; (high, hi - 1): over q
         while at <= high:
             if less(a[at], p):
                 swap(at, low)
                 low += 1
-            elif not less(a[at], q):
+            elif less(q, a[at]):
                 while at < high and less(q, a[high]):
                     high -= 1
                 swap(at, high)
@@ -187,7 +187,11 @@ def dual_pivot(a: list, cost: Cost | None = None, n0: int = 16) -> list:
         swap(hi - 1, high + 1)
         todo += [(lo, low - 1), (high + 2, hi)]
         if p < q:
-            todo.append((low, high + 1))
+            high += 1
+            if 7 * (high - low) > 4 * (hi - lo):  # many rows may equal a pivot: these are done
+                low = _gathered(a, low, high, lambda x: not p < x, cost)  # noqa: B023
+                high = _gathered(a, low, high, lambda x: x < q, cost)  # noqa: B023
+            todo.append((low, high))
     return a
 
 
