@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import uuid
+
 import pandas as pd
 from pyspark.sql import Window
 from pyspark.sql import functions as F
@@ -30,8 +32,14 @@ def spark_sql(name: str, sql: str, *tables: str, oracle: str | None = None):
     """A query in SQL that both engines read."""
 
     def run(spark, d):
-        io.register_views(spark, d, *tables)
-        return spark.sql(sql)
+        # views of names of their own, so that none of the session's is replaced
+        own = {t: f"{t}_{uuid.uuid4().hex}" for t in tables}
+        io.register_views(spark, d, own)
+        named = ", ".join(f"{t} as (select * from {v})" for t, v in own.items())
+        out = spark.sql(f"with {named}, {sql[5:]}" if sql.startswith("with ") else f"with {named} {sql}")
+        for v in own.values():
+            spark.catalog.dropTempView(v)
+        return out
 
     query(oracle or sql, name)(run)
 
@@ -83,10 +91,11 @@ def q_relabel_files(spark, d):
 
 @query("select o_custkey, count(*) as n from orders group by o_custkey")
 def q_write_bucketed(spark, d):
-    import uuid
-
-    table = io.write_bucketed(load(spark, d, "orders", "o_custkey", "o_orderkey"), "o_custkey", 4, f"orders_{uuid.uuid4().hex}")
-    return table.groupBy("o_custkey").agg(F.count(F.lit(1)).alias("n"))
+    name, path = f"orders_{uuid.uuid4().hex}", io.fresh_path(spark, "counted")
+    table = io.write_bucketed(load(spark, d, "orders", "o_custkey", "o_orderkey"), "o_custkey", 4, name)
+    table.groupBy("o_custkey").agg(F.count(F.lit(1)).alias("n")).write.parquet(path)
+    spark.sql(f"drop table {name}")  # nothing stays in the warehouse
+    return spark.read.parquet(path)
 
 
 # ---- joins ---------------------------------------------------------------------------------------

@@ -21,9 +21,10 @@ def load(spark: SparkSession, sf_dir: str, table: str, *columns: str) -> DataFra
     return df.select(*columns) if columns else df
 
 
-def register_views(spark: SparkSession, sf_dir: str, *tables: str) -> None:
-    for t in tables or TABLES:
-        load(spark, sf_dir, t).createOrReplaceTempView(t)
+def register_views(spark: SparkSession, sf_dir: str, names: dict[str, str] | None = None) -> None:
+    """Views of tables; names: table to view, each table under its own name if not given."""
+    for t, view in (names or {t: t for t in TABLES}).items():
+        load(spark, sf_dir, t).createOrReplaceTempView(view)
 
 
 def shared_folder(spark: SparkSession) -> str:
