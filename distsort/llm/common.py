@@ -5,6 +5,8 @@ from __future__ import annotations
 import os
 import tempfile
 import uuid
+from collections.abc import Callable, Iterator
+from contextlib import contextmanager
 from pathlib import Path
 
 from pyspark.sql import Column, DataFrame, Observation, SparkSession
@@ -50,10 +52,41 @@ def written(df: DataFrame, label: str, most: int | None = None, rows_a_file: int
     dealt = df if most is None else df.coalesce(1 + most // rows_a_file)
     dealt.observe(seen, F.count(F.lit(1)).alias("n")).write.option("compression", "zstd").parquet(path)
     out = spark.read.schema(df.schema).parquet(path)
-    out._written_rows = seen.get["n"]
+    out._written_rows, out._written_path = seen.get["n"], path
+    if _passing:
+        _passing[-1].append(path)
     return out
 
 
+#: Paths that the open blocks of `passing` have written, the innermost last.
+_passing: list[list[str]] = []
+
+
+@contextmanager
+def passing(spark: SparkSession) -> Iterator[Callable[[DataFrame], DataFrame]]:
+    """Within the block, `written` tables are for the block only and are deleted at its end; those that are handed to what it yields stay."""
+    own: list[str] = []
+
+    def keep(df: DataFrame) -> DataFrame:
+        own.remove(df._written_path)
+        if len(_passing) > 1:
+            _passing[-2].append(df._written_path)
+        return df
+
+    _passing.append(own)
+    try:
+        yield keep
+    finally:
+        _passing.pop()
+        for path in own:
+            _delete(spark, path)
+
+
+def _delete(spark: SparkSession, path: str) -> None:
+    at = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
+
+
 def rows_of(df: DataFrame) -> int:
     """The rows of a table, known if it comes from `written`."""
     n = getattr(df, "_written_rows", None)
@@ -62,9 +95,7 @@ def rows_of(df: DataFrame) -> int:
 
 def release(spark: SparkSession) -> None:
     """Delete every table that `written` has left in the shared folder for this application."""
-    jvm = spark.sparkContext._jvm
-    path = jvm.org.apache.hadoop.fs.Path(scratch(spark))
-    path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+    _delete(spark, scratch(spark))
 
 
 def small(df: DataFrame, rows: int | None = None, most: int = BROADCAST_ROWS) -> DataFrame:

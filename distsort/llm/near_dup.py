@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import textkernel as tk
-from .common import rows_of, small, unused, written
+from .common import passing, rows_of, small, unused, written
 from .components import components
 
 BANDS, ROWS = 32, 4
@@ -117,7 +117,14 @@ def with_class(rows: DataFrame, classes: DataFrame, total: int) -> DataFrame:
     return both.where(F.col("hot").isNotNull()).withColumnRenamed("hot", "rep").unionByName(rest)
 
 
-def _clustered(docs: DataFrame, threshold: tuple[int, int], size: int, bands: int, rows: int, lower: bool, unnamed: bool) -> tuple[DataFrame, DataFrame]:
+def _clustered(docs: DataFrame, *how) -> tuple[DataFrame, DataFrame]:
+    """What `_linked` gives; its other tables go."""
+    with passing(docs.sparkSession) as keep:
+        placed, linked = _linked(docs, *how)
+        return keep(placed), keep(linked)
+
+
+def _linked(docs: DataFrame, threshold: tuple[int, int], size: int, bands: int, rows: int, lower: bool, unnamed: bool) -> tuple[DataFrame, DataFrame]:
     """(placed, linked): doc_id, t, n, rep, own for every row, and node, component, own for the classes that have links.
 
     t is the text's hash, rep the row's class, and own the class's first row (unnamed, doc_id, t).  Rows without words have no class; with

@@ -35,7 +35,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import textkernel as tk
-from .common import small, written
+from .common import passing, small, written
 
 LENGTH, GRAM = 100, 32
 #: Open contexts of one q-gram from which on longer ones are taken, and how many starts share one of these.
@@ -394,6 +394,11 @@ def _first_of_strings(strings: DataFrame) -> DataFrame:
 
 def repeated_spans(docs: DataFrame, length: int = LENGTH, gram: int = GRAM) -> DataFrame:
     """doc, row, starts, ends: the removed spans (bytes, end exclusive) of each document that loses some."""
+    with passing(docs.sparkSession) as keep:
+        return keep(_spans(docs, length, gram))
+
+
+def _spans(docs: DataFrame, length: int, gram: int) -> DataFrame:
     texts = identified(docs)
     partitions = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     found = texts.where(F.octet_length("text") >= length).select("doc", "row", "text").mapInArrow(_found(length, gram), _ANCHORS)
