@@ -11,7 +11,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from distsort.llm import decontamination, mixing, near_dup, quality_rules, sharding
-from distsort.llm.common import load, ready, written
+from distsort.llm.common import load, passing, ready, written
 
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -54,5 +54,6 @@ ORACLE_SQL = None
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = load(spark, sf_dir, "documents")
     for _, stage in STAGES[:-1]:
-        docs = written(stage(spark, docs, sf_dir), "stage")
+        with passing(spark) as keep:  # a stage's own tables go with it
+            docs = keep(written(stage(spark, docs, sf_dir), "stage"))
     return STAGES[-1][1](ready(spark), docs, sf_dir)
