@@ -17,6 +17,8 @@ BLANKS = "[\\x20\\x09-\\x0D]+"
 
 #: Rows that a side may have to be broadcast with a hint; beyond it Spark deals both sides out.
 BROADCAST_ROWS = 200_000
+#: Bytes on disk, compressed, that a written table may have for that.
+BROADCAST_BYTES = 32 << 20
 #: Rows that a task that writes a table takes at least, where the table's rows are bounded beforehand: small tables are few files.
 ROWS_A_FILE = 100_000
 
@@ -53,6 +55,8 @@ def written(df: DataFrame, label: str, most: int | None = None, rows_a_file: int
     dealt.observe(seen, F.count(F.lit(1)).alias("n")).write.option("compression", "zstd").parquet(path)
     out = spark.read.schema(df.schema).parquet(path)
     out._written_rows, out._written_path = seen.get["n"], path
+    fs, at = _folder(spark, path)
+    out._written_bytes = fs.getContentSummary(at).getLength()
     if _passing:
         _passing[-1].append(path)
     return out
@@ -82,9 +86,15 @@ def passing(spark: SparkSession) -> Iterator[Callable[[DataFrame], DataFrame]]:
             _delete(spark, path)
 
 
-def _delete(spark: SparkSession, path: str) -> None:
+def _folder(spark: SparkSession, path: str) -> tuple:
+    """Its file system and itself, as Hadoop names them."""
     at = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
-    at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
+    return at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()), at
+
+
+def _delete(spark: SparkSession, path: str) -> None:
+    fs, at = _folder(spark, path)
+    fs.delete(at, True)
 
 
 def rows_of(df: DataFrame) -> int:
@@ -98,11 +108,15 @@ def release(spark: SparkSession) -> None:
     _delete(spark, scratch(spark))
 
 
-def small(df: DataFrame, rows: int | None = None, most: int = BROADCAST_ROWS) -> DataFrame:
-    """df with a broadcast hint if it has at most `most` rows, else as it is; rows: its count, or that of what its lists hold, if known."""
-    n = getattr(df, "_written_rows", None) if rows is None else rows
+def small(df: DataFrame, rows: int | None = None, most: int = BROADCAST_ROWS, table: DataFrame | None = None) -> DataFrame:
+    """df with a broadcast hint if it has at most `most` rows, else as it is; rows: its count, or that of what its lists hold, if known.
+
+    table: the written table whose rows df has; its bytes, or df's own, count as well if neither `rows` nor `most` says otherwise."""
+    table = df if table is None else table
+    n = getattr(table, "_written_rows", None) if rows is None else rows
     n = df.limit(most + 1).count() if n is None else n
-    return F.broadcast(df) if n <= most else df
+    fits = most != BROADCAST_ROWS or getattr(table, "_written_bytes", 0) <= BROADCAST_BYTES
+    return F.broadcast(df) if n <= most and fits else df
 
 
 def unused(df: DataFrame, *wanted: str) -> list[str]:

@@ -82,7 +82,7 @@ def _held(docs: DataFrame, items: DataFrame, share: tuple[int, int], words: int)
     pairs = written(counted.where("m >= overlap").select("key", "item"), "item-pairs")
     keys = written(pairs.select(F.col("key").alias("k")).distinct(), "met-keys", rows_of(pairs))
     texts = docs.join(small(keys), F.col("key") == F.col("k"), "left_semi").select("key", tokens(F.col("text")).alias("toks"))
-    wanted = pairs.join(small(sets.select("item", "item_id", "length", "texts"), rows_of(sets)), "item")
+    wanted = pairs.join(small(sets.select("item", "item_id", "length", "texts"), table=sets), "item")
     both = texts.join(wanted, "key").withColumn("own", shingle_texts("toks", F.col("length")))
     size, shared = F.size("texts").cast("long"), F.size(F.array_intersect("own", "texts")).cast("long")
     found = both.select("key", "item_id", size.alias("n_item_shingles"), shared.alias("n_shared")).where(F.col("n_shared") * share[1] >= F.col("n_item_shingles") * share[0])
