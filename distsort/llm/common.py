@@ -19,8 +19,8 @@ BLANKS = "[\\x20\\x09-\\x0D]+"
 BROADCAST_ROWS = 200_000
 #: Bytes on disk, compressed, that a written table may have for that.
 BROADCAST_BYTES = 32 << 20
-#: Rows that a task that writes a table takes at least, where the table's rows are bounded beforehand: small tables are few files.
-ROWS_A_FILE = 100_000
+#: Where a table's rows are bounded beforehand, so many rows a file, and TASKS files more at most: small tables are few files.
+ROWS_A_FILE, TASKS = 100_000, 6
 
 
 def ready(spark: SparkSession) -> SparkSession:
@@ -51,7 +51,7 @@ def written(df: DataFrame, label: str, most: int | None = None, rows_a_file: int
     most: rows that df has at most, if that is known; rows that cost much may be fewer to a file."""
     spark, seen = ready(df.sparkSession), Observation()
     path = f"{scratch(spark)}/{label}-{uuid.uuid4().hex}"
-    dealt = df if most is None else df.coalesce(1 + most // rows_a_file)
+    dealt = df if most is None else df.coalesce(TASKS + most // rows_a_file)
     dealt.observe(seen, F.count(F.lit(1)).alias("n")).write.option("compression", "zstd").parquet(path)
     out = spark.read.schema(df.schema).parquet(path)
     out._written_rows, out._written_path = seen.get["n"], path

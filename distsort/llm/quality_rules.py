@@ -33,8 +33,8 @@ DIMS = 5
 H = 0.75
 #: Variances that are added, by statistic: log words, log mean word length, log symbols, log repeated lines, log repeated words.
 RIDGE = (0.05, 0.0225, 0.5, 1.0, 1.0)
-#: Concentration steps at most; they end where no determinant changes any more.
-STEPS, STILL = 20, 1e-9
+#: Concentration steps at most; they end where no determinant changes by more than a share of STILL.
+STEPS, STILL = 10, 1e-3
 LEAST = 50
 REWEIGH, REJECT = 0.975, 1 - 1e-6
 
