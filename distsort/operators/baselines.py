@@ -3,9 +3,11 @@
 from __future__ import annotations
 
 from collections.abc import Iterator
+from dataclasses import replace
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -13,7 +15,7 @@ from pyspark.sql.pandas.types import to_arrow_schema
 
 from ..functions import kernels
 from ..functions.classify import SplitterTree, literal_array
-from ..plans.keys import KeySpec
+from ..plans.keys import KeySpec, SortKey
 from ..plans.params import SortParams
 from ..plans.recursion import DistributionPlan, plan_partitions
 from ..plans.sampling import SplitterSet, dedupe_splitters, pick_splitters
@@ -21,6 +23,9 @@ from ..sources.io import fresh_path
 from .presorted import probe_order
 from .sort import _WITHIN, class_counts, distribute, partition_start, plan_sort, sort_global, splitters_of
 
+#: Rows of a task of an array kernel, about: each is some hundred bytes of Python objects, and all of a task's are there at once.
+KERNEL_ROWS = 1 << 17
+
 
 def _parts(df: DataFrame, p: SortParams) -> int:
     return p.partitions or int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
@@ -236,10 +241,38 @@ def _planned_start(plan: DistributionPlan):
     return F.get(literal_array(starts, T.LongType()), F.spark_partition_id())
 
 
+def _comparable(column: pa.ChunkedArray, key: SortKey) -> list[list]:
+    """Lists of plain values that Python orders as the key wants it: one of ranks of nulls and NaN if there are any, and one of values, turned round if descending."""
+    kind, ranks = column.type, None
+    if pa.types.is_temporal(kind):
+        column = column.cast(pa.int32() if kind.bit_width == 32 else pa.int64())
+    elif pa.types.is_boolean(kind):
+        column = column.cast(pa.int8())
+    elif not (pa.types.is_integer(kind) or pa.types.is_floating(kind)):
+        values = column.to_pylist()
+        if key.asc and not column.null_count:
+            return [values]
+        return [[key.plain(v) for v in values]]
+    null, nan = column.is_null(), pc.is_nan(column) if pa.types.is_floating(kind) else None
+    if column.null_count or nan is not None and pc.any(nan).as_py():
+        ranks = np.where(null.to_numpy(), 0 if key.first else 4, 2)
+        if nan is not None:
+            ranks[nan.fill_null(False).to_numpy()] = 3 if key.asc else 1
+            column = pc.if_else(nan, 0.0, column)
+        column = column.fill_null(0)
+    if not key.asc:
+        column = pc.negate(column) if pa.types.is_floating(column.type) else pc.bit_wise_not(column)
+    return [*([ranks.tolist()] if ranks is not None else []), column.to_pylist()]
+
+
 def kernel_sort(df: DataFrame, keys, kernel: str, p: SortParams = SortParams()) -> DataFrame:
-    """The distribution sort with an array kernel as each partition's local sort; keys in any direction, with nulls wherever they belong."""
-    spec = KeySpec.of(keys)
-    tree, equality, plan = plan_sort(df, spec, p)
+    """The distribution sort with an array kernel as each partition's local sort; keys in any direction, with nulls wherever they belong.
+
+    There are more partitions than p asks for where these would have over KERNEL_ROWS rows."""
+    spec, n = KeySpec.of(keys), df.count()
+    if (least := -(-n // KERNEL_ROWS)) > _parts(df, p):
+        p = replace(p, partitions=least)
+    tree, equality, plan = plan_sort(df, spec, p, n)
     schema = df.schema
 
     def local(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -247,11 +280,8 @@ def kernel_sort(df: DataFrame, keys, kernel: str, p: SortParams = SortParams())
         if not parts:
             return
         table = pa.Table.from_batches(parts)
-        columns = [table.column(n) for n in spec.names]
-        values = zip(*[c.to_pylist() for c in columns])
-        # values that Python orders by themselves stay as they are
-        simple = all(k.asc and not c.null_count and not pa.types.is_floating(c.type) for k, c in zip(spec.keys, columns))
-        rows = [(*v, i) for i, v in enumerate(values)] if simple else [(*spec.plain(v), i) for i, v in enumerate(values)]
+        values = [v for k in spec.keys for v in _comparable(table.column(k.name), k)]
+        rows = list(zip(*values, range(table.num_rows)))
         yield from table.take([r[-1] for r in kernels.KERNELS[kernel](rows)]).combine_chunks().to_batches()
 
     moved = distribute(df, tree, equality, plan, p).drop("_bucket", "_cls", "_pid").mapInArrow(local, schema)
@@ -261,7 +291,7 @@ def kernel_sort(df: DataFrame, keys, kernel: str, p: SortParams = SortParams())
 
 
 def sort_sequential(df: DataFrame, keys, kernel: str = "distribution") -> DataFrame:
-    """One task, the array kernel; for small data."""
+    """One task, the array kernel; rows that one task can't hold are dealt out by their first distribution steps."""
     return kernel_sort(df, keys, kernel, SortParams(partitions=1))
 
 

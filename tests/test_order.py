@@ -89,3 +89,30 @@ def test_frequent_by_of_asof(spark):
 def test_ranks_of_one_large_bucket(spark):
     df = spark.range(0, 20_000, 1, 4).select((F.col("id") * 7919 % 20_000).alias("x"))
     assert {(x.x, x["rank"]) for x in select_ranks(df, ["x"], [0, 9_999, 19_999], SortParams(partitions=2, k=2, most_levels=1)).collect()} == {(0, 0), (9_999, 9_999), (19_999, 19_999)}
+
+
+def test_kernel_rows_are_bounded(spark, monkeypatch):
+    """However few partitions are asked for, no task holds more rows than a kernel's Python objects have room for."""
+    monkeypatch.setattr(Z, "KERNEL_ROWS", 500)
+    df = spark.range(0, 6000, 1, 4).select((F.col("id") * 7919 % 6000).alias("x"))
+    for sort in (lambda: Z.kernel_sort(df, ["-x"], "stackless", P), lambda: Z.sort_sequential(df, ["-x"])):
+        got = sort().withColumn("p", F.spark_partition_id()).collect()
+        assert sorted((r.pos, r.x) for r in got) == [(i, 5999 - i) for i in range(6000)]
+        most = max(sum(r.p == q for r in got) for q in {r.p for r in got})
+        assert most <= 1000
+
+
+def test_kernel_keys_in_every_direction(spark):
+    """Nulls, NaN, both zeros, the least long, dates, times, booleans and strings, as Spark's own sort has them."""
+    import datetime as dt
+
+    r = random.Random(8)
+    pick = lambda *v: r.choice([None, *v])
+    rows = [(pick(float("nan"), 0.0, -0.0, 1.5, float("-inf")), pick(-(2**63), 2**63 - 1, 0), pick(dt.date(1969, 1, 1), dt.date(2020, 1, 1)), pick(dt.datetime(1969, 1, 1), dt.datetime(2020, 1, 1)), pick(True, False), pick("", "a", "ä"), i) for i in range(300)]
+    df = spark.createDataFrame(rows, "d double, l long, day date, t timestamp, b boolean, s string, i int").repartition(3)
+    for c in ("d", "l", "day", "t", "b", "s"):
+        for asc in (True, False):
+            for first in (True, False):
+                keys = [SortKey(c, asc, first), SortKey("i", asc)]
+                want = [x.i for x in df.coalesce(1).orderBy(*KeySpec.of(keys).order()).collect()]
+                assert [x.i for x in Z.kernel_sort(df, keys, "stackless", P).orderBy("pos").collect()] == want, (c, asc, first)
