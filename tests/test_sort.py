@@ -89,3 +89,29 @@ def test_blocks_of_the_worked_example(spark):
     assert sum(r.in_place for r in B.blocks_in_place(s, "key").collect()) == 2
     assert sum(r.moves for r in B.empty_compaction(s, "key").collect()) == 1
     assert math.isclose(min(r.min_room for r in B.flush_room(s, "key").collect()), 3)
+
+
+def test_deeper_splitters_walk_once(spark, monkeypatch):
+    """A filter on the class of a row is the whole walk again for each use of each level: the plan must not grow with a power of the depth."""
+    from distsort.operators import sort as S
+    from distsort.plans.keys import KeySpec
+
+    df = spark.range(0, 4000, 1, 4).select((F.col("id") % 7).alias("a"), (F.col("id") * 7919 % 4000).alias("b"), F.col("id").alias("c"))
+    spec, p, sizes = KeySpec.of(["a", "-b", "c"]), SortParams(partitions=8), []
+    for k in (4, 16):
+        found = S.splitters_of(df, spec, k, 4000, p)
+        tree = S.SplitterTree.build(df, spec, found)
+        counts = S.class_counts(df, tree, p, False)
+
+        def seen(few, spec, inner=S._in_order):
+            sizes.append(few._jdf.queryExecution().optimizedPlan().toString().count("coalesce("))
+            return inner(few, spec)
+
+        monkeypatch.setattr(S, "_in_order", seen)
+        large = [c for c, n in enumerate(counts) if n]
+        more = S.deeper_splitters(df, tree, False, large[:2], counts, 50, 4000, p)
+        monkeypatch.undo()
+        assert more and all(len(v) == 3 for v in more)
+        edge = found.values[1]  # the first two classes end at the second splitter
+        assert all(spec.plain(v) < spec.plain(edge) for v in more)
+    assert 0 < sizes[0] and sizes[1] <= 3 * sizes[0], sizes
