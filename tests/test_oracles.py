@@ -44,3 +44,12 @@ def test_rows_only_queries(spark, tiny):
 
 def test_entry(spark):
     assert entry.entry(spark).count() == 6000
+
+
+@pytest.mark.parametrize("name", ["q_cost_block_transfers", "q_cost_branch_proxy", "q_cost_comparisons", "q_cost_extra_space", "q_cost_io_volume", "q_level_plan", "q_speedup_model"])
+def test_models_are_of_the_given_table(spark, tiny, name):
+    """Costs are those of rows that tasks have read."""
+    out = entry.queries()[name](spark, tiny)
+    assert any("lineitem" in f for f in out.inputFiles())
+    n = spark.read.parquet(f"{tiny}/lineitem.parquet").count()
+    assert sum(r.n for r in out.select("l_returnflag", "l_linenumber", "n").distinct().collect()) == n
