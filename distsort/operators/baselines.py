@@ -164,11 +164,11 @@ def multiway_merge(df: DataFrame, keys, p: SortParams = SortParams()) -> DataFra
         if table is None:
             return
         at = table.column("_at").to_numpy()
-        rows = list(zip(map(spec.plain, zip(*[table.column(c).to_pylist() for c in spec.names])), range(len(at))))
+        rows = list(zip(*[v for k in spec.keys for v in _comparable(table.column(k.name), k)], range(len(at))))
         order = np.argsort(at, kind="stable")  # runs one after another, each in its order
         cuts = np.flatnonzero(np.diff(at[order] >> 33)) + 1
         pieces = [[rows[i] for i in piece] for piece in np.split(order, cuts)]
-        yield from table.take([i for _, i in kernels.merge_runs(pieces)]).drop_columns(["_at"]).combine_chunks().to_batches()
+        yield from table.take([r[-1] for r in kernels.merge_runs(pieces)]).drop_columns(["_at"]).combine_chunks().to_batches()
 
     arrow = to_arrow_schema(runs.schema)
     out = moved.mapInArrow(merged, df.schema)
