@@ -116,3 +116,13 @@ def test_kernel_keys_in_every_direction(spark):
                 keys = [SortKey(c, asc, first), SortKey("i", asc)]
                 want = [x.i for x in df.coalesce(1).orderBy(*KeySpec.of(keys).order()).collect()]
                 assert [x.i for x in Z.kernel_sort(df, keys, "stackless", P).orderBy("pos").collect()] == want, (c, asc, first)
+
+
+def test_agreement_sorts_its_own_order_once(spark, tiny, monkeypatch):
+    """All baselines are held against one written order, and none differs from it."""
+    from distsort.queries import baselines as Q
+
+    monkeypatch.setattr(Q, "FORMS", {n: Q.FORMS[n] for n in ("radix", "quicksort")})
+    out = Q.q_base_agree(spark, tiny)
+    assert any("/own-" in f for f in out.inputFiles())
+    assert sorted(map(tuple, out.collect())) == [("quicksort", 0), ("radix", 0)]
