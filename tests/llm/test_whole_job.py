@@ -108,3 +108,43 @@ def test_network_sees_every_run(spark):
     texts = [f"key {hex_}ZZxx99 end", "a" * 9 + "Bcdefghij x", "1234567890123456", "token=abcdefghijklmnopq1 x", f"é {hex_} x"]
     got = [x.spans for x in secret_scan.scan(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"), Everything()).orderBy("doc_id").collect()]
     assert got == ["hex:4:28,cnn:4:34", "cnn:0:18", "cnn:0:16", "assign:0:24", "hex:2:26"]
+
+
+def _shuffle_files(spark) -> int:
+    files = spark.sparkContext._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().getAllFiles()
+    return sum(files.apply(i).getName().startswith("shuffle_") for i in range(files.size()))
+
+
+def test_paragraphs_leave_no_shuffle_files(docs):
+    """What a step of paragraph deduplication has sent is deleted when it has ended, and so are its tables of texts and bands."""
+    import time
+
+    from distsort.llm import common
+
+    name = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+    spark = docs.sparkSession
+    before, setting, open_ = _shuffle_files(spark), spark.conf.get(name), []
+    common._passing.append(open_)
+    try:
+        paragraph_dedup.repeated_passages(docs)
+    finally:
+        common._passing.pop()
+    for _ in range(20):
+        if _shuffle_files(spark) <= before:
+            break
+        time.sleep(0.5)
+    assert _shuffle_files(spark) <= before
+    assert spark.conf.get(name) == setting
+    assert not [p for p in open_ if "/paragraphs-" in p or "/near-sketches-" in p]
+
+
+def test_near_duplicates_by_slices(docs):
+    """Bands that are dealt out slice by slice find the same components; large classes of copies, empty texts and rows without id included."""
+    from pyspark.sql import functions as F
+
+    more = docs.select("doc_id", "text").where("doc_id % 3 = 0")
+    copies = more.limit(1).crossJoin(docs.sparkSession.range(200)).select((F.col("id") + 10_000_000).alias("doc_id"), "text")
+    odd = docs.sparkSession.createDataFrame([(20_000_000, ""), (20_000_001, None), (None, "a b c d e f g"), (None, "a b c d e f g"), (20_000_002, "a b c d e f g")], "doc_id long, text string")
+    rows = more.unionByName(copies).unionByName(odd)
+    one, eight = (sorted(map(str, near_dup.near_duplicates(rows, size=5, slices=s).collect())) for s in (1, 8))
+    assert one == eight and len(one) > 205
