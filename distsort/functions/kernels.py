@@ -226,15 +226,28 @@ def tree_of(splitters: list) -> list:
 
 def classify(x, splitters: list, tree: list, cost: Cost, equality: bool = False) -> int:
     """Bucket (or class) by arithmetic on outcomes of comparisons."""
-    i = 1
-    while i < len(tree):
-        i = 2 * i + (not x < tree[i])
-        cost.comparisons += 1
-    b = min(i - len(tree), len(splitters))
-    if not equality:
-        return b
-    cost.comparisons += 1
-    return 2 * b - (b > 0 and not splitters[b - 1] < x)
+    return classifier(splitters, tree, cost, equality)(x)
+
+
+def classifier(splitters: list, tree: list, cost: Cost, equality: bool = False):
+    """`classify` as a function of the row alone: the levels are as many for each row, so they are counted once a row."""
+    leaves, most = len(tree), len(splitters)
+    levels = range(leaves.bit_length() - 1)  # leaves are a power of two
+    spent = len(levels) + equality
+
+    def bucket(x) -> int:
+        i = 1
+        for _ in levels:
+            i += i + (not x < tree[i])
+        cost.comparisons += spent
+        i -= leaves
+        return i if i < most else most
+
+    def with_equality(x) -> int:
+        b = bucket(x)
+        return 2 * b - (b > 0 and not splitters[b - 1] < x)
+
+    return with_equality if equality else bucket
 
 
 def sample_to_front(a: list, m: int, rng: Random) -> int:
@@ -270,12 +283,14 @@ def flush_stripes(a: list, place, k: int, b: int, t: int, cost: Cost) -> tuple[l
         count, to = [0] * k, cut[r] // b
         for scanned, x in enumerate(a[cut[r] : cut[r + 1]]):
             c = place(x)
-            if len(buffers[c]) == b:
+            buffer = buffers[c]
+            if len(buffer) == b:
                 room = min(room, scanned - (to * b - cut[r]))
-                slots[to], buffers[c] = buffers[c], []
+                slots[to] = buffer
+                buffer = buffers[c] = []
                 to += 1
                 cost.block_moves += 1
-            buffers[c].append(x)
+            buffer.append(x)
             count[c] += 1
         counts.append(count)
         for c in range(k):
@@ -361,7 +376,7 @@ def partition(a: list, splitters: list, b: int = 4, t: int = 1, equality: bool =
     cost = cost or Cost()
     tree = tree_of(splitters) if splitters else [None]
     k = 2 * len(splitters) + 1 if equality else len(splitters) + 1
-    place = lambda x: classify(x, splitters, tree, cost, equality)
+    place = classifier(splitters, tree, cost, equality)
     n = len(a)
     slots, left, by_stripe, room = flush_stripes(a, place, k, b, t, cost)
     assert room >= b or all(s is EMPTY for s in slots)
@@ -377,12 +392,9 @@ def partition(a: list, splitters: list, b: int = 4, t: int = 1, equality: bool =
     for i in range(k):
         s = delim[i]
         while (block := slots[s] if s < len(slots) else outside.get(s)) is not EMPTY and s < delim[i] + counts[i] // b + 1 and block and place(block[0]) == i:
-            for j, x in enumerate(block):
-                at = s * b + j
-                if at < starts[i + 1]:
-                    out[at] = x
-                else:
-                    spare[i].append(x)
+            fits = min(len(block), max(0, starts[i + 1] - s * b))
+            out[s * b : s * b + fits] = block[:fits]
+            spare[i] += block[fits:]
             s += 1
             if s > len(slots) and s not in outside:
                 break

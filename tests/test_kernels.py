@@ -74,3 +74,19 @@ def test_gallop_and_cycles():
     a = list("cabacb")
     starts = K.elementwise_permute(a, list(ids), 3)
     assert starts == [0, 2, 4, 6] and sorted(a[:2]) == ["a", "a"]
+
+
+def test_classifier_counts_and_places():
+    """The function of one row finds the bucket that a search of the splitters finds, and counts each level once a row."""
+    import bisect
+
+    from distsort.functions import kernels as K
+
+    for splitters in ([5], [2, 4, 6], [1, 3, 5, 7, 9]):
+        for equality in (False, True):
+            cost, tree = K.Cost(), K.tree_of(splitters)
+            place = K.classifier(splitters, tree, cost, equality)
+            for x in range(12):
+                b = bisect.bisect_right(splitters, x)
+                assert place(x) == (2 * b - (b > 0 and splitters[b - 1] == x) if equality else b)
+            assert cost.comparisons == 12 * (len(tree).bit_length() - 1 + equality)
