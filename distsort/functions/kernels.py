@@ -5,11 +5,18 @@ Production sorts run in Spark's own sorter; these show block by block and compar
 from __future__ import annotations
 
 import bisect
+import gc
 import heapq
 from dataclasses import dataclass, field
+from itertools import accumulate
+from operator import itemgetter
 from random import Random
 
+import numpy as np
+
 EMPTY = None
+#: Rows from which on a step over all of them is taken column by column; for fewer, calls of numpy cost more than they save.
+BULK_ROWS = 192
 
 
 @dataclass
@@ -32,18 +39,19 @@ class Cost:
 
 
 def insertion_sort(a: list, lo: int = 0, hi: int | None = None, cost: Cost | None = None) -> list:
-    cost = cost or Cost()
+    moved = ended = 0  # each move follows a comparison, and one more ends a row's moves unless it has come to the front
     for i in range(lo + 1, len(a) if hi is None else hi):
         x, j = a[i], i
-        while j > lo:
-            cost.comparisons += 1
-            cost.branches += 1
-            if not x < a[j - 1]:
-                break
+        while j > lo and x < a[j - 1]:
             a[j] = a[j - 1]
-            cost.row_moves += 1
             j -= 1
         a[j] = x
+        moved += i - j
+        ended += j > lo
+    if cost:
+        cost.comparisons += moved + ended
+        cost.branches += moved + ended
+        cost.row_moves += moved
     return a
 
 
@@ -211,16 +219,10 @@ def merge_runs(runs: list[list], cost: Cost | None = None) -> list:
 def tree_of(splitters: list) -> list:
     leaves = 1 << len(splitters).bit_length() if (len(splitters) + 1) & len(splitters) else len(splitters) + 1
     full = list(splitters) + [splitters[-1]] * (leaves - 1 - len(splitters))
-    tree: list = [None] * leaves
-
-    def fill(node, lo, hi):
-        if node < leaves:
-            mid = (lo + hi) // 2
-            tree[node] = full[mid]
-            fill(2 * node, lo, mid)
-            fill(2 * node + 1, mid + 1, hi)
-
-    fill(1, 0, leaves - 1)
+    tree, step = [None], leaves
+    while step > 1:  # a level is every so many of them
+        tree += full[step // 2 - 1 :: step]
+        step //= 2
     return tree
 
 
@@ -250,6 +252,51 @@ def classifier(splitters: list, tree: list, cost: Cost, equality: bool = False):
     return with_equality if equality else bucket
 
 
+def places_of(rows: list, splitters: list, tree: list, equality: bool = False) -> list[int]:
+    """What `classifier` says of each row, level by level for all rows."""
+    leaves, most = len(tree), len(splitters)
+    if most == 1:
+        s = splitters[0]
+        out = [not x < s for x in rows]
+    else:
+        out = [1] * len(rows)
+        for _ in range(leaves.bit_length() - 1):
+            out = [i + i + (not x < tree[i]) for i, x in zip(out, rows)]
+        out = [i - leaves if i - leaves < most else most for i in out]
+    return [2 * c - (c > 0 and not splitters[c - 1] < x) for c, x in zip(out, rows)] if equality else out
+
+
+class Bulk:
+    """`places_of` over columns of numbers, for rows that are tuples of the columns' values and of the row's number, the last to be compared."""
+
+    def __init__(self, columns: list[np.ndarray]):
+        self.columns = [*columns, np.arange(len(columns[0]))]
+
+    def less(self, at: np.ndarray, than: list[np.ndarray], which: np.ndarray) -> np.ndarray:
+        """Whether rows come before those of a few others that they are held against: column by column, each for the rows that are equal up to there."""
+        x, y = self.columns[0][at], than[0][which]
+        out, tied = x < y, np.flatnonzero(x == y)
+        for column, other in zip(self.columns[1:], than[1:]):
+            if not len(tied):
+                break
+            x, y = column[at[tied]], other[which[tied]]
+            out[tied] = x < y
+            tied = tied[x == y]
+        return out
+
+    def places_of(self, rows: list, splitters: list, tree: list, equality: bool = False) -> np.ndarray:
+        at = np.fromiter(map(itemgetter(-1), rows), np.int64, len(rows))
+        nodes = np.array([0, *(x[-1] for x in tree[1:])])
+        values, leaves, i = [c[nodes] for c in self.columns], len(tree), np.ones(len(at), np.int64)
+        for _ in range(leaves.bit_length() - 1):
+            i += i + ~self.less(at, values, i)
+        out = np.minimum(i - leaves, len(splitters))
+        if equality and splitters:
+            own = np.array([x[-1] for x in splitters])  # no two rows are equal, so a splitter's class is its row
+            out = 2 * out - ((out > 0) & (at == own[np.maximum(out - 1, 0)]))
+        return out.astype(np.uint16) if len(splitters) < 1 << 15 else out  # short numbers are put in order without comparisons
+
+
 def sample_to_front(a: list, m: int, rng: Random) -> int:
     """Swap m random rows to the front, so that a sample needs no space of its own."""
     m = min(m, len(a))
@@ -273,50 +320,74 @@ def stripes_of(n: int, b: int, t: int) -> list[int]:
 
 def flush_stripes(a: list, place, k: int, b: int, t: int, cost: Cost) -> tuple[list, list[list], list[list[int]], int]:
     """Local classification: the array as slots of blocks (None: empty), leftovers by bucket, counts by stripe, and the least room at a flush."""
-    n = len(a)
+    order, slots, left, counts, room = flush_places([place(x) for x in a], k, b, t, cost)
+    rows = [a[i] for i in order]
+    return [s and rows[s[1] : s[1] + b] for s in slots], [[x for at, m in parts for x in rows[at : at + m]] for parts in left], counts, room
+
+
+def flush_places(places: list[int] | np.ndarray, k: int, b: int, t: int, cost: Cost) -> tuple[list[int] | np.ndarray, list, list[list[tuple[int, int]]], list[list[int]], int]:
+    """The same for rows whose buckets are known: their places by stripe and bucket, blocks as bucket and beginning in that order, and leftovers as beginnings in it and rows.
+
+    A bucket's buffer is written when one more of its rows comes and finds it full, so a stripe's blocks lie in the order of these rows."""
+    n, bulk = len(places), isinstance(places, np.ndarray)
     slots: list = [EMPTY] * (-(-n // b))
-    left: list[list] = [[] for _ in range(k)]
-    counts, room = [], n
-    cut = stripes_of(n, b, t)
-    for r in range(t):
-        buffers: list[list] = [[] for _ in range(k)]
-        count, to = [0] * k, cut[r] // b
-        for scanned, x in enumerate(a[cut[r] : cut[r + 1]]):
-            c = place(x)
-            buffer = buffers[c]
-            if len(buffer) == b:
-                room = min(room, scanned - (to * b - cut[r]))
-                slots[to] = buffer
-                buffer = buffers[c] = []
-                to += 1
-                cost.block_moves += 1
-            buffer.append(x)
-            count[c] += 1
+    left: list[list[tuple[int, int]]] = [[] for _ in range(k)]
+    orders, counts, room = [], [], n
+    stripes = stripes_of(n, b, t)
+    for start, end in zip(stripes, stripes[1:]):
+        if bulk:
+            own = places[start:end]
+            order, count = np.argsort(own, kind="stable") + start, np.bincount(own, minlength=k).tolist()
+        else:
+            rows: list[list[int]] = [[] for _ in range(k)]
+            for i, c in enumerate(places[start:end], start):
+                rows[c].append(i)
+            order, count = [i for x in rows for i in x], [len(x) for x in rows]
+        at, first, bucket = start, [], []
+        for c, m in enumerate(count):
+            if m:
+                full = (m - 1) // b
+                first += range(at, at + full * b, b)
+                bucket += [c] * full
+                left[c].append((at + full * b, m - full * b))
+                at += m
+        if first:
+            if bulk:
+                blocks = np.array(first)
+                found = order[blocks + (b - start)]
+                by = np.argsort(found)
+                slots[start // b : start // b + len(first)] = zip(np.array(bucket)[by].tolist(), blocks[by].tolist())
+                room = min(room, int((found[by] - np.arange(start, start + len(first) * b, b)).min()))
+            else:
+                for to, (found, c, i) in enumerate(sorted((order[i + b - start], c, i) for c, i in zip(bucket, first)), start // b):
+                    slots[to] = (c, i)
+                    room = min(room, found - to * b)
+            cost.block_moves += len(first)
         counts.append(count)
-        for c in range(k):
-            left[c] += buffers[c]
+        orders.append(order)
     cost.read += n
     cost.written += n
     cost.extra_rows = max(cost.extra_rows, k * b * t)
-    return slots, left, counts, room
+    return orders[0] if t == 1 else np.concatenate(orders) if bulk else [i for x in orders for i in x], slots, left, counts, room
 
 
-def permute_blocks(slots: list, delim: list[int], first_bucket, cost: Cost, workers: int = 1, skip: bool = True, trace: bool = False) -> dict[int, list]:
+def permute_blocks(slots: list, delim: list[int], cost: Cost, workers: int = 1, skip: bool = True, trace: bool = False, spent: int = 0) -> dict[int, tuple]:
     """Blocks to their buckets' slots by read and write pointers, t workers in turn; overflow blocks come back by slot.
 
-    First each bucket's blocks are brought in front of its empty slots.  After each step all blocks left of a write
-    pointer are their bucket's, and those from there to the read pointer are unprocessed."""
+    A block names its bucket, and asking for it costs `spent` comparisons, those of classifying a row.  First each bucket's blocks are
+    brought in front of its empty slots.  After each step all blocks left of a write pointer are their bucket's, and those from there
+    to the read pointer are unprocessed."""
     k = len(delim) - 1
-    outside: dict[int, list] = {}
-    read, write = [0] * k, list(delim[:k])
+    outside: dict[int, tuple] = {}
+    read, write, asked = [0] * k, list(delim[:k]), 0
     for i in range(k):
-        area = range(delim[i], min(delim[i + 1], len(slots)))
-        held = [slots[s] for s in area if slots[s] is not EMPTY]
-        for j, s in enumerate(area):
-            new = held[j] if j < len(held) else EMPTY
-            if slots[s] is not new:
-                cost.block_moves += new is not EMPTY
-                slots[s] = new
+        if not (area := slots[delim[i] : delim[i + 1]]):
+            read[i] = delim[i] - 1
+            continue
+        held = [x for x in area if x is not EMPTY]
+        if held and len(held) < len(area):
+            cost.block_moves += len(held) - area.index(EMPTY)
+            slots[delim[i] : delim[i] + len(area)] = held + [EMPTY] * (len(area) - len(held))
         read[i] = delim[i] + len(held) - 1
     put = lambda s, block: slots.__setitem__(s, block) if s < len(slots) else outside.__setitem__(s, block)
     crossed = [False] * k
@@ -325,7 +396,7 @@ def permute_blocks(slots: list, delim: list[int], first_bucket, cost: Cost, work
         for i in range(k):
             for s in range(delim[i], write[i]):
                 block = slots[s] if s < len(slots) else outside[s]
-                assert block is not EMPTY and first_bucket(block[0]) == i
+                assert block is not EMPTY and block[0] == i
             for s in range(write[i], read[i] + 1):
                 assert slots[s] is not EMPTY
             for s in range(max(write[i], read[i] + 1), min(delim[i + 1], len(slots))):
@@ -333,83 +404,123 @@ def permute_blocks(slots: list, delim: list[int], first_bucket, cost: Cost, work
 
     primary = [r * k // workers for r in range(workers)]
     cycle, buffers = [0] * workers, [EMPTY] * workers
-    active = set(range(workers))
+    active = list(range(workers))
     while active:
-        for r in sorted(active):
-            if buffers[r] is EMPTY:
+        for r in active:
+            block = buffers[r]
+            if block is EMPTY:
                 while cycle[r] <= k:
                     p = primary[r]
-                    while read[p] >= write[p] and skip and first_bucket(slots[write[p]][0]) == p:
-                        write[p] += 1
-                        cost.skipped += 1
-                    if read[p] >= write[p]:
-                        buffers[r], slots[read[p]] = slots[read[p]], EMPTY
-                        read[p] -= 1
+                    at, last = write[p], read[p]
+                    if skip:
+                        while at <= last:
+                            asked += 1
+                            if slots[at][0] != p:
+                                break
+                            at += 1
+                        cost.skipped += at - write[p]
+                        write[p] = at
+                    if at <= last:
+                        block, slots[last] = slots[last], EMPTY
+                        read[p] = last - 1
                         break
                     primary[r], cycle[r] = (p + 1) % k, cycle[r] + 1
-                if buffers[r] is EMPTY:
-                    active.discard(r)
+                if block is EMPTY:
                     continue
-            d = first_bucket(buffers[r][0])
+            asked += 1
+            d = block[0]
+            s, last = write[d], read[d]
             if skip:
-                while write[d] <= read[d] and first_bucket(slots[write[d]][0]) == d:
-                    write[d] += 1
-                    cost.skipped += 1
-            s = write[d]
-            write[d] += 1
-            if s <= read[d]:  # an unprocessed block is there: swap
-                slots[s], buffers[r] = buffers[r], slots[s]
+                while s <= last:
+                    asked += 1
+                    if slots[s][0] != d:
+                        break
+                    s += 1
+                cost.skipped += s - write[d]
+            write[d] = s + 1
+            if s <= last:  # an unprocessed block is there: swap
+                slots[s], buffers[r] = block, slots[s]
             else:  # an empty slot is there
                 if not crossed[d]:
                     crossed[d] = True
                     cost.waits += 1
-                put(s, buffers[r])
+                put(s, block)
                 buffers[r] = EMPTY
             cost.block_moves += 1
             if trace:
                 invariant()
+        active = [r for r in active if cycle[r] <= k or buffers[r] is not EMPTY]
+    cost.comparisons += asked * spent
     return outside
 
 
-def partition(a: list, splitters: list, b: int = 4, t: int = 1, equality: bool = False, cost: Cost | None = None, skip: bool = True, trace: bool = False) -> Partitioned:
-    """Partition a in place by splitters in the four steps, and return the buckets' starts."""
+def partition(a: list, splitters: list, b: int = 4, t: int = 1, equality: bool = False, cost: Cost | None = None, skip: bool = True, trace: bool = False, bulk: Bulk | None = None) -> Partitioned:
+    """Partition a in place by splitters in the four steps, and return the buckets' starts.  With bulk, many rows are classified by their columns."""
     cost = cost or Cost()
     tree = tree_of(splitters) if splitters else [None]
     k = 2 * len(splitters) + 1 if equality else len(splitters) + 1
-    place = classifier(splitters, tree, cost, equality)
     n = len(a)
-    slots, left, by_stripe, room = flush_stripes(a, place, k, b, t, cost)
+    spent = len(tree).bit_length() - 1 + equality  # comparisons of a row's classification, whoever asks for it
+    cost.comparisons += n * spent
+    places = bulk.places_of(a, splitters, tree, equality) if bulk and n >= BULK_ROWS else places_of(a, splitters, tree, equality)
+    order, slots, left, by_stripe, room = flush_places(places, k, b, t, cost)
     assert room >= b or all(s is EMPTY for s in slots)
-    counts = [sum(c[i] for c in by_stripe) for i in range(k)]
-    starts = [0]
-    for c in counts:
-        starts.append(starts[-1] + c)
+    counts = [sum(c) for c in zip(*by_stripe)] if t > 1 else by_stripe[0]
+    starts = [0, *accumulate(counts)]
     delim = [-(-s // b) for s in starts]
-    outside = permute_blocks(slots, delim, place, cost, t, skip, trace)
+    outside = permute_blocks(slots, delim, cost, t, skip, trace, spent) if any(slots) else {}
     # cleanup: blocks stay where they are, except what hangs over a bucket's end; gaps take leftovers
-    out: list = [EMPTY] * n
-    spare: list[list] = left
-    for i in range(k):
-        s = delim[i]
-        while (block := slots[s] if s < len(slots) else outside.get(s)) is not EMPTY and s < delim[i] + counts[i] // b + 1 and block and place(block[0]) == i:
-            fits = min(len(block), max(0, starts[i + 1] - s * b))
-            out[s * b : s * b + fits] = block[:fits]
-            spare[i] += block[fits:]
-            s += 1
-            if s > len(slots) and s not in outside:
-                break
-    for i in range(k):
-        free = (j for j in range(starts[i], starts[i + 1]) if out[j] is EMPTY)
-        for j, x in zip(free, spare[i]):
-            out[j] = x
-            cost.row_moves += 1
+    begins: list[int] = []  # of pieces of the order, as they follow one another in the end
+    sizes: list[int] = []
+    asked = 0
+    for i, before in enumerate(counts):
+        spare, s, more = left[i], delim[i], 0
+        if before <= b:  # no block, only what was left over
+            for x, m in spare:
+                begins.append(x)
+                sizes.append(m)
+            cost.row_moves += before
+        else:
+            more = (before - sum(m for _, m in spare)) // b
+            held = [x for _, x in slots[s : s + more]]
+            held += [outside[x][1] for x in range(max(s, len(slots)), s + more)]
+            whole = [b] * more
+            if more:
+                before = s * b - starts[i]
+                if (over := (s + more) * b - starts[i + 1]) > 0:
+                    whole[-1] = b - over
+                    spare = [*spare, (held[-1] + b - over, over)]
+            behind = []
+            for x, m in spare:
+                cost.row_moves += m
+                if before:
+                    begins.append(x)
+                    sizes.append(front := min(m, before))
+                    before, x, m = before - front, x + front, m - front
+                if m:
+                    behind.append((x, m))
+            begins += held
+            sizes += whole
+            for x, m in behind:
+                begins.append(x)
+                sizes.append(m)
+        # each of its blocks is asked for its bucket, and so is the one behind them
+        s += more
+        asked += more + (slots[s] is not EMPTY if s < len(slots) else s in outside)
+    cost.comparisons += asked * spent
     cost.read += n
     cost.written += n
-    a[:] = out
+    if isinstance(order, np.ndarray):
+        size = np.array(sizes)
+        ends = np.cumsum(size)
+        out = order[np.repeat(np.array(begins) - ends + size, size) + np.arange(n)]
+        a[:] = np.fromiter(a, object, n)[out].tolist()
+    else:
+        a[:] = [a[i] for x, m in zip(begins, sizes) for i in order[x : x + m]]
     return Partitioned(starts, counts, cost)
 
 
-def distribution_sort(a: list, k: int = 16, b: int = 4, t: int = 1, n0: int = 16, seed: int = 1, cost: Cost | None = None) -> list:
+def distribution_sort(a: list, k: int = 16, b: int = 4, t: int = 1, n0: int = 16, seed: int = 1, cost: Cost | None = None, bulk: Bulk | None = None) -> list:
     """Recursive form on an array: partition, then each bucket; equality classes are done."""
     cost = cost or Cost()
     rng = Random(seed)
@@ -426,10 +537,10 @@ def distribution_sort(a: list, k: int = 16, b: int = 4, t: int = 1, n0: int = 16
         picked = [sample[min(m - 1, i * (m + 1) // fan - 1)] for i in range(1, fan)]
         distinct = sorted(set(picked))
         equality = len(distinct) < len(picked)
-        got = partition(part, distinct, b, t, equality, cost)
+        got = partition(part, distinct, b, t, equality, cost, bulk=bulk)
         if not equality and max(got.counts) == hi - lo:  # no progress: splitters are rows, so their own classes make some
             equality = True
-            got = partition(part, distinct, b, t, equality, cost)
+            got = partition(part, distinct, b, t, equality, cost, bulk=bulk)
         a[lo:hi] = part
         for c, (s, e) in enumerate(zip(got.starts, got.starts[1:])):
             if equality and c % 2:
@@ -471,7 +582,7 @@ def _next_larger_marked(a: list, x, lo: int) -> int:
     return lo
 
 
-def stackless_sort(a: list, k: int = 8, b: int = 4, n0: int = 8, cost: Cost | None = None) -> list:
+def stackless_sort(a: list, k: int = 8, b: int = 4, n0: int = 8, cost: Cost | None = None, bulk: Bulk | None = None) -> list:
     """No stack: each bucket's largest row stands first and marks it; the state is the span of the bucket at hand."""
     cost = cost or Cost()
     rng = Random(2)
@@ -483,11 +594,13 @@ def stackless_sort(a: list, k: int = 8, b: int = 4, n0: int = 8, cost: Cost | No
         else:
             part = a[lo:hi]
             sample = sorted(rng.sample(part, min(len(part), 2 * k)))
-            cuts = sorted(set(sample[1::2]) - {min(part)}) or [max(part)]
-            got = partition(part, cuts, b, 1, False, cost)
+            cuts = sorted(set(sample[1::2]))
+            if not any(x < cuts[0] for x in part):  # the least row cuts nothing off
+                cuts = cuts[1:] or [max(part)]
+            got = partition(part, cuts, b, 1, False, cost, bulk=bulk)
             for s, e in zip(got.starts, got.starts[1:]):
                 if e - s > 1:
-                    m = max(range(s, e), key=part.__getitem__)
+                    m = part.index(max(part[s:e]), s, e)
                     part[s], part[m] = part[m], part[s]
             a[lo:hi] = part
         if lo < n:
@@ -520,3 +633,16 @@ def elementwise_permute(a: list, ids: list[int], k: int, cost: Cost | None = Non
 
 
 KERNELS = {"insertion": insertion_sort, "quicksort": quicksort, "introsort": introsort, "buffered": buffered_quicksort, "dual_pivot": dual_pivot, "distribution": distribution_sort, "stackless": stackless_sort}
+
+
+def order_of(columns: list, kernel: str) -> list[int]:
+    """Places of the rows of some columns in the order that a kernel brings them to, equal rows by their places."""
+    rows = list(zip(*(c.tolist() if isinstance(c, np.ndarray) else c for c in columns), range(len(columns[0]))))
+    more = {"bulk": Bulk(columns)} if kernel in ("distribution", "stackless") and all(isinstance(c, np.ndarray) for c in columns) else {}
+    collects = gc.isenabled()
+    gc.disable()  # rows are plain values without cycles, and each search for these would walk through all rows
+    try:
+        return [r[-1] for r in KERNELS[kernel](rows, **more)]
+    finally:
+        if collects:
+            gc.enable()

@@ -164,7 +164,8 @@ def multiway_merge(df: DataFrame, keys, p: SortParams = SortParams()) -> DataFra
         if table is None:
             return
         at = table.column("_at").to_numpy()
-        rows = list(zip(*[v for k in spec.keys for v in _comparable(table.column(k.name), k)], range(len(at))))
+        values = [v for k in spec.keys for v in _comparable(table.column(k.name), k)]
+        rows = list(zip(*[v.tolist() if isinstance(v, np.ndarray) else v for v in values], range(len(at))))
         order = np.argsort(at, kind="stable")  # runs one after another, each in its order
         cuts = np.flatnonzero(np.diff(at[order] >> 33)) + 1
         pieces = [[rows[i] for i in piece] for piece in np.split(order, cuts)]
@@ -241,8 +242,8 @@ def _planned_start(plan: DistributionPlan):
     return F.get(literal_array(starts, T.LongType()), F.spark_partition_id())
 
 
-def _comparable(column: pa.ChunkedArray, key: SortKey) -> list[list]:
-    """Lists of plain values that Python orders as the key wants it: one of ranks of nulls and NaN if there are any, and one of values, turned round if descending."""
+def _comparable(column: pa.ChunkedArray, key: SortKey) -> list:
+    """Lists of plain values, or arrays of numbers, that Python orders as the key wants it: one of ranks of nulls and NaN if there are any, and one of values, turned round if descending."""
     kind, ranks = column.type, None
     if pa.types.is_temporal(kind):
         column = column.cast(pa.int32() if kind.bit_width == 32 else pa.int64())
@@ -262,7 +263,7 @@ def _comparable(column: pa.ChunkedArray, key: SortKey) -> list[list]:
         column = column.fill_null(0)
     if not key.asc:
         column = pc.negate(column) if pa.types.is_floating(column.type) else pc.bit_wise_not(column)
-    return [*([ranks.tolist()] if ranks is not None else []), column.to_pylist()]
+    return [*([ranks] if ranks is not None else []), column.to_numpy()]
 
 
 def kernel_sort(df: DataFrame, keys, kernel: str, p: SortParams = SortParams()) -> DataFrame:
@@ -281,8 +282,7 @@ def kernel_sort(df: DataFrame, keys, kernel: str, p: SortParams = SortParams())
             return
         table = pa.Table.from_batches(parts)
         values = [v for k in spec.keys for v in _comparable(table.column(k.name), k)]
-        rows = list(zip(*values, range(table.num_rows)))
-        yield from table.take([r[-1] for r in kernels.KERNELS[kernel](rows)]).combine_chunks().to_batches()
+        yield from table.take(kernels.order_of(values, kernel)).combine_chunks().to_batches()
 
     moved = distribute(df, tree, equality, plan, p).drop("_bucket", "_cls", "_pid").mapInArrow(local, schema)
     if any(s > 1 for s in plan.spread):
