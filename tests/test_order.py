@@ -126,3 +126,29 @@ def test_agreement_sorts_its_own_order_once(spark, tiny, monkeypatch):
     out = Q.q_base_agree(spark, tiny)
     assert any("/own-" in f for f in out.inputFiles())
     assert sorted(map(tuple, out.collect())) == [("quicksort", 0), ("radix", 0)]
+
+
+def test_columns_of_kernels_in_every_direction():
+    """Keys that kernels take as columns, with enough rows that segments are classified together: as Python sorts the rows' plain values."""
+    import datetime as dt
+
+    import numpy as np
+    import pyarrow as pa
+
+    r = random.Random(9)
+    pick = lambda *v: [r.choice([None, *v]) for _ in range(1500)]
+    columns = {
+        "d": pa.array(pick(float("nan"), 0.0, -0.0, 1.5, float("-inf")), pa.float64()),
+        "l": pa.array(pick(-(2**63), 2**63 - 1, 0), pa.int64()),
+        "day": pa.array(pick(dt.date(1969, 1, 1), dt.date(2020, 1, 1)), pa.date32()),
+        "b": pa.array(pick(True, False), pa.bool_()),
+    }
+    for names in (["d", "l"], ["l", "day"], ["b", "d"], ["day", "b"]):
+        for asc in (True, False):
+            for first in (True, False):
+                keys = [SortKey(n, asc, first) for n in names]
+                values = [v for k in keys for v in Z._comparable(pa.chunked_array([columns[k.name]]), k)]
+                assert all(isinstance(v, np.ndarray) for v in values)
+                plain = [tuple(k.plain(v) for k, v in zip(keys, row)) for row in zip(*(columns[n].to_pylist() for n in names))]
+                want = sorted(range(1500), key=lambda i: (plain[i], i))  # noqa: B023
+                assert K.order_of(values, "stackless") == K.order_of(values, "distribution") == want, (names, asc, first)
