@@ -266,11 +266,34 @@ def places_of(rows: list, splitters: list, tree: list, equality: bool = False) -
     return [2 * c - (c > 0 and not splitters[c - 1] < x) for c, x in zip(out, rows)] if equality else out
 
 
+def packed(columns: list[np.ndarray]) -> list[np.ndarray]:
+    """Columns of numbers as few columns of 64 bits that put rows in the same order: of each value its distance from the column's least, in no more bits than the largest takes.
+
+    What a column has no room for goes on in the next."""
+    out, used = [], 64
+    for c in columns:
+        if c.dtype.kind == "f":
+            c = (c.astype(np.float64) + 0.0).view(np.int64)  # both zeros are one value
+            c = c ^ (c >> 63 & (1 << 63) - 1)  # negative numbers the other way round
+        c = c.astype(np.int64)
+        least = int(c.min()) if len(c) else 0
+        bits = (int(c.max()) - least).bit_length() if len(c) else 0
+        far, room = c.view(np.uint64) - np.uint64(least % (1 << 64)), 64 - used
+        if 0 < bits <= room:
+            out[-1], used = out[-1] << bits | far, used + bits
+        elif bits:
+            if room:
+                out[-1] = out[-1] << room | far >> (bits - room)
+            out.append(far & (1 << bits - room) - 1)
+            used = bits - room
+    return out
+
+
 class Bulk:
-    """`places_of` over columns of numbers, for rows that are tuples of the columns' values and of the row's number, the last to be compared."""
+    """Steps over many rows at once, for rows that are tuples of numbers and of the row's number, the last to be compared; columns have the numbers, by the row's number."""
 
     def __init__(self, columns: list[np.ndarray]):
-        self.columns = [*columns, np.arange(len(columns[0]))]
+        self.columns = [*packed(columns), np.arange(len(columns[0]))]
 
     def less(self, at: np.ndarray, than: list[np.ndarray], which: np.ndarray) -> np.ndarray:
         """Whether rows come before those of a few others that they are held against: column by column, each for the rows that are equal up to there."""
@@ -297,6 +320,40 @@ class Bulk:
         return out.astype(np.uint16) if len(splitters) < 1 << 15 else out  # short numbers are put in order without comparisons
 
 
+    def largest(self, at: np.ndarray, starts: np.ndarray) -> np.ndarray:
+        """Places of the largest row of each span of rows; no span is empty."""
+        places, first = np.arange(len(at)), starts
+        for column in self.columns:
+            if len(places) == len(starts):
+                break
+            x = column[at[places]]
+            held = x == np.repeat(np.maximum.reduceat(x, first), np.diff(first, append=len(x)))
+            first = (np.cumsum(held) - held)[first]
+            places = places[held]
+        return places
+
+    def marks(self, at: np.ndarray) -> np.ndarray:
+        """Places of the rows that are larger than all rows before them."""
+        places, group = np.arange(len(at)), np.zeros(len(at), np.int64)
+        for depth, column in enumerate(self.columns):
+            x = column[at[places]]
+            if depth:  # the largest so far of each group of rows that are equal up to here, twice as far back at each step
+                top, step, longest = x.copy(), 1, int(np.bincount(group).max(initial=0))
+                while step < longest:
+                    top[step:] = np.where(group[step:] == group[:-step], np.maximum(top[step:], top[:-step]), top[step:])
+                    step *= 2
+            else:
+                top = np.maximum.accumulate(x)
+            held = x == top
+            places, x, group = places[held], x[held], group[held]
+            new = np.ones(len(x), bool)
+            new[1:] = (x[1:] != x[:-1]) | (group[1:] != group[:-1])
+            if new.all():
+                break
+            group = np.cumsum(new) - 1
+        return places
+
+
 def sample_to_front(a: list, m: int, rng: Random) -> int:
     """Swap m random rows to the front, so that a sample needs no space of its own."""
     m = min(m, len(a))
@@ -582,22 +639,35 @@ def _next_larger_marked(a: list, x, lo: int) -> int:
     return lo
 
 
+_MASK = (1 << 64) - 1
+
+
+def drawn_place(lo, size, m, j):
+    """The place in a span of the j-th of m sample rows, one from each m-th part of it; spans draw without regard to what was drawn before.  Takes arrays of unsigned numbers as well."""
+    x = (lo * 0x9E3779B97F4A7C15 + size * 0xC2B2AE3D27D4EB4F + j * 0x165667B19E3779F9) & _MASK
+    x = ((x ^ x >> 29) * 0xBF58476D1CE4E5B9 & _MASK) >> 32
+    return (j * size + x % size) // m
+
+
 def stackless_sort(a: list, k: int = 8, b: int = 4, n0: int = 8, cost: Cost | None = None, bulk: Bulk | None = None) -> list:
     """No stack: each bucket's largest row stands first and marks it; the state is the span of the bucket at hand."""
     cost = cost or Cost()
-    rng = Random(2)
+    if bulk:
+        at, rows = np.fromiter(map(itemgetter(-1), a), np.int64, len(a)), {x[-1]: x for x in a}
+        a[:] = [rows[i] for i in stackless_passes(bulk, at, k, b, n0, cost).tolist()]
+        return a
     lo, hi, n = 0, len(a), len(a)
     while lo < n:
         if hi - lo <= n0 or all(not a[lo] < x and not x < a[lo] for x in a[lo:hi]):
             insertion_sort(a, lo, hi, cost)
             lo = hi
         else:
-            part = a[lo:hi]
-            sample = sorted(rng.sample(part, min(len(part), 2 * k)))
+            part, m = a[lo:hi], min(hi - lo, 2 * k)
+            sample = sorted([part[drawn_place(lo, hi - lo, m, j)] for j in range(m)])
             cuts = sorted(set(sample[1::2]))
             if not any(x < cuts[0] for x in part):  # the least row cuts nothing off
                 cuts = cuts[1:] or [max(part)]
-            got = partition(part, cuts, b, 1, False, cost, bulk=bulk)
+            got = partition(part, cuts, b, 1, False, cost)
             for s, e in zip(got.starts, got.starts[1:]):
                 if e - s > 1:
                     m = part.index(max(part[s:e]), s, e)
@@ -608,6 +678,182 @@ def stackless_sort(a: list, k: int = 8, b: int = 4, n0: int = 8, cost: Cost | No
     return a
 
 
+def stackless_passes(bulk: Bulk, at: np.ndarray, k: int = 8, b: int = 4, n0: int = 8, cost: Cost | None = None) -> np.ndarray:
+    """The same by columns: a pass takes one step in each bucket there is, and knows these from nothing but their marks, rows that are larger than all before them."""
+    cost = cost or Cost()
+    starts = np.zeros(min(1, len(at)), np.int64)
+    while len(starts):
+        sizes = np.diff(starts, append=len(at))
+        small, large = (sizes > 1) & (sizes <= n0), sizes > n0
+        insert_spans(bulk, at, starts[small], sizes[small], cost)
+        if not large.any():
+            break
+        partition_spans(bulk, at, starts[large], sizes[large], k, b, cost)
+        starts = bulk.marks(at)
+    return at
+
+
+def insert_spans(bulk: Bulk, at: np.ndarray, starts: np.ndarray, sizes: np.ndarray, cost: Cost) -> None:
+    """`insertion_sort` of spans of rows: a row moves to the front past the larger ones before it, and back for each smaller one behind it."""
+    for m in np.unique(sizes).tolist():
+        places = starts[sizes == m][:, None] + np.arange(m)
+        rows, (i, j) = at[places], np.tril_indices(m, -1)
+        past = np.zeros((len(rows), m, m), np.int8)
+        past[:, i, j] = bulk.less(rows[:, i].ravel(), bulk.columns, rows[:, j].ravel()).reshape(len(rows), -1)
+        ahead = past.sum(2, dtype=np.int64)
+        at[places - ahead + past.sum(1, dtype=np.int64)] = rows
+        moved = int(ahead.sum())
+        tried = moved + int((ahead < np.arange(m))[:, 1:].sum())
+        cost.comparisons += tried
+        cost.branches += tried
+        cost.row_moves += moved
+
+
+def partition_spans(bulk: Bulk, at: np.ndarray, starts: np.ndarray, sizes: np.ndarray, k: int, b: int, cost: Cost) -> None:
+    """A step of `stackless_sort` in each of some spans of rows: splitters from a sample, the four steps of `partition`, and the largest row to each bucket's front."""
+    spans, n = len(starts), int(sizes.sum())
+    off = np.cumsum(sizes) - sizes  # the spans' rows one after another
+    places = np.repeat(starts - off, sizes) + np.arange(n)
+    rows = at[places]
+    # splitters: every other row of the sample
+    m = np.minimum(sizes, 2 * k)
+    j = np.arange(2 * k)
+    lo, size, of = (x.astype(np.uint64)[:, None] for x in (starts, sizes, m))
+    sample = rows[off[:, None] + np.where(j < m[:, None], drawn_place(lo, size, of, j.astype(np.uint64)).astype(np.int64), 0)]
+    absent = np.broadcast_to(j >= m[:, None], sample.shape)
+    by = np.lexsort([*(c[sample].ravel() for c in reversed(bulk.columns)), absent.ravel(), np.repeat(np.arange(spans), 2 * k)])
+    cuts, most = sample.ravel()[by].reshape(spans, -1)[:, 1::2], m // 2
+    first = cuts[:, 0]
+    cutting = np.minimum.reduceat(bulk.columns[0][rows], off) < bulk.columns[0][first]
+    if not cutting.all():
+        unsure = np.flatnonzero(~np.repeat(cutting, sizes))
+        which = np.repeat(np.arange(spans), sizes)[unsure]
+        less = bulk.less(rows[unsure], [c[first] for c in bulk.columns], which)
+        cutting |= np.bincount(which[less], minlength=spans) > 0
+    most = most - ~cutting  # the least row cuts nothing off
+    if not (cut := most > 0).all():
+        cuts[~cut, 0] = rows[bulk.largest(rows, off)[~cut]]
+        most, cutting = np.maximum(most, 1), cutting | ~cut
+    heap = np.array(tree_of(list(range((1 << k.bit_length()) - 1)))[1:])
+    leaves = len(heap) + 1
+    tree = np.zeros((spans, leaves), np.int64)
+    tree[:, 1:] = np.take_along_axis(cuts, np.minimum(heap, most[:, None] - 1) + ~cutting[:, None], 1)
+    spent = np.array([len(tree_of([0] * q)).bit_length() - 1 if q else 0 for q in range(k + 1)])[most]
+    # classification
+    values, base, i = [c[tree.ravel()] for c in bulk.columns], np.repeat(np.arange(spans) * leaves, sizes), np.ones(n, np.int64)
+    for _ in range(leaves.bit_length() - 1):
+        i += i + ~bulk.less(rows, values, base + i)
+    bucket = np.minimum(i - leaves, np.repeat(most, sizes))
+    order = np.argsort(bucket.astype(np.min_scalar_type(k)), kind="stable")  # short numbers are put in order without comparisons
+    span = np.repeat(np.arange(spans).astype(np.min_scalar_type(spans)), sizes)
+    order = order[np.argsort(span[order], kind="stable")]
+    # buckets of all spans one after another, their rows as they lie in the order
+    head = np.cumsum(most + 1) - (most + 1)
+    owner = np.repeat(np.arange(spans), most + 1)
+    counts = np.bincount(np.repeat(head, sizes) + bucket, minlength=len(owner))
+    begin = np.cumsum(counts) - counts
+    # blocks, in slots in the order in which their buffers were full
+    full = np.maximum(counts - 1, 0) // b
+    block_owner = np.repeat(np.arange(len(owner)), full)
+    block = begin[block_owner] + b * (np.arange(len(block_owner)) - np.repeat(np.cumsum(full) - full, full))
+    flushed = order[block + b]
+    by = np.argsort(flushed)
+    blocks = np.bincount(owner, full, spans).astype(np.int64)
+    room = -(-sizes // b)
+    slot0 = np.cumsum(room + 1) - (room + 1)
+    nth = np.arange(len(by)) - np.repeat(np.cumsum(blocks) - blocks, blocks)
+    assert (flushed[by] - np.repeat(off, blocks) - nth * b >= b).all()
+    slots = np.full(int((room + 1).sum()), -1)
+    slots[np.repeat(slot0, blocks) + nth] = by
+    local = begin - off[owner]
+    delim = slot0[owner] - (-local // b)
+    stop = slot0[owner] - (-(local + counts) // b)
+    if len(by):
+        read = np.minimum(stop, np.maximum(delim, (slot0 + blocks)[owner])) - 1
+        slots = permute_spans(slots, block_owner, delim, read, spent[owner], cost)
+    # cleanup: a bucket's gap in front, its blocks, what is behind them; both take what was left over or hangs over its end
+    held = np.repeat(delim - np.cumsum(full) + full, full) + np.arange(len(by))
+    large = full > 0
+    gap = np.where(large, (delim - slot0[owner]) * b - local, 0)
+    over = np.where(large, np.maximum((delim + full - slot0[owner]) * b - local - counts, 0), 0)
+    left, left_at = counts - full * b, begin + full * b
+    over_at = np.zeros(len(owner), np.int64)
+    over_at[large] = block[slots[(delim + full - 1)[large]]] + b - over[large]
+    front = np.minimum(left, gap)
+    front_over = np.minimum(over, gap - front)
+    at_piece = np.cumsum(full + 4) - (full + 4)
+    begins, lengths = np.zeros((2, int((full + 4).sum())), np.int64)
+    own = np.repeat(at_piece + 2 - np.cumsum(full) + full, full) + np.arange(len(by))
+    behind = at_piece + 2 + full
+    begins[own], lengths[own] = block[slots[held]], b
+    lengths[(behind - 1)[large]] -= over[large]
+    for to, x, length in ((at_piece, left_at, front), (at_piece + 1, over_at, front_over), (behind, left_at + front, left - front), (behind + 1, over_at + front_over, over - front_over)):
+        begins[to], lengths[to] = x, length
+    rows = rows[order[np.repeat(begins - np.cumsum(lengths) + lengths, lengths) + np.arange(n)]]
+    asked = full + (slots[delim + full] >= 0)
+    cost.comparisons += int((spent * sizes).sum() + (spent[owner] * asked).sum())
+    cost.block_moves += len(by)
+    cost.row_moves += int((left + over).sum())
+    cost.read += 2 * n
+    cost.written += 2 * n
+    cost.extra_rows = max(cost.extra_rows, int(most.max() + 1) * b)
+    # marks
+    front = begin[counts > 0]
+    top = bulk.largest(rows, front)
+    rows[front], rows[top] = rows[top], rows[front]
+    at[places] = rows
+
+
+def permute_spans(slots: np.ndarray, owner: np.ndarray, delim: np.ndarray, last: np.ndarray, spent: np.ndarray, cost: Cost) -> np.ndarray:
+    """`permute_blocks` by one worker in each of some spans: slots have blocks' numbers, or -1, and owner names a block's bucket.
+
+    A span's blocks lie in front of its empty slots, so none has to be brought there first."""
+    todo = np.flatnonzero(delim <= last).tolist()
+    slots, owner, write, read, spent = slots.tolist(), owner.tolist(), delim.tolist(), last.tolist(), spent.tolist()
+    crossed = [False] * len(write)
+    moves = skipped = total = 0
+    for p in todo:
+        asked = 0
+        while True:
+            s = w = write[p]
+            r = read[p]
+            while s <= r:
+                asked += 1
+                if owner[slots[s]] != p:
+                    break
+                s += 1
+            skipped += s - w
+            write[p] = s
+            if s > r:
+                break
+            block, slots[r] = slots[r], -1
+            read[p] = r - 1
+            while True:
+                asked += 1
+                moves += 1
+                d = owner[block]
+                s = w = write[d]
+                r = read[d]
+                while s <= r:
+                    asked += 1
+                    if owner[slots[s]] != d:
+                        break
+                    s += 1
+                skipped += s - w
+                write[d] = s + 1
+                if s > r:  # an empty slot is there
+                    crossed[d] = True
+                    slots[s] = block
+                    break
+                block, slots[s] = slots[s], block
+        total += asked * spent[p]
+    cost.block_moves += moves
+    cost.skipped += skipped
+    cost.waits += sum(crossed)
+    cost.comparisons += total
+    return np.array(slots)
+
+
 def elementwise_permute(a: list, ids: list[int], k: int, cost: Cost | None = None) -> list[int]:
     """Rows to their buckets by following cycles, with the bucket of each row known beforehand; one move a row."""
     cost = cost or Cost()
@@ -637,8 +883,10 @@ KERNELS = {"insertion": insertion_sort, "quicksort": quicksort, "introsort": int
 
 def order_of(columns: list, kernel: str) -> list[int]:
     """Places of the rows of some columns in the order that a kernel brings them to, equal rows by their places."""
-    rows = list(zip(*(c.tolist() if isinstance(c, np.ndarray) else c for c in columns), range(len(columns[0]))))
     more = {"bulk": Bulk(columns)} if kernel in ("distribution", "stackless") and all(isinstance(c, np.ndarray) for c in columns) else {}
+    if more and kernel == "stackless":
+        return stackless_passes(more["bulk"], np.arange(len(columns[0]))).tolist()
+    rows = list(zip(*(c.tolist() if isinstance(c, np.ndarray) else c for c in columns), range(len(columns[0]))))
     collects = gc.isenabled()
     gc.disable()  # rows are plain values without cycles, and each search for these would walk through all rows
     try:

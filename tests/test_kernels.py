@@ -141,3 +141,31 @@ def test_order_of_columns_that_are_no_numbers():
     columns = [["b", "a", "b", "a"] * 200, np.arange(800) % 3]
     want = sorted(range(800), key=lambda i: (columns[0][i], columns[1][i], i))
     assert all(K.order_of(columns, name) == want for name in K.KERNELS)
+
+
+def test_stackless_columns_take_no_row_by_itself():
+    """Rows given as columns cost a pass over all buckets few calls, however many buckets there are: it was about 14 for each row."""
+    import numpy as np
+
+    r = np.random.default_rng(8)
+    columns = [r.integers(0, 900, 20_000) / 4, r.integers(0, 50, 20_000)]
+    found: list[int] = []
+    assert _calls(lambda: found.extend(K.order_of(columns, "stackless"))) < 20_000
+    assert found == np.lexsort(columns[::-1]).tolist()
+
+
+def test_stackless_columns_of_all_kinds():
+    """Wide and constant columns, infinities, both zeros, rows in any order, other fan-outs and blocks: the same order and costs as row by row."""
+    import numpy as np
+
+    r = np.random.default_rng(9)
+    for n in (1, 2, 8, 9, 17, 200, 1500):
+        kinds = [r.integers(-(2**63), 2**63 - 1, n), r.choice([-np.inf, np.inf, 0.0, -0.0, 1.5, -2.5], n), np.zeros(n), r.normal(size=n).astype(np.float32), r.integers(-5, 5, n).astype(np.int8), np.arange(n)[::-1].copy()]
+        for columns in ([c] for c in kinds), ([kinds[1], kinds[0]], [kinds[4], kinds[1], kinds[0]], [kinds[2], kinds[4], kinds[3], kinds[5]]):
+            for own in columns:
+                rows = list(zip(*(c.tolist() for c in own), range(n)))
+                mixed = [rows[i] for i in r.permutation(n)]
+                for k, b, n0 in ((8, 4, 8), (3, 2, 4), (1, 1, 2)):
+                    one, together = K.Cost(), K.Cost()
+                    assert K.stackless_sort(list(mixed), k, b, n0, one) == K.stackless_sort(list(mixed), k, b, n0, together, K.Bulk(own)) == sorted(rows)
+                    assert one == together
