@@ -213,6 +213,197 @@ def merge_runs(runs: list[list], cost: Cost | None = None) -> list:
     return list(heapq.merge(*runs))
 
 
+# ---- the quicksort family by columns ------------------------------------------------------------
+
+
+def _spread(starts: np.ndarray, sizes: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Places of the rows of some spans one after another, where each span begins among them, and whose they are."""
+    off = np.cumsum(sizes) - sizes
+    return np.repeat(starts - off, sizes) + np.arange(int(sizes.sum())), off, np.repeat(np.arange(len(sizes)), sizes)
+
+
+def _settled(first: np.ndarray, off: np.ndarray, sizes: np.ndarray, always: bool) -> np.ndarray:
+    """Where rows of spans come to lie when each span's rows are taken in turn, and one that is to come first is swapped with the first of those that aren't.
+
+    always: the others are swapped with it as well, as `_gathered` does.  A row that isn't first is moved on whenever those in front reach its place: links from place to place, followed twice as far at each step."""
+    n = len(first)
+    count = np.concatenate([[0], np.cumsum(first)])
+    base, end = count[off], np.repeat(off + sizes, sizes)
+    start, of, many = np.repeat(off, sizes), np.repeat(base, sizes), np.repeat(count[off + sizes] - base, sizes)
+    to, places = count[:-1] - of + start, np.arange(n)
+    ahead, others, link = np.flatnonzero(first), np.flatnonzero(~first), places.copy()
+    at = places - start
+    if always:
+        moved = np.flatnonzero((at > 0) & (at <= many))
+        link[moved] = ahead[(of + at - 1)[moved]] + 1
+        link = np.where(link < end, link, places)
+        others = others[others + 1 < end[others]]  # a span's last row stays where it was put
+        now = others + 1
+    else:
+        moved = np.flatnonzero(at < many)
+        link[moved] = ahead[(of + at)[moved]]
+        now = others
+    while len(now) and not np.array_equal(further := link[now], now):
+        now, link = further, link[link]
+    to[others] = now
+    return to
+
+
+def _swapped(rows: np.ndarray, left: np.ndarray, right: np.ndarray, pairs: np.ndarray) -> None:
+    """Swap rows of spans: each span's places on the left in order with those on the right in the other order; pairs: how many each has."""
+    end = np.repeat(np.cumsum(pairs), pairs)
+    back = right[end - 1 - (np.arange(len(left)) - np.repeat(np.cumsum(pairs) - pairs, pairs))]
+    rows[left], rows[back] = rows[back], rows[left]
+
+
+def _two_way_spans(rows: np.ndarray, less: np.ndarray, off: np.ndarray, sizes: np.ndarray, owner: np.ndarray, cost: Cost) -> np.ndarray:
+    """`_two_way` of spans: rows on the wrong side are swapped in pairs from both ends, and each row is compared once."""
+    few = np.bincount(owner[less], minlength=len(sizes))
+    front = np.arange(len(rows)) - off[owner] < few[owner]
+    left, right = np.flatnonzero(front & ~less), np.flatnonzero(~front & less)
+    _swapped(rows, left, right, np.bincount(owner[left], minlength=len(sizes)))
+    cost.comparisons += len(rows)
+    cost.branches += len(rows)
+    cost.row_moves += 2 * len(left)
+    return few
+
+
+def _blockwise_spans(rows: np.ndarray, less: np.ndarray, off: np.ndarray, sizes: np.ndarray, owner: np.ndarray, cost: Cost, block: int = 64) -> np.ndarray:
+    """`_blockwise` of spans: what its buffers hold follows from how many misplaced rows each block has."""
+    few = np.bincount(owner[less], minlength=len(sizes))
+    count = np.concatenate([[0], np.cumsum(less)])
+    pairs, low, high = np.zeros(len(sizes), np.int64), off.copy(), off + sizes
+    for span in np.flatnonzero(sizes > 2 * block).tolist():
+        n, lo = int(sizes[span]), int(off[span])
+        steps = np.arange(0, n + 1, block)
+        on_left, on_right = (block - np.diff(count[lo + steps])).tolist(), (-np.diff(count[lo + n - steps])).tolist()
+        u = v = n_left = n_right = from_left = from_right = swaps = rounds = looked = 0
+        while n - (u + v) * block > 2 * block:
+            if not n_left:
+                from_left, n_left = 0, on_left[u]
+            if not n_right:
+                from_right, n_right = 0, on_right[v]
+            looked += (from_left == 0) + (from_right == 0)
+            both = min(n_left, n_right)
+            rounds, swaps = rounds + 1, swaps + both
+            n_left, n_right, from_left, from_right = n_left - both, n_right - both, from_left + both, from_right + both
+            if not n_left:
+                u, from_left = u + 1, 0
+            if not n_right:
+                v, from_right = v + 1, 0
+        pairs[span], low[span], high[span] = swaps, lo + u * block, lo + n - v * block
+        cost.comparisons += block * looked
+        cost.branches += 2 * rounds
+        cost.row_moves += 2 * swaps
+    # the first misplaced rows from both ends, as many as were swapped
+    left, right = np.flatnonzero(~less), np.flatnonzero(less)
+    of_left, of_right = owner[left], owner[right]
+    before = np.cumsum(sizes - few) - (sizes - few)
+    left = left[np.arange(len(left)) - before[of_left] < pairs[of_left]]
+    right = right[np.cumsum(few)[of_right] - np.arange(len(right)) <= pairs[of_right]]
+    _swapped(rows, left, right, pairs)
+    less[left], less[right] = True, False
+    places, start, _ = _spread(low, high - low)
+    if len(places):
+        to = _settled(less[places], start, high - low, True)
+        rows[places[to]] = rows[places]
+    cost.comparisons += len(places)
+    cost.row_moves += len(places)
+    return few
+
+
+def quicksort_passes(bulk: Bulk, at: np.ndarray, cost: Cost | None = None, n0: int = 16, part=_two_way_spans, depth: int | None = None) -> np.ndarray:
+    """`quicksort` by columns: a pass takes one step in all spans at once.  No two rows are equal, so a pivot, the median of three rows, always leaves rows on both sides."""
+    cost = cost or Cost()
+    starts, sizes = np.zeros(1, np.int64), np.array([len(at)])
+    while True:
+        small = sizes <= n0
+        insert_spans(bulk, at, starts[small & (sizes > 1)], sizes[small & (sizes > 1)], cost)
+        starts, sizes = starts[~small], sizes[~small]
+        if not len(starts):
+            return at
+        if depth == 0:
+            break
+        x, y, z = at[starts], at[(2 * starts + sizes) // 2], at[starts + sizes - 1]
+        xy, yz, xz = (bulk.less(i, bulk.columns, j) for i, j in ((x, y), (y, z), (x, z)))
+        pivot = np.where(xy == yz, y, np.where(xy == xz, z, x))
+        places, off, owner = _spread(starts, sizes)
+        rows = at[places]
+        few = part(rows, bulk.less(rows, [c[pivot] for c in bulk.columns], owner), off, sizes, owner, cost)
+        at[places] = rows
+        starts, sizes = np.stack([starts, starts + few], 1).ravel(), np.stack([few, sizes - few], 1).ravel()
+        depth = None if depth is None else depth - 1
+    for lo, n in zip(starts.tolist(), sizes.tolist()):  # too deep: heapsort
+        heap = list(zip(*(c[at[lo : lo + n]].tolist() for c in bulk.columns)))
+        heapq.heapify(heap)
+        at[lo : lo + n] = [heapq.heappop(heap)[-1] for _ in range(n)]
+        cost.comparisons += 2 * n * n.bit_length()
+        cost.branches += n * n.bit_length()
+    return at
+
+
+def introsort_passes(bulk: Bulk, at: np.ndarray, cost: Cost | None = None) -> np.ndarray:
+    return quicksort_passes(bulk, at, cost, depth=2 * max(1, len(at)).bit_length())
+
+
+def buffered_passes(bulk: Bulk, at: np.ndarray, cost: Cost | None = None) -> np.ndarray:
+    return quicksort_passes(bulk, at, cost, part=_blockwise_spans)
+
+
+def dual_pivot_passes(bulk: Bulk, at: np.ndarray, cost: Cost | None = None, n0: int = 16) -> np.ndarray:
+    """`dual_pivot` by columns: a pass takes one step in all spans at once.
+
+    Rows over q on the left are swapped in pairs with others from the right, then rows under p come first among those on the left."""
+    cost = cost or Cost()
+    starts, sizes = np.zeros(1, np.int64), np.array([len(at)])
+    while True:
+        small = sizes <= n0
+        insert_spans(bulk, at, starts[small & (sizes > 1)], sizes[small & (sizes > 1)], cost)
+        starts, sizes = starts[~small], sizes[~small]
+        if not len(starts):
+            return at
+        last, third = starts + sizes - 1, sizes // 3
+        for i, j in ((starts, starts + third), (last, last - third)):
+            at[i], at[j] = at[j], at[i]
+        p, q = at[starts], at[last]
+        turned = bulk.less(q, bulk.columns, p)
+        p, q = np.where(turned, q, p), np.where(turned, p, q)
+        places, off, owner = _spread(starts + 1, sizes - 2)
+        rows, inner = at[places], sizes - 2
+        under = bulk.less(rows, [c[p] for c in bulk.columns], owner)
+        rest = np.flatnonzero(~under)
+        over = np.zeros(len(rows), bool)
+        over[rest] = ~bulk.less(rows[rest], [c[q] for c in bulk.columns], owner[rest])  # no row but q itself equals q
+        kept = inner - np.bincount(owner[over], minlength=len(sizes))
+        low = np.bincount(owner[under], minlength=len(sizes))
+        front = np.arange(len(rows)) - off[owner] < kept[owner]
+        left, right = np.flatnonzero(front & over), np.flatnonzero(~front & ~over)
+        pairs = np.bincount(owner[left], minlength=len(sizes))
+        _swapped(rows, left, right, pairs)
+        _swapped(under, left, right, pairs)
+        reached = inner.copy()  # how far the right pointer has come with the last pair
+        paired = np.flatnonzero(pairs)
+        reached[paired] = right[(np.cumsum(pairs) - pairs)[paired]] - off[paired]
+        open_ = reached - kept  # rows over q between the pointers when the left one has passed all others
+        among = np.flatnonzero(front)
+        to = _settled(under[among], np.cumsum(kept) - kept, kept, False)
+        rows[among[to]] = rows[among]
+        at[places] = rows
+        at[starts], at[last] = p, q
+        for i, j in ((starts, starts + low), (last, starts + 1 + kept)):
+            at[i], at[j] = at[j], at[i]
+        middle = kept - low
+        wide = np.flatnonzero(7 * middle > 4 * sizes)  # rows equal to a pivot would be gathered, but there are none: the last comes to the front
+        for lo, n in zip((starts + 1 + low)[wide].tolist(), middle[wide].tolist()):
+            at[lo : lo + n] = np.roll(at[lo : lo + n], 1)
+        ended = open_ > 0
+        compared = int((1 + low + 2 * middle + 2 * pairs + inner - reached + np.where(ended, open_ + 1, 0)).sum())
+        cost.comparisons += compared + 2 * int(middle[wide].sum())
+        cost.branches += compared
+        cost.row_moves += int((8 + 2 * (turned + low + pairs + ended)).sum()) + 2 * int(middle[wide].sum())
+        starts, sizes = np.stack([starts, starts + 1 + low, starts + kept + 2], 1).ravel(), np.stack([low, middle, inner - kept], 1).ravel()
+
+
 # ---- distribution -------------------------------------------------------------------------------
 
 
@@ -880,12 +1071,15 @@ def elementwise_permute(a: list, ids: list[int], k: int, cost: Cost | None = Non
 
 KERNELS = {"insertion": insertion_sort, "quicksort": quicksort, "introsort": introsort, "buffered": buffered_quicksort, "dual_pivot": dual_pivot, "distribution": distribution_sort, "stackless": stackless_sort}
 
+#: Forms by columns, of kernels that have one for all of a task's rows.
+PASSES = {"quicksort": quicksort_passes, "introsort": introsort_passes, "buffered": buffered_passes, "dual_pivot": dual_pivot_passes, "stackless": stackless_passes}
+
 
 def order_of(columns: list, kernel: str) -> list[int]:
     """Places of the rows of some columns in the order that a kernel brings them to, equal rows by their places."""
-    more = {"bulk": Bulk(columns)} if kernel in ("distribution", "stackless") and all(isinstance(c, np.ndarray) for c in columns) else {}
-    if more and kernel == "stackless":
-        return stackless_passes(more["bulk"], np.arange(len(columns[0]))).tolist()
+    more = {"bulk": Bulk(columns)} if kernel in (*PASSES, "distribution") and all(isinstance(c, np.ndarray) for c in columns) else {}
+    if more and kernel in PASSES:
+        return PASSES[kernel](more["bulk"], np.arange(len(columns[0]))).tolist()
     rows = list(zip(*(c.tolist() if isinstance(c, np.ndarray) else c for c in columns), range(len(columns[0]))))
     collects = gc.isenabled()
     gc.disable()  # rows are plain values without cycles, and each search for these would walk through all rows

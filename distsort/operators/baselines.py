@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 from dataclasses import replace
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -19,7 +20,7 @@ from ..plans.keys import KeySpec, SortKey
 from ..plans.params import SortParams
 from ..plans.recursion import DistributionPlan, plan_partitions
 from ..plans.sampling import SplitterSet, dedupe_splitters, pick_splitters
-from ..sources.io import fresh_path
+from ..sources.io import delete, fresh_path
 from .presorted import probe_order
 from .sort import _WITHIN, class_counts, distribute, partition_start, plan_sort, sort_global, splitters_of
 
@@ -81,48 +82,63 @@ def copy_samplesort(df: DataFrame, keys, p: SortParams = SortParams()) -> DataFr
 def _two_way(df: DataFrame, spec: KeySpec, p: SortParams, of_sample: int) -> DataFrame:
     """Quicksort by levels: every part with several workers is split in two at a pivot of its own rows, and rows move to the workers of their side.
 
-    of_sample 1: the pivot is one row and each side gets half of the workers; more: it is the median of so many, and workers go by the sides' rows."""
+    of_sample 1: the pivot is one row and each side gets half of the workers; more: it is the median of so many, and workers go by the sides' rows.
+    Parts of one worker are not moved by later levels: they wait where the last split found them."""
     spark, parts, names = df.sparkSession, _parts(df, p), df.columns
-    now = df.withColumn("_part", F.lit(0))
-    workers, sizes, stuck, level = [parts], [df.count()], set(), 0
-    while split := [i for i, w in enumerate(workers) if w > 1 and sizes[i] > 1 and i not in stuck]:
+    at = lambda x, kind=T.IntegerType(): F.get(literal_array(x, kind), F.col("_part"))
+    now, held, level, n = df.withColumn("_part", F.lit(0)), None, 0, df.count()
+    going, ended, pieces = [(0, n, parts)], {}, []  # first position, rows, workers of each part; rows by first position; tables with what has ended in them
+    if parts < 2 or n < 2:
+        going, ended, pieces = [], {0: n}, [(now, [0])]
+    while going:
         level += 1
-        share = F.lit(1.0) if sum(sizes) < 64 * parts else F.least(F.lit(1.0), F.element_at(literal_array([16.0 * of_sample / max(1, s) for s in sizes], T.DoubleType()), F.col("_part") + 1))
-        drawn: dict[int, list] = {i: [] for i in split}
-        for r in now.where(F.col("_part").isin(split) & (F.rand(p.seed + level) < share)).select("_part", *spec.names).collect():  # some rows for each part
+        share = F.lit(1.0) if n < 64 * parts else F.least(F.lit(1.0), at([16.0 * of_sample / s for _, s, _ in going], T.DoubleType()))
+        drawn: dict[int, list] = {i: [] for i in range(len(going))}
+        for r in now.where(F.rand(p.seed + level) < share).select("_part", *spec.names).collect():  # some rows for each part
             drawn[r[0]].append(tuple(r)[1:])
-        left_of, side = {}, F.lit(0)
-        for i, rows in drawn.items():
-            few = sorted(rows[:of_sample], key=spec.plain)
-            if few:
-                left_of[i] = few[len(few) // 2]
-                side = F.when(F.col("_part") == i, (~spec.before([F.lit(v).cast(df.schema[n].dataType) for n, v in zip(spec.names, left_of[i])])).cast("int")).otherwise(side)
+        few = {i: sorted(rows[:of_sample], key=spec.plain) for i, rows in drawn.items()}
+        pivots = [rows[len(rows) // 2] if rows else None for _, rows in sorted(few.items())]
+        if known := [v for v in pivots if v is not None]:
+            values = [at([(known[0] if v is None else v)[j] for v in pivots], df.schema[c].dataType) for j, c in enumerate(spec.names)]
+            right = ~spec.before(values, [any(v[j] is None for v in known) for j in range(len(spec.names))])
+            side = (right & at([int(v is not None) for v in pivots]).cast("boolean")).cast("int")
+        else:
+            side = F.lit(0)
         halves = now.withColumn("_side", side)
         counted = {(r[0], r[1]): r[2] for r in halves.groupBy("_part", "_side").count().collect()}  # two rows a part
-        number, next_workers, next_sizes, next_stuck = {}, [], [], set()
-        for i, w in enumerate(workers):
+        first, found, stuck = [], [], set()
+        for i, (start, _, w) in enumerate(going):
             a, b = counted.get((i, 0), 0), counted.get((i, 1), 0)
-            number[i] = len(next_workers)
-            if i not in left_of or not (a and b):  # one side has it all; a part where this happens twice is one worker's
-                next_workers.append(w)
-                next_sizes.append(a + b)
-                if i not in split or of_sample > 1 or sizes[i] < 2 or level > 4 * parts.bit_length():
-                    next_stuck.add(len(next_workers) - 1)
-                halves = halves.withColumn("_side", F.when(F.col("_part") == i, 0).otherwise(F.col("_side")))
+            first.append(len(found))
+            if not (a and b):  # one side has it all; another row may be a better pivot, but not a median
+                if of_sample > 1 or level > 4 * parts.bit_length():
+                    stuck.add(len(found))
+                found.append((start, a + b, w))
+                first[-1] -= not a  # all its rows are on the right
                 continue
             left = w // 2 if of_sample == 1 else max(1, min(w - 1, round(w * a / (a + b))))
-            next_workers += [left, w - left]
-            next_sizes += [a, b]
-        halves = halves.withColumn("_part", F.get(literal_array([number[i] for i in range(len(workers))], T.IntegerType()), F.col("_part")) + F.col("_side"))
-        workers, sizes, stuck = next_workers, next_sizes, next_stuck
-        first = [sum(workers[:i]) for i in range(len(workers))]
-        at = lambda x: F.get(literal_array(x, T.IntegerType()), F.col("_part"))
-        worker = (at(first) + F.pmod(F.monotonically_increasing_id(), at(workers))).cast("int")
-        path = fresh_path(spark, "halves")
-        halves.withColumn("_worker", worker).repartitionById(parts, F.col("_worker")).drop("_worker", "_side").write.parquet(path)
-        now = spark.read.parquet(path)
-    plan = DistributionPlan(tuple(range(len(sizes))), (1,) * len(sizes), tuple(sizes))
-    moved = now.repartitionById(plan.partitions, F.col("_part")).sortWithinPartitions(*spec.order())
+            found += [(start, a, left), (start + a, b, w - left)]
+        halves = halves.withColumn("_part", at(first) + F.col("_side")).drop("_side")
+        open_ = [w > 1 and s > 1 and i not in stuck for i, (_, s, w) in enumerate(found)]
+        going = [x for x, more in zip(found, open_) if more]
+        if not all(open_):
+            ended |= {start: s for (start, s, _), more in zip(found, open_) if not more}
+            pieces.append((halves, [-1 if more else start for (start, _, _), more in zip(found, open_)]))
+        if going:
+            number = [sum(open_[:i]) if more else -1 for i, more in enumerate(open_)]
+            before = [sum(w for _, _, w in found[:i]) for i in range(len(found))]
+            worker = (at(before) + F.pmod(F.monotonically_increasing_id(), at([w for _, _, w in found]))).cast("int")
+            path = fresh_path(spark, "halves")
+            moved = halves.withColumns({"_worker": worker, "_part": at(number)}).where(F.col("_part") >= 0)
+            moved.repartitionById(parts, F.col("_worker")).drop("_worker").write.parquet(path)
+            now = spark.read.schema(halves.schema).parquet(path)
+            if held and all(open_):  # nothing is left in it
+                delete(spark, held)
+            held = path
+    order = {start: i for i, start in enumerate(sorted(ended))}
+    plan = DistributionPlan(tuple(range(len(order))), (1,) * len(order), tuple(ended[s] for s in order))
+    whole = reduce(DataFrame.union, [x.withColumn("_part", at([order.get(s, -1) for s in starts])).where(F.col("_part") >= 0) for x, starts in pieces])
+    moved = whole.repartitionById(plan.partitions, F.col("_part")).sortWithinPartitions(*spec.order())
     return moved.withColumn("pos", partition_start(plan, moved) + F.monotonically_increasing_id().bitwiseAND(F.lit(_WITHIN))).select(*names, "pos")
 
 

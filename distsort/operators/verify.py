@@ -2,12 +2,26 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..plans.keys import KeySpec
 
 
+def run_of(pos: str) -> Column:
+    """The run of 65,536 positions that a position is in."""
+    return F.shiftright(F.col(pos).cast("long"), 16)
+
+
+def digests(df: DataFrame, names: list[str], pos: str = "pos") -> dict[int | None, tuple]:
+    """Of each run of positions its rows and two hashes of these with their positions; the driver gets one row a run.
+
+    Unequal digests may mean equal rows (zeros of both signs); equal ones mean unequal rows once in 2 to the power of 128."""
+    absent = [F.col(n).isNull() for n in names]  # a hash passes nulls over
+    hashes = [F.bit_xor(F.xxhash64(*order, *absent)) for order in ([F.col(pos).cast("long"), *names], [*reversed(names), F.col(pos).cast("long")])]
+    return {r[0]: tuple(r)[1:] for r in df.groupBy(run_of(pos).alias("_run")).agg(F.count(F.lit(1)), *hashes).collect()}
+
+
 def descents(df: DataFrame, keys, pos: str = "pos", run: int = 1 << 16) -> DataFrame:
     """One row: pairs of neighbouring positions that are out of order, and positions that are missing or double.  Windows are runs of positions; their edges meet in a table of one row each."""
     spec = KeySpec.of(keys)

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from concurrent.futures import ThreadPoolExecutor
+
 from pyspark.sql import functions as F
 
 from ..catalog import query
@@ -9,8 +11,9 @@ from ..operators import baselines as Z
 from ..operators.presorted import probe_order
 from ..operators.sort import sort_global
 from ..operators.stackless import stackless_sort
+from ..operators.verify import digests, run_of
 from ..plans.params import SortParams
-from ..sources.io import LINE_ID, fresh_path, load
+from ..sources.io import LINE_ID, freed, fresh_path, load, passing
 from .methods import ID, line_keys, sorted_sql
 from .workload import DESC_NULLS_SQL, MULTI_SQL, desc_nulls, multi
 
@@ -61,17 +64,41 @@ for _n in FORMS | MORE:
 
 @query(f"select * from (values {', '.join(f'({chr(39)}{n}{chr(39)}, 0::bigint)' for n in FORMS)}) as x(baseline, mismatches)")
 def q_base_agree(spark, d):
-    """For each baseline, positions whose key or row id differs from the distribution sort's."""
+    """For each baseline, positions whose key or row id differs from the distribution sort's.
+
+    Baselines run two at a time, each with tables and shuffle files of its own that go when it is through.  Runs of positions are held against each other by their digests, and row by row where these differ."""
     df = line_keys(spark, d)
     path = fresh_path(spark, "own")
-    sort_global(df, KEYS).select("pos", F.struct(*KEYS).alias("own")).write.parquet(path)  # sorted once for all
-    own = spark.read.parquet(path)
-    out = None
-    for name, f in FORMS.items():
-        other = f(df, KEYS).select("pos", F.struct(*KEYS).alias("other")).join(own, "pos", "full")
-        one = other.agg(F.coalesce(F.sum((~F.col("other").eqNullSafe(F.col("own"))).cast("long")), F.lit(0)).alias("mismatches")).select(F.lit(name).alias("baseline"), "mismatches")
-        out = one if out is None else out.unionByName(one)
-    return out
+    with freed(spark), ThreadPoolExecutor(2) as pool:
+        sort_global(df, KEYS).select("pos", *KEYS).write.parquet(path)  # sorted once for all
+        own = spark.read.parquet(path)
+        held = digests(own, KEYS)
+
+        def differing(name: str) -> tuple[str, list, str | None]:
+            """Runs of positions that differ, and where the baseline's rows in them are."""
+            rows = fresh_path(spark, "other")
+            with passing(spark):
+                placed = FORMS[name](df, KEYS).select("pos", *KEYS)
+                found = digests(placed, KEYS)
+                if not (runs := [r for r in held.keys() | found.keys() if held.get(r) != found.get(r)]):
+                    return name, [], None
+                theirs = placed.join(_of_runs(spark, [(r,) for r in runs], "run long"), run_of("pos").eqNullSafe(F.col("run")), "left_semi")
+                theirs.select(F.lit(name).alias("baseline"), "pos", F.struct(*KEYS).alias("other")).write.parquet(rows)
+            return name, runs, rows
+
+        # one task has all rows of window_sort: the others needn't wait for it
+        unlike = [x for x in pool.map(differing, sorted(FORMS, key=lambda n: n != "window_sort")) if x[1]]
+    mine = own.join(_of_runs(spark, [(n, r) for n, runs, _ in unlike for r in runs], "baseline string, run long"), run_of("pos") == F.col("run")).select("baseline", "pos", F.struct(*KEYS).alias("own"))
+    theirs = spark.createDataFrame([], mine.withColumnRenamed("own", "other").schema)
+    for _, _, rows in unlike:
+        theirs = theirs.unionByName(spark.read.parquet(rows))
+    wrong = mine.join(theirs, ["baseline", "pos"], "full").where(~F.col("other").eqNullSafe(F.col("own"))).groupBy("baseline").agg(F.count(F.lit(1)).alias("mismatches"))
+    return spark.createDataFrame([(n,) for n in FORMS], "baseline string").join(wrong, "baseline", "left").select("baseline", F.coalesce("mismatches", F.lit(0).cast("long")).alias("mismatches"))
+
+
+def _of_runs(spark, rows: list[tuple], schema: str):
+    runs = spark.createDataFrame(rows, schema)
+    return F.broadcast(runs) if len(rows) <= 200_000 else runs
 
 
 @query(SQL)

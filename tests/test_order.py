@@ -128,6 +128,63 @@ def test_agreement_sorts_its_own_order_once(spark, tiny, monkeypatch):
     assert sorted(map(tuple, out.collect())) == [("quicksort", 0), ("radix", 0)]
 
 
+def test_agreement_counts_what_differs_and_leaves_nothing(spark, tiny, monkeypatch):
+    """Positions that are swapped, missing, shifted or without a number are counted one by one; of all tables that were written, only those that the result reads are left."""
+    from distsort.queries import baselines as Q
+    from distsort.sources import io
+
+    made = []
+
+    def noted(s, label):
+        made.append(io.fresh_path(s, label))
+        return made[-1]
+
+    monkeypatch.setattr(Z, "fresh_path", noted)
+    pos, right = F.col("pos"), Q.FORMS["radix"]
+    forms = {
+        "swapped": lambda df, k: right(df, k).withColumn("pos", F.when(pos == 5, 4000).when(pos == 4000, 5).otherwise(pos).cast("long")),
+        "missing": lambda df, k: right(df, k).where("pos <> 7"),
+        "shifted": lambda df, k: right(df, k).withColumn("pos", pos + 1),
+        "unnumbered": lambda df, k: right(df, k).withColumn("pos", F.expr("nullif(pos, 9L)")),
+    }
+    monkeypatch.setattr(Q, "FORMS", forms | {n: Q.FORMS[n] for n in ("window_sort", "quicksort_balanced", "oracle_samplesort", "multiway_merge", "spark_order_by")})
+    out = Q.q_base_agree(spark, tiny)
+    found = {r.baseline: r.mismatches for r in out.collect()}
+    assert {n: m for n, m in found.items() if m} == {"swapped": 2, "missing": 1, "shifted": 6001, "unnumbered": 2} and len(found) == 9
+    paths = [spark.sparkContext._jvm.org.apache.hadoop.fs.Path(x) for x in made]
+    assert len(paths) > 4 and not any(x.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(x) for x in paths)
+
+
+def test_digests_are_of_rows_and_their_positions(spark):
+    """The same for positions of any integer type, another one where two rows or a null have changed places."""
+    from distsort.operators.verify import digests
+
+    rows = spark.range(0, 200_000, 1, 3).select(F.col("id").alias("pos"), (F.col("id") * 7 % 11).alias("a"), F.lit(None).cast("long").alias("b"))
+    own = digests(rows, ["a", "b"])
+    assert sorted(own) == [0, 1, 2, 3] and sum(x[0] for x in own.values()) == 200_000
+    assert digests(rows.withColumn("pos", F.col("pos").cast("int")), ["a", "b"]) == own
+    differ = lambda df: {r for r, x in digests(df, ["a", "b"]).items() if own[r] != x}
+    at = F.col("pos") == 150_000
+    assert differ(rows.select("pos", F.when(at, F.col("b")).otherwise(F.col("a")).alias("a"), F.when(at, F.col("a")).alias("b"))) == {2}
+    assert differ(rows.withColumn("pos", F.when(at, 150_001).when(F.col("pos") == 150_001, 150_000).otherwise(F.col("pos")))) == {2}
+
+
+def test_two_way_levels_leave_ended_parts(spark):
+    """Parts that have one worker are not written again: of all rows, the levels wrote each anew until the last part had ended."""
+    from distsort.sources import io
+
+    df = spark.range(0, 20_000, 1, 4).select((F.col("id") * 7919 % 20_000).alias("x"))
+    folder = io.shared_folder(spark)
+    fs_of = lambda path: path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+    for sort, rows in ((Z.quicksort_balanced, 20_000), (Z.quicksort_unbalanced, 20_000)):
+        root = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(folder)
+        before = {str(x.getPath()) for x in fs_of(root).listStatus(root)} if fs_of(root).exists(root) else set()
+        got = [r.x for r in sort(df, ["-x"], SortParams(partitions=5)).orderBy("pos").collect()]
+        assert got == list(range(rows - 1, -1, -1))
+        left = [p for p in (str(x.getPath()) for x in fs_of(root).listStatus(root)) if p not in before]
+        assert any(spark.read.parquet(p).count() < rows for p in left)
+
+
 def test_columns_of_kernels_in_every_direction():
     """Keys that kernels take as columns, with enough rows that segments are classified together: as Python sorts the rows' plain values."""
     import datetime as dt
